@@ -208,7 +208,7 @@ def train(docs: DataFrame, vocabulary: bytes, ident: str = "doc_id", text: str =
     probs = weights / weights.sum(axis=0, keepdims=True)
     probs[-1] = UNKNOWN
     total = sum(counts.values())
-    prior = np.log(np.array([(counts[n] + 1) / (total + len(languages)) for n in languages]) if languages else np.zeros(1))
+    prior = np.log(np.array([(counts[n] + 1) / (total + len(languages)) for n in languages]) if languages else np.ones(1))
     return Model(languages, prior, {c.pieces[i]: r for i, r in usable.items()}, probs)
 
 
