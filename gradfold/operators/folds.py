@@ -69,18 +69,25 @@ def dense(column: pa.Array) -> np.ndarray:
 
 def walk(task: LinearTask, w: np.ndarray, x: np.ndarray, y: np.ndarray, alpha: Callable[[int], float] | float, steps: int = 0, reg: P.Prox | None = None, share: float = 0.0, batch: int = 1) -> tuple[np.ndarray, int]:
     """Steps over rows in order, in place; `batch` above 1 averages that many rows into one step, which is another method."""
-    move, fixed = task.move_np, not callable(alpha)
+    fixed, plain = not callable(alpha), reg is None or reg.name == "none"
+    if batch == 1:
+        one, dot = task.one(), w.dot
+        for row, target in zip(x, y.tolist(), strict=True):
+            steps += 1
+            a = alpha if fixed else alpha(steps)
+            c = a * one(float(dot(row)), target)
+            if c:
+                w += c * row
+            if not plain:
+                w[:] = reg.array(w, a * share)
+        return w, steps
     for at in range(0, len(y), batch):
         steps += 1
         a = alpha if fixed else alpha(steps)
-        if batch == 1:
-            row = x[at]
-            w += (a * float(move(row @ w, y[at]))) * row
-        else:
-            part, target = x[at : at + batch], y[at : at + batch]
-            w += (a / len(target)) * (move(part @ w, target) @ part)
-        if reg is not None and reg.name != "none":
-            w[:] = reg.array(w, a * share * min(batch, len(y) - at))
+        part, target = x[at : at + batch], y[at : at + batch]
+        w += (a / len(target)) * (task.move_np(part @ w, target) @ part)
+        if not plain:
+            w[:] = reg.array(w, a * share * len(target))
     return w, steps
 
 
@@ -92,39 +99,102 @@ def fold_arrow(df: DataFrame, task: LinearTask, start: np.ndarray, alpha: Callab
     copies the model at every row instead of changing it in place, which is what
     an aggregate without shared state does.
     """
-    begin = np.array(start, float)
     rows = df.select("seg", "k", "x", "y")
     rows = rows if presorted else rows.sortWithinPartitions("seg", "k")
 
+    def runs(batches):
+        for b in batches:
+            segs, x, y = np.asarray(b.column(0)), dense(b.column(2)), np.asarray(b.column(3))
+            cuts = [0, *(np.flatnonzero(np.diff(segs)) + 1).tolist(), len(segs)]
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                if lo < hi:
+                    yield int(segs[lo]), x[lo:hi], y[lo:hi]
+
+    return rows.mapInArrow(_folder(runs, task, start, alpha, reg, share, batch, state), STATE)
+
+
+def _folder(runs, task, start, alpha, reg, share, batch, state):
+    """The task body: runs of rows with one seg in, one state for each seg out."""
+    begin = np.array(start, float)
+
     def run(batches):
         seg, n, steps, w, first, seen = None, 0, 0, None, 0.0, 0.0
 
         def out():
             return pa.RecordBatch.from_arrays([pa.array([seg], pa.int64()), pa.array([n], pa.int64()), pa.array([steps], pa.int64()), pa.array([w.tolist()], pa.list_(pa.float64())), pa.array([first]), pa.array([seen])], names=["seg", "n", "steps", "w", "loss_start", "loss_seen"])
 
-        for b in batches:
-            segs, x, y = np.asarray(b.column(0)), dense(b.column(2)), np.asarray(b.column(3))
-            cuts = [0, *(np.flatnonzero(np.diff(segs)) + 1).tolist(), len(segs)]
-            for lo, hi in zip(cuts, cuts[1:], strict=False):
-                if lo == hi:
-                    continue
-                if segs[lo] != seg:
-                    if seg is not None:
-                        yield out()
-                    seg, n, steps, w, first, seen = int(segs[lo]), 0, 0, begin.copy(), 0.0, 0.0
-                xs, ys = x[lo:hi], y[lo:hi]
-                first += float(task.loss_np(xs @ begin, ys).sum())
-                if state == "passed":
-                    for i in range(hi - lo):
-                        w = w.copy()
-                        w, steps = walk(task, w, xs[i : i + 1], ys[i : i + 1], alpha, steps, reg, share)
-                else:
-                    w, steps = walk(task, w, xs, ys, alpha, steps, reg, share, batch)
-                n += hi - lo
+        for s, xs, ys in runs(batches):
+            if s != seg:
+                if seg is not None:
+                    yield out()
+                seg, n, steps, w, first, seen = s, 0, 0, begin.copy(), 0.0, 0.0
+            first += float(task.loss_np(xs @ begin, ys).sum())
+            if state == "passed":
+                for i in range(len(ys)):
+                    w = w.copy()
+                    w, steps = walk(task, w, xs[i : i + 1], ys[i : i + 1], alpha, steps, reg, share)
+            else:
+                w, steps = walk(task, w, xs, ys, alpha, steps, reg, share, batch)
+            n += len(ys)
         if seg is not None:
             yield out()
 
-    return rows.mapInArrow(run, STATE)
+    return run
+
+
+PACKED = "seg long, b int, n int, xs binary, ys binary"
+
+
+def pack(df: DataFrame, block_bytes: int = 1 << 20) -> DataFrame:
+    """(seg, b, n, xs, ys): the rows of a sorted table (seg, x, y) as blocks of raw numbers, in order.
+
+    Made once before many passes: a pass then moves blocks of about `block_bytes`
+    between the JVM and Python instead of one array for each row.
+    """
+
+    def run(batches):
+        number = 0
+        for b in batches:
+            segs, x, y = np.asarray(b.column(0)), dense(b.column(1)), np.asarray(b.column(2))
+            most = max(1, block_bytes // (8 * max(1, x.shape[1])))
+            cuts = [0, *(np.flatnonzero(np.diff(segs)) + 1).tolist(), len(segs)]
+            edges = [(i, min(i + most, hi)) for lo, hi in zip(cuts, cuts[1:], strict=False) for i in range(lo, hi, most)]
+            if not edges:
+                continue
+            ids = np.arange(number, number + len(edges), dtype=np.int32)
+            number += len(edges)
+            raw = lambda v: [np.ascontiguousarray(v[i:j], np.float64).tobytes() for i, j in edges]
+            yield pa.RecordBatch.from_arrays([pa.array(segs[[i for i, _ in edges]]), pa.array(ids), pa.array(np.array([j - i for i, j in edges], np.int32)), pa.array(raw(x), pa.binary()), pa.array(raw(y), pa.binary())], names=["seg", "b", "n", "xs", "ys"])
+
+    return df.select("seg", "x", "y").mapInArrow(run, PACKED)
+
+
+def _blocks(batches):
+    for b in batches:
+        for seg, n, xs, ys in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), b.column(3), b.column(4), strict=True):
+            yield seg, np.frombuffer(xs.as_buffer(), np.float64).reshape(n, -1), np.frombuffer(ys.as_buffer(), np.float64)
+
+
+def fold_packed(blocks: DataFrame, task: LinearTask, start: np.ndarray, alpha, reg: P.Prox | None = None, share: float = 0.0, batch: int = 1, state: str = "inplace") -> DataFrame:
+    """As `fold_arrow`, over blocks of `pack`."""
+    return blocks.mapInArrow(_folder(_blocks, task, start, alpha, reg, share, batch, state), STATE)
+
+
+def packed_sums(blocks: DataFrame, task: LinearTask, w: np.ndarray, with_gradient: bool = False) -> tuple[float, np.ndarray]:
+    """(loss, gradient) of all rows; one partial sum from each partition, added by the driver in no fixed order."""
+    w = np.array(w, float)
+
+    def run(batches):
+        loss, g = 0.0, np.zeros(len(w))
+        for _, x, y in _blocks(batches):
+            u = x @ w
+            loss += float(task.loss_np(u, y).sum())
+            if with_gradient:
+                g -= task.move_np(u, y) @ x
+        yield pa.RecordBatch.from_arrays([pa.array([loss]), pa.array([g.tolist()], pa.list_(pa.float64()))], names=["loss", "g"])
+
+    got = blocks.mapInArrow(run, "loss double, g array<double>").collect()
+    return sum(r.loss for r in got), sum((np.array(r.g) for r in got), np.zeros(len(w)))
 
 
 def coordinates(model: DataFrame, keys: list[str] = (), digits: int = 6) -> DataFrame:

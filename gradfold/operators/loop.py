@@ -43,8 +43,9 @@ def gradient(df: DataFrame, task: LinearTask, w) -> DataFrame:
 def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, step=None, parts: int = 1, weighting: str = "rows", stop: Rule | None = None, start=None, reg: prox.Prox | None = None, loss: str = "exact", syncs: int = 1, batch: int = 1, state: str = "inplace") -> FitResult:
     """Train on a table (id, x, y).
 
-    parts: segments of model averaging; 1 is the serial fold.  syncs: merges per
-    epoch.  loss: `exact` scans again after each epoch, `piggyback` takes the loss
+    The rows are exchanged, sorted and packed once for each order of theirs, and a
+    pass reads the packed blocks.  parts: segments of model averaging; 1 is the
+    serial fold.  syncs: merges per epoch, each over its share of the blocks.  loss: `exact` scans again after each epoch, `piggyback` takes the loss
     at the epoch's first model from the same pass, so the history lags one epoch.
     Rows with a null in x or y are dropped and counted.
     """
@@ -66,24 +67,26 @@ def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, ste
             keyed = order.apply(clean, e)
             seg = F.pmod(F.xxhash64("k"), F.lit(parts)) if parts > 1 else F.lit(0).cast("long")
             keyed = keyed.select(seg.alias("seg"), "k", "x", "y").repartition(parts, "seg").sortWithinPartitions("seg", "k")
-            held = keyed.persist(StorageLevel.MEMORY_AND_DISK)
+            held = folds.pack(keyed, max(1 << 12, (1 << 20) // syncs)).persist(StorageLevel.MEMORY_AND_DISK)
             held.count()
         t1 = time.time()
         seen = None
         for sync in range(syncs):
-            rows = held if syncs == 1 else held.where(F.pmod(F.xxhash64("k", F.lit(1)), F.lit(syncs)) == sync)
+            rows = held if syncs == 1 else held.where(F.pmod("b", F.lit(syncs)) == sync)
             alpha = (lambda k, e=e, s=steps: step(e, s + k)) if getattr(step, "per_step", False) else step(e)
-            got = folds.fold_arrow(rows, task, w, alpha, reg, share, batch, state, presorted=True).collect()  # one model for each part
+            got = folds.fold_packed(rows, task, w, alpha, reg, share, batch, state).collect()  # one model for each part
             weight = [r.n if weighting == "rows" else 1 for r in got]
             if got:
                 w = sum(a * np.array(r.w) for a, r in zip(weight, got, strict=True)) / sum(weight)
                 steps += sum(r.steps for r in got)
             seen = sum(r.loss_start for r in got) if seen is None else seen
         t2 = time.time()
-        value = objective(clean, task, w, reg) if loss == "exact" else (seen or 0.0)
+        if loss == "exact" or wants:
+            total, slope = folds.packed_sums(held, task, w, wants)
+        value = total + (reg.penalty(w) if reg else 0.0) if loss == "exact" else (seen or 0.0)
         row = {"epoch": e, "loss": value, "seconds": time.time() - t0, "sec_shuffle": t1 - t0, "sec_fold": t2 - t1, "sec_loss": time.time() - t2, "steps": steps, "w": w.copy()}
         if wants:
-            row["grad_norm"] = float(np.sqrt(sum(r.g**2 for r in gradient(clean, task, w).collect())))
+            row["grad_norm"] = float(np.linalg.norm(slope))
         history.append(row)
         if stop(history):
             break

@@ -8,6 +8,7 @@ folds, orders, parallel schemes, measures - is shared by all tasks.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -30,6 +31,11 @@ class LinearTask:
     score: Callable[[Column], Column]
     sql_move: str = ""
     sql_loss: str = ""
+    #: `move` of two Python floats; what a serial walk calls for each row
+    move_one: Callable[[float, float], float] | None = None
+
+    def one(self) -> Callable[[float, float], float]:
+        return self.move_one or (lambda u, y: float(self.move_np(u, y)))
 
     def loss_of(self, w: Column, x: Column, y: Column) -> Column:
         return V.let(V.dot(w, x), lambda u: self.loss(u, y))
@@ -53,6 +59,7 @@ LR = LinearTask(
     lambda u: 1.0 / (1.0 + F.exp(-u)),
     "({y} / (1.0::DOUBLE + exp({y} * ({u}))))",
     "(ln(1.0::DOUBLE + exp(-abs({u}))) + greatest(-({y}) * ({u}), 0.0::DOUBLE))",
+    lambda u, y: y / (1.0 + math.exp(min(y * u, 700.0))),
 )
 SVM = LinearTask(
     "svm",
@@ -63,6 +70,7 @@ SVM = LinearTask(
     lambda u: F.when(u < 0, -1.0).otherwise(1.0),
     "(CASE WHEN {y} * ({u}) < 1.0 THEN {y} ELSE 0.0::DOUBLE END)",
     "greatest(0.0::DOUBLE, 1.0::DOUBLE - {y} * ({u}))",
+    lambda u, y: y if y * u < 1.0 else 0.0,
 )
 LSQ = LinearTask(
     "lsq",
@@ -73,6 +81,7 @@ LSQ = LinearTask(
     lambda u: u,
     "({y} - ({u}))",
     "(0.5::DOUBLE * (({u}) - {y}) * (({u}) - {y}))",
+    lambda u, y: y - u,
 )
 HUBER = LinearTask(
     "huber",
@@ -104,6 +113,6 @@ POISSON = LinearTask(
     "({y} - exp({u}))",
     "(exp({u}) - {y} * ({u}))",
 )
-NULL = LinearTask("null", lambda u, y: F.lit(0.0), lambda u, y: F.lit(0.0), lambda u, y: 0.0 * u, lambda u, y: 0.0 * u, lambda u: u, "0.0::DOUBLE", "0.0::DOUBLE")
+NULL = LinearTask("null", lambda u, y: F.lit(0.0), lambda u, y: F.lit(0.0), lambda u, y: 0.0 * u, lambda u, y: 0.0 * u, lambda u: u, "0.0::DOUBLE", "0.0::DOUBLE", lambda u, y: 0.0)
 
 LINEAR = {t.name: t for t in (LR, SVM, LSQ, HUBER, ABSOLUTE, POISSON, NULL)}
