@@ -55,8 +55,8 @@ def _windows(part: pa.RecordBatch, text: str, window: int, gram: int):
     return words, hashes, begin, doc_of[begin] if n else begin, anchor
 
 
-def anchors(docs: DataFrame, ident: str, text: str, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """(h, id): the anchors of each document's windows; documents with fewer words have none."""
+def anchors(docs: DataFrame, text: str, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """(h, id, x): the anchors of each document's windows; documents with fewer words have none.  `docs` has id and x."""
 
     def work(part):
         words, hashes, begin, doc, anchor = _windows(part, text, window, gram)
@@ -65,81 +65,106 @@ def anchors(docs: DataFrame, ident: str, text: str, window: int = WINDOW, gram:
             return None
         h = kernels.mixed(kernels.rolling(hashes, at, at + gram, kernels._STEP)).view(np.int64)
         both = np.unique(np.stack([doc[first], h]), axis=1)  # once in a document is enough
-        ids = part.column(part.schema.get_field_index(ident))
-        return pa.RecordBatch.from_arrays([pa.array(both[1]), ids.take(pa.array(both[0]))], names=["h", "id"])
+        rows = pa.array(both[0])
+        return pa.RecordBatch.from_arrays([pa.array(both[1]), *(part.column(part.schema.get_field_index(c)).take(rows) for c in ("id", "x"))], names=["h", "id", "x"])
 
-    kind = docs.schema[ident].dataType.simpleString()
-    return _rows(docs.select(quoted(ident), quoted(text)), f"h long, id {kind}", text, work)
+    kind = docs.schema["id"].dataType.simpleString()
+    return _rows(docs.select("id", "x", quoted(text)), f"h long, id {kind}, x long", text, work)
 
 
-def shared_windows(docs: DataFrame, ident: str, text: str, marked: str, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """(h1, h2, id, x, at): the windows whose anchor is in the document's array `marked`, by 128 bits of their words' digest."""
+WINDOWS = T.ArrayType(T.StructType([T.StructField(n, T.LongType(), False) for n in ("h1", "h2", "at")]), False)
 
-    def work(part):
-        words, hashes, begin, doc, anchor = _windows(part, text, window, gram)
-        lists = part.column(part.schema.get_field_index(marked))
-        flat = np.asarray(lists.flatten()).astype(np.int64)
-        owner = np.repeat(np.arange(part.num_rows), np.asarray(lists.value_lengths().fill_null(0)))
-        at, back = np.unique(anchor, return_inverse=True)
-        if not len(at) or not len(flat):
-            return None
-        h = kernels.mixed(kernels.rolling(hashes, at, at + gram, kernels._STEP)).view(np.int64)
-        where = np.argsort(flat, kind="stable")
-        flat, owner = flat[where], owner[where]
-        low, high = np.searchsorted(flat, h[back], "left"), np.searchsorted(flat, h[back], "right")
-        good = high > low
-        # the hash must be marked for this document, not only for another one of the slice
-        many = np.flatnonzero(good)
-        mine = np.fromiter((d in owner[a:b] for d, a, b in zip(doc[many].tolist(), low[many].tolist(), high[many].tolist(), strict=True)), bool, len(many))
-        begin, doc = begin[many[mine]], doc[many[mine]]
-        if not len(begin):
-            return None
+
+def _marked_windows(part: pa.RecordBatch, text: str, marked: str, window: int, gram: int) -> pa.ListArray:
+    """For each text the windows whose anchor is in its array `marked`, by 128 bits of the digest of their words."""
+    words, hashes, begin, doc, anchor = _windows(part, text, window, gram)
+    lists = part.column(part.schema.get_field_index(marked))
+    flat = np.asarray(lists.flatten()).astype(np.int64).view(np.uint64)
+    owner = np.repeat(np.arange(part.num_rows), np.asarray(lists.value_lengths().fill_null(0)))
+    at, back = np.unique(anchor, return_inverse=True)
+    h = kernels.mixed(kernels.rolling(hashes, at, at + gram, kernels._STEP))
+    mine = lambda h, d: kernels.mixed(h ^ kernels.mixed(d.astype(np.uint64) + np.uint64(1)))  # noqa: E731  marked for this document
+    good = np.isin(mine(h[back], doc), mine(flat, owner)) if len(at) and len(flat) else np.zeros(len(begin), bool)
+    begin, doc = begin[good], doc[good]
+    pair = np.zeros((0, 2), np.int64)
+    if len(begin):
         size = words.ends - words.starts
         to = np.cumsum(size + 1)
         spelt = np.full(int(to[-1]), 0x20, np.uint8)  # all words of the slice, each with one space after it
-        source = np.repeat(words.starts - (to - size - 1), size) + (place := np.arange(int(size.sum())) + np.repeat(np.arange(len(size)), size))
-        spelt[place] = words.data[source]
+        place = np.arange(int(size.sum())) + np.repeat(np.arange(len(size)), size)
+        spelt[place] = words.data[np.repeat(words.starts - (to - size - 1), size) + place]
         raw, digest = spelt.tobytes(), hashlib.blake2b
         start, end = (to - size - 1)[begin], to[begin + window - 1] - 1
         sums = b"".join([digest(raw[a:b], digest_size=16).digest() for a, b in zip(start.tolist(), end.tolist(), strict=True)])
         pair = np.frombuffer(sums, np.int64).reshape(-1, 2)
-        ids = part.column(part.schema.get_field_index(ident))
-        return pa.RecordBatch.from_arrays([pa.array(pair[:, 0].copy()), pa.array(pair[:, 1].copy()), ids.take(pa.array(doc)), part.column(part.schema.get_field_index("x")).take(pa.array(doc)), pa.array(begin - words.first[doc])], names=["h1", "h2", "id", "x", "at"])
+    cuts = np.searchsorted(doc, np.arange(part.num_rows + 1)).astype(np.int32)
+    structs = pa.StructArray.from_arrays([pa.array(pair[:, 0].copy()), pa.array(pair[:, 1].copy()), pa.array((begin - words.first[doc]).astype(np.int64))], ["h1", "h2", "at"])
+    return pa.ListArray.from_arrays(pa.array(cuts), structs)
+
+
+def _digest(words: list[bytes]) -> str:
+    return hashlib.sha256(b" ".join(words)).hexdigest()
+
+
+FIRST = T.StructType([T.StructField("n_words", T.LongType(), False), T.StructField("n_removed", T.LongType(), False), T.StructField("kept", T.StringType(), True), T.StructField("text", T.StringType(), True), T.StructField("windows", WINDOWS, False)])
 
-    kind = docs.schema[ident].dataType.simpleString()
-    return _rows(docs.select(quoted(ident), quoted(text), F.col("x"), quoted(marked)), f"h1 long, h2 long, id {kind}, x long, at long", text, work)
+
+def _first_pass(docs: DataFrame, window: int, gram: int, digest: bool) -> DataFrame:
+    """(id, x, s): the answer for documents that share no anchor and for copies of a whole text, and for others their text and windows."""
+
+    def work():
+        def each(part):
+            col = lambda c: part.column(part.schema.get_field_index(c))
+            data, offs = kernels.text_bytes(col("text"))
+            raw, cuts = data.tobytes(), offs.tolist()
+            n, gone, kept, texts = [], [], [], []
+            for a, b, copy, open_ in zip(cuts, cuts[1:], col("copy").to_pylist(), col("marked").is_valid().to_pylist(), strict=False):
+                words = raw[a:b].split()
+                n.append(len(words))
+                gone.append(len(words) if copy and len(words) >= window else 0)
+                left = [] if gone[-1] else words
+                undecided = open_ and not copy
+                kept.append(None if undecided else _digest(left) if digest else b" ".join(left).decode("utf-8", "replace"))
+                texts.append(raw[a:b].decode("utf-8", "replace") if undecided else None)
+            return {"n_words": n, "n_removed": gone, "kept": kept, "text": texts, "windows": _marked_windows(part, "text", "marked", window, gram)}
+
+        return each
+
+    return append_struct(docs, "s", FIRST, "text", work, keep=["id", "x"])
 
 
 class FingerprintIndex:
-    """Immutable sorted runs of anchors, (h, lo, hi): the smallest and largest id of the documents with that anchor."""
+    """Immutable runs of (h, id), the anchors of the documents of a batch, each bucketed and sorted by h."""
 
-    def __init__(self, spark: SparkSession, location: str | None = None, id_type: str = "bigint", fan_in: int = FAN_IN):
-        self.spark, self.location, self.id_type, self.fan_in = spark, location or fresh_path(spark, "window-index"), id_type, fan_in
+    def __init__(self, spark: SparkSession, location: str | None = None, fan_in: int = FAN_IN):
+        self.spark, self.location, self.fan_in = spark, location or fresh_path(spark, "window-index"), fan_in
         self.buckets, self.runs = partitions(spark), []
 
     def append(self, rows: DataFrame) -> None:
         name = f"window_run_{uuid.uuid4().hex}"
         n = self.buckets
-        rows.repartition(n, "h").sortWithinPartitions("h").write.format("parquet").bucketBy(n, "h").sortBy("h").option("path", f"{self.location}/{name}").saveAsTable(name)
+        rows.select("h", "id").repartition(n, "h").sortWithinPartitions("h").write.format("parquet").bucketBy(n, "h").sortBy("h").option("path", f"{self.location}/{name}").saveAsTable(name)
         self.runs = [*self.runs, name]
         if len(self.runs) > self.fan_in:
             self.compact()
 
     def compact(self) -> None:
         """Merge all runs into one; the old ones are dropped when it is written."""
-        old, self.runs = self.runs, []
-        if old:
-            self.append(self.history(old))
+        old = self.runs
+        merged = self.rows()
+        self.runs = []
+        if merged is not None:
+            self.append(merged.distinct())
             for name in old:
                 self.spark.sql(f"DROP TABLE {name}")
 
-    def history(self, runs: list[str] | None = None) -> DataFrame | None:
-        """(h, lo, hi) over some runs, by default all; None without any."""
-        all_runs = None
-        for name in self.runs if runs is None else runs:
+    def rows(self) -> DataFrame | None:
+        """(h, id) over all runs; None without any."""
+        out = None
+        for name in self.runs:
             one = self.spark.table(name)
-            all_runs = one if all_runs is None else all_runs.union(one)
-        return None if all_runs is None else all_runs.groupBy("h").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+            out = one if out is None else out.union(one)
+        return out
 
 
 KEPT = T.StructType([T.StructField("n_words", T.LongType(), False), T.StructField("n_removed", T.LongType(), False), T.StructField("kept", T.StringType(), False)])
@@ -183,40 +208,49 @@ def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFr
     space; with `digest` it is the SHA-256 of that instead.  Null texts have no
     words.  Rows with a null id are left whole and not indexed.  Rows that share
     an id are parts of one document and never judged against each other.
+
+    The text is exchanged once, and that of documents with a shared anchor once
+    more.  Whole texts that repeat go by their digests and send no windows.
     """
     kind = batch.schema[ident].dataType.simpleString()
-    docs = batch.select(quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("x"))
-    own = stored(anchors(docs.where("id is not null"), "id", "text", window, gram), "anchors")
+    key = [quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("x")]
+    docs = batch.select(*key)
+    # copies of a whole text with a smaller id: all their windows are that one's
+    whole = stored(docs.where("id is not null and text is not null").select("id", "x", F.unhex(F.sha2("text", 256)).alias("d")), "text-digests")
+    firsts = whole.groupBy("d").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("d", "lo")
+    copies = stored(whole.join(firsts, "d").where("id > lo").select("id", "x").distinct(), "copies")
+    own = stored(anchors(docs.where("id is not null"), "text", window, gram).join(copies, ["id", "x"], "left_anti"), "anchors")
     here = own.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi"))
-    here = stored(here, "anchor-groups")
-    past = index.history()
+    past = index.rows()
     if past is None:
-        met = here.where("lo != hi").select("h")
-        old = None
+        met, old = here.where("lo != hi").select("h"), None
     else:
-        joined = here.join(past.select("h", F.col("lo").alias("plo"), F.col("hi").alias("phi")), "h", "left")
-        met = joined.where("plo is not null or lo != hi").select("h")
-        old = stored(joined.where("plo is not null").select("h"), "met-history")
-    met = stored(met, "met")
-    marks = own.join(met, "h").groupBy("id").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
-    source = docs.join(marks, "id")
+        joined = here.join(past.groupBy("h").agg(F.count("*").alias("n")), "h", "left")
+        met = joined.where("n is not null or lo != hi").select("h")
+        old = stored(past.join(here.select("h"), "h", "left_semi").groupBy("id").agg(F.collect_set("h").alias("marked")), "met-history")
+    marks = own.join(stored(met, "met"), "h").groupBy("id", "x").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
+    info = marks.withColumn("copy", F.lit(False)).union(copies.select("id", "x", F.lit(None).cast("array<bigint>"), F.lit(True)))
+    first = stored(_first_pass(docs.join(info, ["id", "x"], "left").withColumn("copy", F.coalesce("copy", F.lit(False))), window, gram, digest), "first-pass")
+    open_ = first.where("s.text is not null")
+    windows = open_.select("id", "x", F.explode("s.windows").alias("w")).select("id", "x", "w.*")
+    every = windows.select("h1", "h2", "id")
     if old is not None and earlier is not None:
-        # only the earlier documents that hold an anchor of the batch are read again
-        before = earlier.select(quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("x")).where("id is not null")
-        again = anchors(before, "id", "text", window, gram).join(old, "h").groupBy("id").agg(F.collect_set("h").alias("marked"))
-        source = source.union(before.join(again, "id"))
-    windows = stored(shared_windows(source, "id", "text", "marked", window, gram), "windows")
-    least = windows.groupBy("h1", "h2").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("h1", "h2", "lo")
+        # of the earlier documents only those that hold an anchor of the batch are read again
+        before = earlier.select(*key).where("id is not null").join(old, "id").withColumn("copy", F.lit(False))
+        again = _first_pass(before, window, gram, digest).select("id", F.explode("s.windows").alias("w"))
+        every = every.union(stored(again.select("w.h1", "w.h2", "id"), "earlier-windows"))
+    least = every.groupBy("h1", "h2").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("h1", "h2", "lo")
     late = windows.join(least, ["h1", "h2"]).where("id > lo").groupBy("id", "x").agg(F.collect_set("at").alias("starts"))
-    index.append(here)
-    full = docs.join(late, ["id", "x"], "left")
-    made = _without(full, "text", "starts", ["id"], window, "s", digest)
-    return made.select(F.col("id").cast(kind).alias(ident), "s.n_words", "s.n_removed", F.col("s.kept").alias("kept"))
+    index.append(own.select("h", "id").distinct())
+    made = _without(open_.select("id", "x", "s.text").join(late, ["id", "x"], "left"), "text", "starts", ["id"], window, "s", digest)
+    done = first.where("s.text is null")
+    out = done.select("id", "s.n_words", "s.n_removed", "s.kept").union(made.select("id", "s.n_words", "s.n_removed", "s.kept"))
+    return out.select(F.col("id").cast(kind).alias(ident), "n_words", "n_removed", "kept")
 
 
-def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", batches: int = 2, digest: bool = False, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """The same for a whole table, taken in as batches of rising ids by way of a fresh index."""
-    index = FingerprintIndex(docs.sparkSession, id_type=docs.schema[ident].dataType.simpleString())
+def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", batches: int = 1, digest: bool = False, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """The same for a whole table by way of a fresh index: loaded as one run, or taken in as `batches` of rising ids."""
+    index = FingerprintIndex(docs.sparkSession)
     key = quoted(ident)
     probs = [i / batches for i in range(1, batches)]
     cuts = sorted(set(docs.agg(F.percentile_approx(key, probs, 1000)).first()[0] or [])) if probs else []
