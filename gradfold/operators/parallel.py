@@ -8,16 +8,19 @@ counterpart: which model version each step sees is a function of the step number
 
 from __future__ import annotations
 
+import contextlib
 import fcntl
 import os
+import threading
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 from multiprocessing import resource_tracker, shared_memory
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .folds import dense
+from .folds import _blocks, dense
 from .tasks import LinearTask
 
 SCHEMES = ("lock", "aig", "nolock")
@@ -119,3 +122,40 @@ def shared_epoch(df: DataFrame, task: LinearTask, model: SharedModel, alpha: flo
         if os.path.exists(f"/tmp/{name}.{i}.lock"):
             os.unlink(f"/tmp/{name}.{i}.lock")
     return total
+
+
+def hybrid_epoch(blocks: DataFrame, task: LinearTask, start: np.ndarray, alpha: float, threads: int = 4, scheme: str = "nolock") -> DataFrame:
+    """(seg, n, w): concurrent writers inside a part, to be averaged between parts (`merge.average`).
+
+    `blocks` are packed rows (`folds.pack`) with a part for each host.  The rows of
+    a block are dealt to threads that step on one model of the task, under one lock
+    or without; a task that is lost runs again from `start`.
+    """
+    begin = np.array(start, float)
+
+    def run(batches):
+        lock = threading.Lock() if scheme == "lock" else contextlib.nullcontext()
+        one = task.one()
+        seg, n, w = None, 0, begin.copy()
+
+        def work(x, y):
+            for row, target in zip(x, y.tolist(), strict=True):
+                with lock:
+                    w.__iadd__((alpha * one(float(row @ w), target)) * row)
+
+        def out():
+            return pa.RecordBatch.from_arrays([pa.array([seg], pa.int64()), pa.array([n], pa.int64()), pa.array([w.tolist()], pa.list_(pa.float64()))], names=["seg", "n", "w"])
+
+        with ThreadPoolExecutor(threads) as pool:
+            for s, x, y in _blocks(batches):
+                if s != seg:
+                    if seg is not None:
+                        yield out()
+                    seg, n = s, 0
+                    w[:] = begin
+                list(pool.map(work, [x[i::threads] for i in range(threads)], [y[i::threads] for i in range(threads)]))
+                n += len(y)
+        if seg is not None:
+            yield out()
+
+    return blocks.mapInArrow(run, "seg long, n long, w array<double>")

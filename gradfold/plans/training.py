@@ -577,6 +577,45 @@ def shared_nolock_lr(spark, sf):
     return spark.createDataFrame(out, "epoch int, loss double")
 
 
+@query()
+def hybrid_lr(spark, sf):
+    """Two parts with four lock-free threads each, averaged after each of three epochs: the loss."""
+    blocks = folds.pack(segmented(X.emb_half(spark, sf), 2).repartition(2, "seg").sortWithinPartitions("seg", "k")).persist()
+    w, out = np.zeros(X.D), []
+    for e in range(1, 4):
+        got = merge.average(parallel.hybrid_epoch(blocks, LR, w, 0.1 / e**0.5)).collect()
+        w = np.array([r.w for r in sorted(got)])
+        out.append((e, folds.packed_sums(blocks, LR, w)[0]))
+    blocks.unpersist()
+    return spark.createDataFrame(out, "epoch int, loss double")
+
+
+def _minibatch_sql(size=10, rows=50):
+    steps, start = [], "list_resize(CAST([] AS DOUBLE[]), " + str(X.D) + ", 0.0::DOUBLE)"
+    for b in range(rows // size):
+        w = start if b == 0 else f"(SELECT w FROM s{b - 1})"
+        g = f"SELECT list(g ORDER BY j) AS g FROM (SELECT j, avg(c * v) AS g FROM (SELECT {LR.sql_move.format(u=f'list_dot_product({w}, x)', y='y')} AS c, unnest(range(0, {X.D})) AS j, unnest(x) AS v FROM d WHERE p // {size} = {b}) GROUP BY j)"
+        steps.append(f"s{b} AS (SELECT list_transform(list_zip({w}, g), lambda z: z[1] + 0.5::DOUBLE * z[2]) AS w FROM ({g}))")
+    data = f"d AS (SELECT x, y, row_number() OVER (ORDER BY {H.sql_key('42', 'id')}) - 1 AS p FROM ({X.SQL_TINY}))"
+    return f"WITH {data}, {', '.join(steps)} SELECT j::INT AS j, round(v, 6) + 0.0 AS w FROM (SELECT unnest(range(0, {X.D})) AS j, unnest(w) AS v FROM s{rows // size - 1})"
+
+
+@query(_minibatch_sql())
+def igd_lr_minibatch(spark, sf):
+    """Steps on the mean of ten rows: the variant between row steps and batch gradient."""
+    df = keyed(X.tiny(spark, sf)).withColumn("seg", F.lit(0).cast("long")).repartition(1, "seg")
+    return folds.coordinates(folds.fold_arrow(df, LR, np.zeros(X.D), 0.5, batch=10))
+
+
+@query("WITH t(seg, feature, delta) AS (VALUES (0, 1, 0.5::DOUBLE), (0, 2, 1.0), (1, 1, 0.25), (2, 3, -0.75)) SELECT feature, round(sum(delta) / 3, 6) AS dense, round(avg(delta), 6) AS touched FROM t GROUP BY feature")
+def merge_sparse_deltas(spark, sf):
+    """Sparse model changes of three parts, averaged over all parts and over those that touched a feature."""
+    deltas = spark.sql("SELECT * FROM VALUES (0, 1, 0.5D), (0, 2, 1.0D), (1, 1, 0.25D), (2, 3, -0.75D) AS t(seg, feature, delta)")
+    a = merge.average_touched(deltas, 3).withColumnRenamed("delta", "dense")
+    b = merge.average_touched(deltas, 3, touched=True).withColumnRenamed("delta", "touched")
+    return a.join(b, "feature").select("feature", F.round("dense", 6).alias("dense"), F.round("touched", 6).alias("touched"))
+
+
 # baselines
 
 
