@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 
 from . import kernels
 from .components import components
-from .shared import append_struct, quoted, stored
+from .shared import append_struct, quoted, release, stored
 
 SHINGLE, BANDS, ROWS, SIMILAR = 8, 10, 4, 0.8
 #: Signatures work on less text at a time, so that the arrays stay in cache.
@@ -67,11 +67,14 @@ def jaccard(a: str, b: str, shingle: int = SHINGLE) -> float:
     return len(s & t) / len(s | t)
 
 
-OCCURS = "t long, at int, line binary, keys array<long>"
+OCCURS = "t long, at int, line binary, lid long, keys array<long>"
 
 
 def _occurrences(docs: DataFrame, text: str, key: str) -> DataFrame:
-    """(id, t, at, line, keys): every line that is not blank; keys once for each distinct line of a slice, else empty."""
+    """(id, t, at, line, lid, keys): every line that is not blank; keys once for each distinct line of a slice, else empty.
+
+    `line` is a digest of 128 bits, which stands for the line; lid, its first half, is enough to find candidates by.
+    """
 
     def work(batches):
         for batch in batches:
@@ -87,46 +90,50 @@ def _occurrences(docs: DataFrame, text: str, key: str) -> DataFrame:
                             line.append(seen.setdefault(x, len(seen)))
                 if not row:
                     continue
-                names = pa.array([line_id(x) for x in seen], pa.binary())
+                ids = [line_id(x) for x in seen]
+                names, short = pa.array(ids, pa.binary()), pa.array(np.frombuffer(b"".join(i[:8] for i in ids), np.int64))
                 keys = pa.array(bands(list(seen)).ravel())
                 fresh = np.array(fresh)
                 counts = np.where(fresh, BANDS, 0)
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), keys)
                 index = pa.array(row)
                 cols = [part.column(part.schema.get_field_index(c)).take(index) for c in ("id", key)]
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(at, pa.int32()), names.take(pa.array(line)), lists], names=["id", "t", "at", "line", "keys"])
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(at, pa.int32()), names.take(pa.array(line)), short.take(pa.array(line)), lists], names=["id", "t", "at", "line", "lid", "keys"])
 
     kind = docs.schema["id"].dataType.simpleString()
     return docs.mapInArrow(work, f"id {kind}, {OCCURS}")
 
 
 def _texts(docs: DataFrame, wanted: DataFrame, text: str, key: str) -> DataFrame:
-    """(line, x): the text of each wanted line, which (t, at) finds."""
+    """(lid, line, x): the text of each wanted line, which (t, at) finds."""
 
     def work(batches):
         for batch in batches:
-            line, x = [], []
+            lid, line, x = [], [], []
             for t, spots in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 parts = (t or "").split("\n")
+                lid += [s["lid"] for s in spots]
                 line += [s["line"] for s in spots]
                 x += [parts[s["at"]] for s in spots]
-            yield pa.RecordBatch.from_arrays([pa.array(line, pa.binary()), pa.array(x, pa.string())], names=["line", "x"])
+            yield pa.RecordBatch.from_arrays([pa.array(lid, pa.int64()), pa.array(line, pa.binary()), pa.array(x, pa.string())], names=["lid", "line", "x"])
 
-    spots = wanted.groupBy("t").agg(F.collect_list(F.struct("at", "line")).alias("spots"))  # lines of one text
+    spots = wanted.groupBy("t").agg(F.collect_list(F.struct("at", "lid", "line")).alias("spots"))  # lines of one text
     once = docs.select(F.col(key).alias("t"), F.col(text).alias("text")).join(spots, "t").dropDuplicates(["t"])
-    return once.select("text", "spots").mapInArrow(work, "line binary, x string")
+    return once.select("text", "spots").mapInArrow(work, "lid long, line binary, x string")
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, similar: float, shingle: int) -> DataFrame:
-    """The pairs (a, b) of lines whose similarity is at least `similar`."""
+    """The pairs (a, b) of lines, from pairs of lids, whose similarity is at least `similar`."""
 
     def work(batches):
         for batch in batches:
             good = [jaccard(a, b, shingle) >= similar for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(good))
 
-    both = pairs.join(texts.select(F.col("line").alias("a"), F.col("x").alias("xa")), "a").join(texts.select(F.col("line").alias("b"), F.col("x").alias("xb")), "b")
-    return both.select("a", "b", "xa", "xb").mapInArrow(work, "a binary, b binary")
+    left = texts.select(F.col("lid").alias("a"), F.col("line").alias("la"), F.col("x").alias("xa"))
+    right = texts.select(F.col("lid").alias("b"), F.col("line").alias("lb"), F.col("x").alias("xb"))
+    both = pairs.join(left, "a").join(right, "b")
+    return both.select(F.col("la").alias("a"), F.col("lb").alias("b"), "xa", "xb").mapInArrow(work, "a binary, b binary")
 
 
 KEPT = T.StructType([T.StructField("n_lines", T.LongType(), False), T.StructField("n_removed", T.LongType(), False), T.StructField("kept", T.StringType(), False)])
@@ -140,34 +147,39 @@ def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", simi
     line.  Repeated rows with one id and text are judged alike.  With `digest`
     kept is the SHA-256 of what is left.
     """
-    kind = docs.schema[ident].dataType.simpleString()
+    spark, kind = docs.sparkSession, docs.schema[ident].dataType.simpleString()
     base = docs.select(quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("t"))
     seen = stored(_occurrences(base, "text", "t"), "lines")
     rank = F.struct(F.col("id").isNull().alias("z"), F.col("id").alias("i"), F.col("at").alias("n"))
-    keys = seen.where(F.size("keys") > 0).select("line", "t", "at", F.explode("keys").alias("key"))
-    # buckets with more than one distinct line, each line with where its text can be read
-    crowd = keys.groupBy("key").agg(F.min("line").alias("head"), F.max("line").alias("last")).where("head != last").select("key", "head")
-    crowd = stored(keys.join(crowd, "key").groupBy("key", "head", "line").agg(F.min(F.struct("t", "at")).alias("s")), "buckets")
-    wanted = crowd.groupBy("line").agg(F.min("s").alias("s")).select("line", "s.t", "s.at")
-    texts = stored(_texts(base, wanted, "text", "t"), "line-texts")
-    pairs = crowd.where("line != head").select(F.col("line").alias("a"), F.col("head").alias("b")).distinct()
+    keys = seen.where(F.size("keys") > 0).select("lid", F.explode("keys").alias("key"))
+    # every line of a bucket with the bucket's least one; a bucket of one line gives nothing
+    heads = keys.groupBy("key").agg(F.min("lid").alias("head"))
+    crowd = stored(keys.join(heads, "key").where("lid != head").distinct(), "candidates")
+    release(spark)
+    pairs = crowd.select(F.col("lid").alias("a"), F.col("head").alias("b")).distinct()
+    wanted = crowd.select(F.explode(F.array("lid", "head")).alias("lid")).distinct()
+    spots = seen.select("lid", "line", "t", "at").join(wanted, "lid", "left_semi").groupBy("lid", "line").agg(F.min(F.struct("t", "at")).alias("s"))
+    texts = stored(_texts(base, spots.select("lid", "line", "s.t", "s.at"), "text", "t"), "line-texts")
+    release(spark)
     links = stored(_verified(pairs, texts, similar, SHINGLE), "star-links")
     joined = stored(components(links), "line-components")
-    own = crowd.select("key", "line").join(joined, F.col("line") == F.col("node"), "left").select("key", "line", F.coalesce("component", "line").alias("c"))
+    of = texts.select("lid", "line").join(joined, F.col("line") == F.col("node"), "left").select("lid", F.coalesce("component", "line").alias("c"))
+    own = crowd.select("key", F.explode(F.array("lid", "head")).alias("lid")).distinct().join(of, "lid")
     mixed = own.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x != y").select("key")
     left = stored(own.join(mixed, "key"), "mixed-buckets")
     a, b = left.alias("a"), left.alias("b")
-    rest = a.join(b, (F.col("a.key") == F.col("b.key")) & (F.col("a.c") < F.col("b.c"))).select(F.col("a.line").alias("a"), F.col("b.line").alias("b")).distinct()
-    rest = rest.join(pairs.select(F.greatest("a", "b").alias("pa"), F.least("a", "b").alias("pb")), (F.greatest("a", "b") == F.col("pa")) & (F.least("a", "b") == F.col("pb")), "left_anti")
-    more = stored(_verified(rest, texts, similar, SHINGLE), "cross-links")
+    rest = a.join(b, (F.col("a.key") == F.col("b.key")) & (F.col("a.c") < F.col("b.c"))).select(F.greatest("a.lid", "b.lid").alias("a"), F.least("a.lid", "b.lid").alias("b")).distinct()
+    more = stored(_verified(rest.join(pairs, ["a", "b"], "left_anti"), texts, similar, SHINGLE), "cross-links")
     if not more.isEmpty():
         joined = stored(components(links.union(more)), "line-components")
+    release(spark)
     # of each component the first occurrence stays; lines alone need no join
     line_first = seen.groupBy("line").agg(F.min(rank).alias("first"), F.count("*").alias("n"))
     classed = line_first.join(joined, F.col("line") == F.col("node"), "left").select("line", "first", "n", F.coalesce("component", "line").alias("c"))
     classed = stored(classed, "line-classes")
     heads = classed.groupBy("c").agg(F.min("first").alias("head"), F.sum("n").alias("m")).where("m > 1").select("c", "head")
     doomed = stored(classed.join(heads, "c").select("line", "head"), "line-heads")
+    release(spark)
     gone = seen.select("id", "t", "at", "line").join(doomed, "line").where(rank != F.col("head")).groupBy("id", "t").agg(F.collect_set("at").alias("gone"))
     full = base.join(gone.withColumnRenamed("id", "gid").withColumnRenamed("t", "gt"), F.col("id").eqNullSafe(F.col("gid")) & (F.col("t") == F.col("gt")), "left")
 

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels
-from .shared import append_struct, fresh_path, partitions, quoted, stored
+from .shared import append_struct, fresh_path, partitions, quoted, release, stored
 
 WINDOW, GRAM, FAN_IN = 50, 25, 4
 
@@ -231,6 +231,7 @@ def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFr
     marks = own.join(stored(met, "met"), "h").groupBy("id", "x").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
     info = marks.withColumn("copy", F.lit(False)).union(copies.select("id", "x", F.lit(None).cast("array<bigint>"), F.lit(True)))
     first = stored(_first_pass(docs.join(info, ["id", "x"], "left").withColumn("copy", F.coalesce("copy", F.lit(False))), window, gram, digest), "first-pass")
+    release(batch.sparkSession)
     open_ = first.where("s.text is not null")
     windows = open_.select("id", "x", F.explode("s.windows").alias("w")).select("id", "x", "w.*")
     every = windows.select("h1", "h2", "id")
