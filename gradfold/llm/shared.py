@@ -16,12 +16,15 @@ from pyspark.sql.pandas.types import to_arrow_type
 from . import kernels
 
 
+_LOCAL: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or a fresh local one where that is unset."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
-        found = tempfile.mkdtemp(prefix="gradfold-")
-        spark.conf.set("spark.checkpoint.dir", found)
+        app = spark.sparkContext.applicationId
+        found = _LOCAL[app] = _LOCAL.get(app) or tempfile.mkdtemp(prefix="gradfold-")
     return found.rstrip("/")
 
 
