@@ -51,7 +51,8 @@ def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, ste
     """
     order, step, stop = order or ShuffleOnce(), step or Constant(0.1), stop or MaxEpochs(3)
     clean = df.where(F.col("x").isNotNull() & F.col("y").isNotNull())
-    n, dropped = clean.count(), df.where(F.col("x").isNull() | F.col("y").isNull()).count()
+    total, n = df.agg(F.count("*"), F.count_if(F.col("x").isNotNull() & F.col("y").isNotNull())).first()
+    dropped = total - n
     share = 1.0 / max(1, n)
     w = np.zeros(d) if start is None else np.array(start, float)
     wants = any(getattr(r, "wants_gradient", False) for r in (stop, getattr(stop, "a", None), getattr(stop, "b", None)))

@@ -70,6 +70,13 @@ def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int
         def run(batches, begin=begin, a=a, e=e):
             rng = np.random.default_rng([seed, e, TaskContext.get().partitionId()])
             model, loss, n, p, j = begin.copy(), 0.0, 0, 0, 0
+            one, step_dot = task.one(), model.dot
+
+            def step(row, target):
+                c = a * one(float(step_dot(row)), float(target))
+                if c:
+                    model.__iadd__(c * row)
+
             fill_x, fill_y = np.zeros((size, len(begin))), np.zeros(size)
             use: tuple[np.ndarray, np.ndarray] | None = None
             stop = threading.Event()
@@ -82,7 +89,7 @@ def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int
                     if mine is None:
                         stop.wait(0.001)
                         continue
-                    walk(task, model, mine[0][at : at + 1], mine[1][at : at + 1], a)
+                    step(mine[0][at], mine[1][at])
                     at = (at + 1) % len(mine[1])
 
             thread = threading.Thread(target=memory, daemon=True) if threaded else None
@@ -95,13 +102,12 @@ def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int
                     n, p = n + 1, p + 1
                     s = p - 1 if p <= size else int(rng.integers(p))
                     if p > size:
-                        gone = (fill_x[s : s + 1], fill_y[s : s + 1]) if s < size else (x[i : i + 1], y[i : i + 1])
-                        walk(task, model, *gone, a)
+                        step(*((fill_x[s], fill_y[s]) if s < size else (x[i], y[i])))
                     if s < size:
                         fill_x[s], fill_y[s] = x[i], y[i]
                     if use is not None and not thread:
                         for _ in range(mem_steps):
-                            walk(task, model, use[0][j : j + 1], use[1][j : j + 1], a)
+                            step(use[0][j], use[1][j])
                             j = (j + 1) % size
                     if p == period * size:
                         use, p, j = (fill_x.copy(), fill_y.copy()), 0, 0
