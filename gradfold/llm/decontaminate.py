@@ -200,10 +200,11 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", ite
     for block, prefixes in scans:
         one = _scan(keyed, text, block, prefixes, into, [mark]).where(F.size(f"{into}.items") > 0).dropDuplicates([mark])
         parts = one if parts is None else parts.union(one)
-    lists = [F.flatten(F.collect_list(f"{into}.{c}")).alias(c) for c in ("spans", "items")]  # one from each block at most
+    names = {c: free_name(docs, f"met_{c}") for c in ("spans", "items")}
+    lists = [F.flatten(F.collect_list(f"{into}.{c}")).alias(n) for c, n in names.items()]  # one from each block at most
     met = stored(parts.groupBy(mark).agg(*lists), "overlaps")
     base = _scan(docs.withColumn(mark, digest), text, Block([], window, shingle), {}, into, [*keep, mark])
-    found = base.join(met, mark, "left").select(*keep, F.struct(F.col(f"{into}.n_words").alias("n_words"), *(F.coalesce(c, f"{into}.{c}").alias(c) for c in ("spans", "items"))).alias(into))
+    found = base.join(met, mark, "left").select(*keep, F.struct(F.col(f"{into}.n_words").alias("n_words"), *(F.coalesce(n, f"{into}.{c}").alias(c) for c, n in names.items())).alias(into))
     schema = T.StructType([*(f for f in docs.schema.fields if f.name in keep), T.StructField(into, RESULT, False)])
 
     def finish(batches):

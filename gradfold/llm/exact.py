@@ -16,7 +16,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import fresh_path, partitions, quoted, stored
+from .shared import free_name, fresh_path, partitions, quoted, stored
 
 
 def text_digest(text: Column) -> Column:
@@ -81,12 +81,12 @@ def unique_rows(docs: DataFrame, index: DigestIndex, ident: str = "doc_id", text
     """
     digests = stored(docs.select(quoted(ident).alias("id"), text_digest(quoted(text)).alias("digest")), "digests")
     found = index.ingest(digests).where("n_keep > 0")
-    cols = docs.columns
-    marked = docs.withColumns({"__d": text_digest(quoted(text)), "__i": quoted(ident)})
-    winners = found.select(F.col("digest").alias("__wd"), F.col("keep_id").alias("__wi"), "n_keep")
-    same = (F.col("__d") == F.col("__wd")) & F.col("__i").eqNullSafe(F.col("__wi"))
-    kept = marked.join(winners.where("n_keep = 1"), same, "left_semi")
-    ties = winners.where("n_keep > 1")
+    d, i, wd, wi, n = (free_name(docs, x) for x in ("own_digest", "own_id", "won_digest", "won_id", "won_rows"))
+    marked = docs.withColumns({d: text_digest(quoted(text)), i: quoted(ident)})
+    winners = found.select(F.col("digest").alias(wd), F.col("keep_id").alias(wi), F.col("n_keep").alias(n))
+    same = (F.col(d) == F.col(wd)) & F.col(i).eqNullSafe(F.col(wi))
+    kept = marked.join(winners.where(F.col(n) == 1), same, "left_semi").select(*docs.columns)
+    ties = winners.where(F.col(n) > 1)
     if ties.isEmpty():
-        return kept.select(*cols)
-    return kept.select(*cols).union(marked.join(ties, same, "left_semi").dropDuplicates(["__d"]).select(*cols))
+        return kept
+    return kept.union(marked.join(ties, same, "left_semi").dropDuplicates([d]).select(*docs.columns))

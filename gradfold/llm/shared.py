@@ -66,8 +66,11 @@ def append_struct(df: DataFrame, into: str, fields: T.StructType, text: str, wor
 
     `work()` is called once in each task and gives a function from a RecordBatch
     with some megabytes of text to a dict of Arrow arrays or lists, one for each field.
+    `into` is lengthened by underscores if one of the columns kept has that name.
     """
     keep = df.columns if keep is None else keep
+    while into.lower() in {c.lower() for c in keep}:
+        into += "_"
     schema = T.StructType([*(f for f in df.schema.fields if f.name in keep), T.StructField(into, fields, False)])
     names = fields.fieldNames()
     kinds = [to_arrow_type(f.dataType) for f in fields]

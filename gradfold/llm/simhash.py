@@ -158,12 +158,12 @@ def one_of_each(docs: DataFrame, ident: str = "doc_id", text: str = "text", most
     prints = stored(fingerprints(docs.select(order.alias(mark), quoted(text).alias(text)), text, into, keep=[mark]).select(mark, F.col(f"{into}.bits").alias("bits")), "fingerprints")
     reps = prints.groupBy("bits").agg(F.min(mark).alias(mark))
     found = classes(reps.select("bits", F.col(mark).alias("m")), "m", most)
-    winners = found.select(F.col("component_id").alias("w")).distinct()
-    ranked = docs.withColumn(mark, order)
-    kept = ranked.join(winners, F.col(mark) == F.col("w"), "left_semi")
+    won = free_name(docs, "winner")
+    winners = found.select(F.col("component_id").alias(won)).distinct()
+    mine = F.col(mark) == F.col(won)
+    kept = docs.withColumn(mark, order).join(winners, mine, "left_semi")
     # rows that tie in id and text are copies of one row: one stays
-    twice = stored(prints.groupBy(mark).count().where("count > 1").join(winners, F.col(mark) == F.col("w"), "left_semi").select(F.col(mark).alias("w")), "ties")
+    twice = stored(prints.groupBy(mark).count().where("count > 1").join(winners, mine, "left_semi").select(F.col(mark).alias(won)), "ties")
     if twice.isEmpty():
         return kept.select(*docs.columns)
-    single = kept.join(twice, F.col(mark) == F.col("w"), "left_anti")
-    return single.union(kept.join(twice, F.col(mark) == F.col("w"), "left_semi").dropDuplicates([mark])).select(*docs.columns)
+    return kept.join(twice, mine, "left_anti").union(kept.join(twice, mine, "left_semi").dropDuplicates([mark])).select(*docs.columns)

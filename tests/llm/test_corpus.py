@@ -28,7 +28,7 @@ ODD = [(1, None), (2, ""), (3, "   \n\t "), (4, "one"), (5, "one"), (6, "Ünïco
 @pytest.fixture(scope="module")
 def odd(spark):
     # extra columns whose names clash with what operators add
-    names = ["overlap", "coded", "quality", "language", "simhash", "rank", "text_digest", "part", "at", "shard"]
+    names = ["overlap", "coded", "quality", "language", "simhash", "rank", "text_digest", "part", "at", "shard", "w", "winner", "items", "spans", "n_keep", "digest"]
     return docs_frame(spark, ODD).withColumns({n: F.lit("mine") for n in names})
 
 
@@ -218,7 +218,7 @@ def test_links_of_crowded_fingerprints(spark, dense):
 
 
 def test_simhash_keeps_one_of_each(spark, corpus, odd):
-    docs = corpus.unionByName(odd.select(*corpus.columns))
+    docs = corpus.unionByName(odd.select(*corpus.columns).withColumn("doc_id", F.col("doc_id") + 50_000))  # ids of two classes must differ
     want = {c for _, _, c in brute_simhash(collected(docs))}
     kept = simhash.one_of_each(docs)
     assert kept.columns == docs.columns
@@ -517,7 +517,10 @@ def test_urls(spark, sf, limit):
 def test_odd_rows_and_names(spark, sf, odd):
     bench = table(spark, sf, "benchmark")
     assert decontaminate.decontaminate(odd, bench).count() == odd.count()
-    assert pieces.digests(odd, piece_model(), into="coded2").count() == odd.count()
+    assert pieces.digests(odd, piece_model()).count() == odd.count()
+    assert decontaminate.decontaminate(odd, bench, block_bytes=2500).count() == odd.count()
+    assert exact.unique_rows(odd, exact.DigestIndex.create(spark)).columns == odd.columns
+    assert simhash.one_of_each(odd).columns == odd.columns
     model = quality.train(odd, table(spark, sf, "labels"))
     assert quality.score(odd, model).count() == odd.count()
     lang = langid.train(odd, piece_model())
