@@ -228,7 +228,10 @@ def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFr
         joined = here.join(past.groupBy("h").agg(F.count("*").alias("n")), "h", "left")
         met = joined.where("n is not null or lo != hi").select("h")
         old = stored(past.join(here.select("h"), "h", "left_semi").groupBy("id").agg(F.collect_set("h").alias("marked")), "met-history")
-    marks = own.join(stored(met, "met"), "h").groupBy("id", "x").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
+    met = stored(met, "met")
+    index.append(own.select("h", "id").distinct())
+    release(batch.sparkSession)
+    marks = own.join(met, "h").groupBy("id", "x").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
     info = marks.withColumn("copy", F.lit(False)).union(copies.select("id", "x", F.lit(None).cast("array<bigint>"), F.lit(True)))
     first = stored(_first_pass(docs.join(info, ["id", "x"], "left").withColumn("copy", F.coalesce("copy", F.lit(False))), window, gram, digest), "first-pass")
     release(batch.sparkSession)
@@ -241,8 +244,9 @@ def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFr
         again = _first_pass(before, window, gram, digest).select("id", F.explode("s.windows").alias("w"))
         every = every.union(stored(again.select("w.h1", "w.h2", "id"), "earlier-windows"))
     least = every.groupBy("h1", "h2").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("h1", "h2", "lo")
+    least = stored(least, "shared-windows")
+    release(batch.sparkSession)
     late = windows.join(least, ["h1", "h2"]).where("id > lo").groupBy("id", "x").agg(F.collect_set("at").alias("starts"))
-    index.append(own.select("h", "id").distinct())
     made = _without(open_.select("id", "x", "s.text").join(late, ["id", "x"], "left"), "text", "starts", ["id"], window, "s", digest)
     done = first.where("s.text is null")
     out = done.select("id", "s.n_words", "s.n_removed", "s.kept").union(made.select("id", "s.n_words", "s.n_removed", "s.kept"))
