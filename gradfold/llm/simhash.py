@@ -160,6 +160,11 @@ def one_of_each(docs: DataFrame, ident: str = "doc_id", text: str = "text", most
     found = classes(reps.select("bits", F.col(mark).alias("m")), "m", most)
     won = free_name(docs, "winner")
     winners = found.select(F.col("component_id").alias(won)).distinct()
+    return winners_only(docs, order, mark, prints, winners, won)
+
+
+def winners_only(docs: DataFrame, order: F.Column, mark: str, prints: DataFrame, winners: DataFrame, won: str) -> DataFrame:
+    """The rows of `docs` whose `order` is among the winners; `prints` has it for every row as `mark`."""
     mine = F.col(mark) == F.col(won)
     kept = docs.withColumn(mark, order).join(winners, mine, "left_semi")
     # rows that tie in id and text are copies of one row: one stays

@@ -12,7 +12,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from gradfold.llm import components, decontaminate, exact, kernels, langid, lines, pieces, quality, sharding, simhash, substring, urlfilter
+from gradfold.llm import components, decontaminate, exact, kernels, langid, lines, pieces, quality, sharding, similar, simhash, substring, urlfilter
 from gradfold.llm.queries import piece_model, queries, table
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -566,3 +566,68 @@ def test_pipeline_against_brute_force(spark, sf):
         ids = [1, *c.native.encode(t), 2]
         want.append((i, len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256(c.native.decode(ids).encode()).hexdigest()))
     assert ordered(got) == ordered(want)
+
+
+def brute_similar(docs, shingle=5, similar=(4, 5)):
+    """Ids that stay: the least of each class of texts whose word shingles have a Jaccard similarity of 0.8 or more."""
+    sets = []
+    for _, t in docs:
+        w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets.append({" ".join(w[k : k + shingle]) for k in range(max(1, len(w) - shingle + 1))} if w else set())
+    root = list(range(len(docs)))
+
+    def find(a):
+        while root[a] != a:
+            a = root[a]
+        return a
+
+    for a, b in itertools.combinations(range(len(docs)), 2):
+        if similar[1] * len(sets[a] & sets[b]) >= similar[0] * len(sets[a] | sets[b]):
+            x, y = find(a), find(b)
+            root[max(x, y)] = min(x, y)
+    least = {}
+    for k, (i, _) in enumerate(docs):
+        least[find(k)] = min(i, least.get(find(k), i))
+    return set(least.values())
+
+
+def test_near_stage_reaches_its_similarity(spark, sf, corpus):
+    import corpus_pipeline
+
+    rng = random.Random(11)
+    base = [t.split() for _, t in collected(corpus) if len((t or "").split()) > 100][:6]
+    planted = [(30_000 + 100 * i + n, " ".join(mutated(rng, w, max(1, round(len(w) * n / 400))))) for i, w in enumerate(base) for n in range(1, 13)]
+    odd = [(i + 50_000, t) for i, t in ODD if i is not None]
+    docs = corpus.unionByName(docs_frame(spark, planted + odd))
+    got = [r.doc_id for r in corpus_pipeline.STAGES[2][1](spark, docs, sf).collect()]
+    assert sorted(got) == sorted(brute_similar(collected(docs)))
+    # near copies that are more than two bits apart
+    assert len(got) < len({c for _, _, c in brute_simhash(collected(docs))})
+
+
+def test_near_stage_of_crowded_buckets(spark):
+    rng = random.Random(12)
+    base = [f"b{i}" for i in range(60)]
+    rows = [(i, " ".join(mutated(rng, base, rng.randrange(1, 4)))) for i in range(120)] + [(200 + i, " ".join(base[:20] + [f"u{rng.randrange(10**6)}" for _ in range(60)])) for i in range(40)]
+    docs = docs_frame(spark, rows)
+    got = [r.doc_id for r in similar.one_of_each(docs).collect()]
+    assert sorted(got) == sorted(brute_similar(rows))
+    assert 40 < len(got) < len(rows)
+
+
+def test_pipeline_drops_what_is_similar(spark, sf):
+    """Like test_pipeline_against_brute_force, with the similarity of the near-dedup stage in place of two bits."""
+    import corpus_pipeline
+
+    docs = table(spark, sf, "documents")
+    got = [r.doc_id for r in corpus_pipeline.run(spark, sf).collect()]
+    model = quality.train(docs, table(spark, sf, "labels"))
+    rows = [(r.doc_id, r.text) for r in quality.score(docs, model).where("quality.accepted").collect()]
+    last = {}
+    for i, t in rows:
+        last[t] = max(i, last.get(t, i))
+    rows = [(i, t) for i, t in rows if last[t] == i]
+    kept = brute_similar(rows)
+    rows = [r for r in rows if r[0] in kept]
+    items = [(r.item_id, r.text) for r in table(spark, sf, "benchmark").collect()]
+    assert sorted(got) == sorted(r[0] for r, o in zip(rows, brute_overlap(rows, items), strict=True) if not o[5])
