@@ -103,7 +103,7 @@ def igd_lr_subsample(spark, sf):
     return folds.coordinates(folds.fold_catalyst(held, LR, [0.0] * X.D, 0.1))
 
 
-# multiplexed reservoir sampling on fifty rows, buffer 5, two epochs, one memory step a row
+# multiplexed reservoir sampling, buffer 5, two epochs, one memory step a row; the SQL is for fifty rows, in tests
 
 SQL_SCHEDULE = f"""WITH placed AS (SELECT id, row_number() OVER (ORDER BY y DESC, id) AS p FROM ({X.SQL_TINY})), every AS (SELECT e::INT AS epoch, id, p FROM placed, range(1, 3) t(e)),
  slotted AS (SELECT *, CASE WHEN p <= 5 THEN p - 1 ELSE {H.sql_number('42 + epoch', 'p')} % p END AS slot FROM every),
@@ -113,21 +113,28 @@ SQL_SCHEDULE = f"""WITH placed AS (SELECT id, row_number() OVER (ORDER BY y DESC
  SELECT epoch, p, sub, worker, id FROM io WHERE id IS NOT NULL UNION ALL SELECT epoch, p, sub, worker, id FROM mem"""
 
 
-def _schedule(spark, sf):
-    return mrs.schedule(X.tiny(spark, sf), [F.desc("y"), F.asc("id")], 5, 2)
+def scheduled(df):
+    return mrs.schedule(df, [F.desc("y"), F.asc("id")], 5, 2)
 
 
-@query(SQL_SCHEDULE)
+@query()
 def mrs_schedule(spark, sf):
-    return _schedule(spark, sf).select("epoch", "p", "sub", "worker", "id")
+    return scheduled(X.emb_half(spark, sf)).select("epoch", "p", "sub", "worker", "id")
 
 
-@query(S.coords(f"SELECT {S.fold('', LR.sql_move, 0.1)} AS w FROM (SELECT (epoch, p, sub) AS k, list_append(x, y) AS r FROM ({SQL_SCHEDULE}) JOIN ({X.SQL_TINY}) USING (id))"))
-def igd_lr_mrs(spark, sf):
-    steps = _schedule(spark, sf).select(F.struct("epoch", "p", "sub").alias("k"), "x", "y")
+SQL_MRS = S.coords(f"SELECT {S.fold('', LR.sql_move, 0.1)} AS w FROM (SELECT (epoch, p, sub) AS k, list_append(x, y) AS r FROM ({SQL_SCHEDULE}) JOIN ({X.SQL_TINY}) USING (id))")
+
+
+def mrs_epochs(df):
+    steps = scheduled(df).select(F.struct("epoch", "p", "sub").alias("k"), "x", "y")
     return folds.coordinates(folds.fold_catalyst(steps, LR, [0.0] * X.D, 0.1))
 
 
+@query()
+def igd_lr_mrs(spark, sf):
+    return mrs_epochs(X.emb_half(spark, sf))
+
+
 @query()
 def igd_lr_mrs_partitioned(spark, sf):
     """Streaming buffers in every partition of the clustered table, models averaged by epoch."""

@@ -86,14 +86,24 @@ def _share_sql(data):
     return f"(SELECT count(*) FROM ({data}))"
 
 
-@query(S.coords(f"SELECT {S.fold('', LR.sql_move, ALPHA, reg=prox.l1(1.0).sql, t=ALPHA / 50)} AS w FROM ({S.once(X.SQL_TINY)})"))
+#: For fifty rows, and for the 200 parts of the smallest scale: tests of the operators.
+SQL_L1 = S.coords(f"SELECT {S.fold('', LR.sql_move, ALPHA, reg=prox.l1(1.0).sql, t=ALPHA / 50)} AS w FROM ({S.once(X.SQL_TINY)})")
+SQL_RIDGE = S.coords(f"SELECT {S.fold('', LSQ.sql_move, ALPHA, 3, reg=prox.l2(1.0).sql, t=ALPHA / 200)} AS w FROM ({S.once(X.SQL_PART)})", 3)
+
+
+def regularised_epoch(df, task, d, reg):
+    """One epoch in which every row has an equal share of the regulariser."""
+    return folds.coordinates(folds.fold_catalyst(keyed(df), task, [0.0] * d, ALPHA, reg=reg, share=1 / max(1, df.count())))
+
+
+@query()
 def igd_lr_l1_epoch(spark, sf):
-    return folds.coordinates(folds.fold_catalyst(keyed(X.tiny(spark, sf)), LR, [0.0] * X.D, ALPHA, reg=prox.l1(1.0), share=1 / 50))
+    return regularised_epoch(X.emb_half(spark, sf), LR, X.D, prox.l1(1.0))
 
 
-@query(S.coords(f"SELECT {S.fold('', LSQ.sql_move, ALPHA, 3, reg=prox.l2(1.0).sql, t=ALPHA / 200)} AS w FROM ({S.once(X.SQL_PART)})", 3))
+@query()
 def igd_ridge_epoch(spark, sf):
-    return folds.coordinates(folds.fold_catalyst(keyed(X.part_price(spark, sf)), LSQ, [0.0] * 3, ALPHA, reg=prox.l2(1.0), share=1 / 200))
+    return regularised_epoch(X.part_price(spark, sf), LSQ, 3, prox.l2(1.0))
 
 
 _L = LR.sql_loss.format(u="0.0::DOUBLE", y="y")
@@ -525,10 +535,10 @@ def igd_lr_shuffle_always(spark, sf):
 # concurrent schemes
 
 
-def _simulated(spark, sf, scheme):
+def simulated(df, scheme):
     import pyarrow as pa
 
-    df = keyed(X.tiny(spark, sf)).select("k", "x", "y").coalesce(1).sortWithinPartitions("k")
+    df = keyed(df).select("k", "x", "y").coalesce(1).sortWithinPartitions("k")
 
     def run(batches):
         got = [(folds.dense(b.column(1)), np.asarray(b.column(2))) for b in batches]
@@ -547,19 +557,23 @@ def _stale_sql(tau, lost="false"):
     return S.coords(f"SELECT list_reduce(list(r ORDER BY k), lambda a, r: list_concat({new}, a[1:{(tau - 1) * d}]), list_resize(CAST([] AS DOUBLE[]), {tau * d}, 0.0::DOUBLE)) AS w FROM ({rows})")
 
 
-@query(_stale_sql(1))
+@query()
 def sim_lock_lr(spark, sf):
-    return _simulated(spark, sf, "lock")
+    return simulated(X.emb_half(spark, sf), "lock")
 
 
-@query(_stale_sql(4))
+@query()
 def sim_aig_lr(spark, sf):
-    return _simulated(spark, sf, "aig")
+    return simulated(X.emb_half(spark, sf), "aig")
 
 
-@query(_stale_sql(4, f"((i - 1) * 2654435761 + r[{X.D + 2}]::BIGINT * 40503 + 42) % 97 = 0"))
+#: For fifty rows: tests of the simulator.
+SQL_STALE = {"lock": _stale_sql(1), "aig": _stale_sql(4), "nolock": _stale_sql(4, f"((i - 1) * 2654435761 + r[{X.D + 2}]::BIGINT * 40503 + 42) % 97 = 0")}
+
+
+@query()
 def sim_nolock_lr(spark, sf):
-    return _simulated(spark, sf, "nolock")
+    return simulated(X.emb_half(spark, sf), "nolock")
 
 
 @query()
@@ -600,11 +614,15 @@ def _minibatch_sql(size=10, rows=50):
     return f"WITH {data}, {', '.join(steps)} SELECT j::INT AS j, round(v, 6) + 0.0 AS w FROM (SELECT unnest(range(0, {X.D})) AS j, unnest(w) AS v FROM s{rows // size - 1})"
 
 
-@query(_minibatch_sql())
+def minibatches(df):
+    df = keyed(df).withColumn("seg", F.lit(0).cast("long")).repartition(1, "seg")
+    return folds.coordinates(folds.fold_arrow(df, LR, np.zeros(X.D), 0.5, batch=10))
+
+
+@query()
 def igd_lr_minibatch(spark, sf):
     """Steps on the mean of ten rows: the variant between row steps and batch gradient."""
-    df = keyed(X.tiny(spark, sf)).withColumn("seg", F.lit(0).cast("long")).repartition(1, "seg")
-    return folds.coordinates(folds.fold_arrow(df, LR, np.zeros(X.D), 0.5, batch=10))
+    return minibatches(X.emb_half(spark, sf))
 
 
 @query("WITH t(seg, feature, delta) AS (VALUES (0, 1, 0.5::DOUBLE), (0, 2, 1.0), (1, 1, 0.25), (2, 3, -0.75)) SELECT feature, round(sum(delta) / 3, 6) AS dense, round(avg(delta), 6) AS touched FROM t GROUP BY feature")
