@@ -209,21 +209,37 @@ _FLAT = "list_concat(" + ", ".join(factor.sql_start("L", str(i), 2) for i in ran
 _A, _B = "(r[1]::INT * 2)", "((5 + r[2]::INT) * 2)"
 
 
-@query(f"""WITH d AS (SELECT list_reduce(list([i::DOUBLE, j::DOUBLE, m] ORDER BY k), lambda w, r: list_transform([0.1::DOUBLE * (r[3] - (w[{_A} + 1] * w[{_B} + 1] + w[{_A} + 2] * w[{_B} + 2]))],
+#: For the 5 x 7 cells: a test of the fold.
+SQL_LMF = f"""WITH d AS (SELECT list_reduce(list([i::DOUBLE, j::DOUBLE, m] ORDER BY k), lambda w, r: list_transform([0.1::DOUBLE * (r[3] - (w[{_A} + 1] * w[{_B} + 1] + w[{_A} + 2] * w[{_B} + 2]))],
    lambda c: list_transform(w, lambda v, p: CASE WHEN p > {_A} AND p <= {_A} + 2 THEN v + c * w[{_B} + p - {_A}] WHEN p > {_B} AND p <= {_B} + 2 THEN v + c * w[{_A} + p - {_B}] ELSE v END))[1], {_FLAT}) AS w FROM ({X.SQL_CELLS}))
- SELECT CASE WHEN p < 10 THEN 'L' ELSE 'R' END AS side, (CASE WHEN p < 10 THEN p // 2 ELSE p // 2 - 5 END)::INT AS id, (p % 2)::INT AS k, round(v, 6) + 0.0 AS f FROM (SELECT unnest(range(0, 24)) AS p, unnest(w) AS v FROM d)""")
-def igd_lmf_epoch(spark, sf):
-    out = factor.fold_small(X.small_cells(spark, sf), 5, 7, 2, 0.05)
+ SELECT CASE WHEN p < 10 THEN 'L' ELSE 'R' END AS side, (CASE WHEN p < 10 THEN p // 2 ELSE p // 2 - 5 END)::INT AS id, (p % 2)::INT AS k, round(v, 6) + 0.0 AS f FROM (SELECT unnest(range(0, 24)) AS p, unnest(w) AS v FROM d)"""
+
+
+def cells_epoch(cells):
+    out = factor.fold_small(cells, 5, 7, 2, 0.05)
     return out.select("side", "id", F.col("k").cast("int").alias("k"), "f")
 
 
+@query()
+def igd_lmf_epoch(spark, sf):
+    """One epoch of stratified blocks over all ratings: the number of factors and the progressive squared error per cell."""
+    _checkpoints(spark)
+    cells = X.ratings(spark, sf).persist()
+    n = cells.count()
+    factors, losses = factor.fit_strata(cells, 4, 1, PerEpoch(0.05, 0.25), parts=4)
+    out = factors.agg(F.count("*").alias("factors")).select(F.lit(n).alias("cells"), "factors", F.lit(float(np.sqrt(losses[0] / max(1, n)))).alias("rmse"))
+    cells.unpersist()
+    return out
+
+
 @query()
 def igd_lmf_rank4(spark, sf):
-    """Stratified blocks over cells of planted rank 4: the squared error per cell in each of three epochs."""
+    """Stratified blocks of rank 4 over all ratings: the squared error per cell in each of three epochs."""
     _checkpoints(spark)
-    cells = X.rank4(spark, sf)
+    cells = X.ratings(spark, sf).persist()
     n = cells.count()
-    _, losses = factor.fit_strata(cells, 8, 3, PerEpoch(0.1, 0.25), parts=2, size=1.0)
+    _, losses = factor.fit_strata(cells, 4, 3, PerEpoch(0.1, 0.25), parts=4)
+    cells.unpersist()
     return spark.createDataFrame([(e + 1, float(np.sqrt(v / max(1, n)))) for e, v in enumerate(losses)], "epoch int, rmse double")
 
 
@@ -698,7 +714,7 @@ def mllib_svc(spark, sf):
 
 @query()
 def mllib_als(spark, sf):
-    _, error = baselines.mllib_als(X.rank4(spark, sf), 4, 5)
+    _, error = baselines.mllib_als(X.ratings(spark, sf), 4, 5)
     return spark.createDataFrame([("squared error", error)], "metric string, value double")
 
 

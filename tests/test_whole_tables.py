@@ -70,3 +70,19 @@ def test_every_row_takes_part(spark, sf):
     assert np.allclose(weights(QUERIES["igd_lr_minibatch"](spark, sf)), w, atol=2e-6)
     assert QUERIES["mrs_schedule"](spark, sf).select("epoch", "p").distinct().count() >= 2 * len(y) - 10
     assert QUERIES["igd_lr_mrs"](spark, sf).count() == X.D
+
+
+def test_cells_against_sql(spark, duck, sf):  # noqa: F811
+    same(training.cells_epoch(X.small_cells(spark, sf)), duck.sql(training.SQL_LMF))
+
+
+def test_factorisation_trains_on_all_ratings(spark, duck, sf, monkeypatch):  # noqa: F811
+    n, left, right = duck.sql(f"select count(*), count(distinct i), count(distinct j) from ({X.SQL_RATINGS})").fetchall()[0]
+    got = QUERIES["igd_lmf_epoch"](spark, sf).first()
+    assert (got.cells, got.factors) == (n, left + right)
+    rmse = [r.rmse for r in QUERIES["igd_lmf_rank4"](spark, sf).orderBy("epoch").collect()]
+    assert len(rmse) == 3 and rmse[2] < rmse[0]
+    seen = []
+    monkeypatch.setattr(training.baselines, "mllib_als", lambda cells, *a: (None, seen.append(cells.count()) or 0.0))
+    QUERIES["mllib_als"](spark, sf)
+    assert seen == [n]
