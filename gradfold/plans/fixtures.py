@@ -145,12 +145,14 @@ def dialogs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return seqs.select(H.order_key(42, F.col("conv_id")).alias("k"), F.col("conv_id").cast("string").alias("seq_id"), F.col("t.f").alias("feats"), F.col("t.g").alias("tags"))
 
 
-def chunks(spark: SparkSession, sf_dir: str, features: int = 1 << 14, cut: int = 64) -> DataFrame:
-    """(k, seq_id, feats, tags): four joined sentences, tags first / inside / last; features are hashes of the word, its neighbours and its ending."""
+def chunks(spark: SparkSession, sf_dir: str, features: int = 1 << 14, most: int = 64) -> DataFrame:
+    """(k, seq_id, feats, tags): four joined sentences, in consecutive sequences of at most `most` tokens, tags first / inside / last; features are hashes of the word, its neighbours and its ending."""
     words = F.filter(F.split(F.translate("s", _UP, _LOW), r"\s+"), lambda w: w != "")
     sent = table(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.split("text", r"[.!?\n]+")).alias("n", "s")).select("doc_id", "n", words.alias("w")).where("size(w) > 1")
     tagged = F.transform("w", lambda w, i: F.struct(w.alias("w"), F.when(i == 0, 0).when(i == F.size("w") - 1, 2).otherwise(1).alias("g")))
-    joined = sent.groupBy("doc_id", F.floor(F.col("n") / 4).alias("b")).agg(F.slice(F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("n", tagged.alias("t")))), lambda s: s["t"])), 1, cut).alias("t"))
+    joined = sent.groupBy("doc_id", F.floor(F.col("n") / 4).alias("b")).agg(F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("n", tagged.alias("t")))), lambda s: s["t"])).alias("all"))
+    at = F.sequence(F.lit(0), F.floor((F.size("all") - 1) / most).cast("int"))
+    joined = joined.select("doc_id", "b", "all", F.explode(at).alias("p")).select("doc_id", "b", "p", F.slice("all", F.col("p") * most + 1, most).alias("t"))
 
     def hashed(kind: int, w):
         return F.pmod(F.xxhash64(F.lit(kind), w), F.lit(features)).cast("int")
@@ -160,7 +162,7 @@ def chunks(spark: SparkSession, sf_dir: str, features: int = 1 << 14, cut: int =
         after = F.coalesce(F.try_element_at("t.w", (i + 2).cast("int")), F.lit(">"))
         return F.array(hashed(1, t["w"]), hashed(2, F.when(i == 0, "<").otherwise(before)), hashed(3, after), hashed(4, F.substring(t["w"], -2, 2)))
 
-    return joined.select(H.fast(42, F.col("doc_id"), F.col("b")).alias("k"), F.concat_ws(":", "doc_id", "b").alias("seq_id"), F.transform("t", feats).alias("feats"), F.col("t.g").alias("tags"))
+    return joined.select(H.fast(42, F.col("doc_id"), F.col("b"), F.col("p")).alias("k"), F.concat_ws(":", "doc_id", "b", "p").alias("seq_id"), F.transform("t", feats).alias("feats"), F.col("t.g").alias("tags"))
 
 
 def daily(spark: SparkSession, sf_dir: str) -> DataFrame:

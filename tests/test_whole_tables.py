@@ -86,3 +86,15 @@ def test_factorisation_trains_on_all_ratings(spark, duck, sf, monkeypatch):  # n
     monkeypatch.setattr(training.baselines, "mllib_als", lambda cells, *a: (None, seen.append(cells.count()) or 0.0))
     QUERIES["mllib_als"](spark, sf)
     assert seen == [n]
+
+
+def test_chunks_hold_every_token(spark, sf):
+    import re
+
+    want = 0
+    for r in X.table(spark, sf, "documents").select("text").collect():
+        words = [[w for w in re.split(r"[ \t\n\x0b\f\r]+", s) if w] for s in re.split(r"[.!?\n]+", r.text or "")]
+        want += sum(len(w) for w in words if len(w) > 1)
+    got = [(len(r.feats), len(r.tags), r.seq_id) for r in X.chunks(spark, sf).collect()]
+    assert sum(g[0] for g in got) == want and all(a == b and 0 < a <= 64 for a, b, _ in got)
+    assert len({g[2] for g in got}) == len(got)
