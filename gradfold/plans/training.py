@@ -369,15 +369,22 @@ _E = "(({f} * 3 + {k}) % 5 - 2) / 10.0::DOUBLE"
 _POT = " + ".join(_E.format(f=f, k="{k}") for f in ("0", "l", "e"))
 
 
-@query(f"""WITH RECURSIVE s AS (SELECT * FROM ({SQL_TURNS}) WHERE t <= 4), tags AS (SELECT unnest([0, 1, 2]) AS k),
+#: Enumerates all tag paths of four-turn prefixes: a test of the recursion.
+SQL_PATHS = f"""WITH RECURSIVE s AS (SELECT * FROM ({SQL_TURNS}) WHERE t <= 4), tags AS (SELECT unnest([0, 1, 2]) AS k),
  p AS (SELECT seq_id, t, k, {_POT.format(k='k')} AS score, (k = g)::INT AS gold FROM s, tags WHERE t = 1
    UNION ALL SELECT p.seq_id, s.t, tags.k, p.score + ((p.k * 3 + tags.k) % 4 - 1) / 10.0::DOUBLE + {_POT.format(k='tags.k')}, p.gold * (tags.k = g)::INT FROM p JOIN s ON s.seq_id = p.seq_id AND s.t = p.t + 1, tags),
  n AS (SELECT seq_id, max(t) AS n FROM s GROUP BY seq_id)
- SELECT seq_id, round(ln(sum(exp(score))) - sum(gold * score), 6) AS loss FROM p JOIN n USING (seq_id) WHERE t = n GROUP BY seq_id""")
+ SELECT seq_id, round(ln(sum(exp(score))) - sum(gold * score), 6) AS loss FROM p JOIN n USING (seq_id) WHERE t = n GROUP BY seq_id"""
+
+
+def chain_losses(seqs):
+    return chain.losses(seqs, _fixed_chain()).select("seq_id", F.round("loss", 6).alias("loss"))
+
+
+@query()
 def crf_brute_force(spark, sf):
-    """The loss of four-turn prefixes by the forward recursion; the oracle enumerates all tag paths."""
-    short = X.dialogs(spark, sf).select("seq_id", F.slice("feats", 1, 4).alias("feats"), F.slice("tags", 1, 4).alias("tags"))
-    return chain.losses(short, _fixed_chain()).select("seq_id", F.round("loss", 6).alias("loss"))
+    """The loss of a fixed model over whole conversations by the forward recursion; a test enumerates tag paths of prefixes."""
+    return chain_losses(X.dialogs(spark, sf))
 
 
 @query()

@@ -98,3 +98,24 @@ def test_chunks_hold_every_token(spark, sf):
     got = [(len(r.feats), len(r.tags), r.seq_id) for r in X.chunks(spark, sf).collect()]
     assert sum(g[0] for g in got) == want and all(a == b and 0 < a <= 64 for a, b, _ in got)
     assert len({g[2] for g in got}) == len(got)
+
+
+def test_four_turns_against_all_paths(spark, duck, sf):  # noqa: F811
+    short = X.dialogs(spark, sf).selectExpr("seq_id", "slice(feats, 1, 4) AS feats", "slice(tags, 1, 4) AS tags")
+    same(training.chain_losses(short), duck.sql(training.SQL_PATHS))
+
+
+def test_losses_of_whole_conversations(spark, sf):
+    model, long = training._fixed_chain(), 0
+    got = {r.seq_id: r.loss for r in QUERIES["crf_brute_force"](spark, sf).collect()}
+    seqs = X.dialogs(spark, sf).collect()
+    assert set(got) == {r.seq_id for r in seqs}
+    for r in seqs:
+        long += len(r.tags) > 4
+        emit = np.array([sum(model.emit[f] for f in feats) for feats in r.feats])
+        a = emit[0]
+        for e in emit[1:]:
+            a = e + np.log(np.exp(a[:, None] + model.move).sum(axis=0))
+        gold = sum(emit[t][g] for t, g in enumerate(r.tags)) + sum(model.move[g, h] for g, h in zip(r.tags, r.tags[1:]))
+        assert abs(got[r.seq_id] - (np.log(np.exp(a).sum()) - gold)) < 2e-6
+    assert long
