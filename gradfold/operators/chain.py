@@ -128,7 +128,7 @@ def epoch(seqs: DataFrame, model: Chain, alpha: float, mu: float = 0.0) -> list:
 def fit(seqs: DataFrame, features: int, tags: int, epochs: int, alpha, mu: float = 0.0, parts: int = 1) -> tuple[Chain, list[float]]:
     """Incremental training over (k, feats, tags) in `parts` segments with model averaging; the progressive loss of each epoch."""
     model, losses = Chain.zero(features, tags), []
-    rows = (seqs.coalesce(1) if parts == 1 else seqs.repartition(parts, "k")).persist()
+    rows = (seqs.repartition(1) if parts == 1 else seqs.repartition(parts, "k")).persist()
     for e in range(1, epochs + 1):
         got = epoch(rows, model, alpha(e), mu)
         total = sum(r.n for r in got)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -40,14 +41,29 @@ def gradient(df: DataFrame, task: LinearTask, w) -> DataFrame:
     return each.groupBy("j").agg(F.sum(F.col("c") * F.col("v")).alias("g"))
 
 
-def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, step=None, parts: int = 1, weighting: str = "rows", stop: Rule | None = None, start=None, reg: prox.Prox | None = None, loss: str = "exact", syncs: int = 1, batch: int = 1, state: str = "inplace") -> FitResult:
+def segments(keyed: DataFrame, parts: int) -> DataFrame:
+    """(seg, k, x, y): one partition for each of `parts` segments.
+
+    Segments are the partition numbers themselves: hashing them onto partitions
+    would leave some empty and put several in one.
+    """
+    if parts == 1:
+        return keyed.select(F.lit(0).cast("long").alias("seg"), "k", "x", "y").repartition(1)
+    seg = F.pmod(F.xxhash64("k"), F.lit(parts))
+    return keyed.select(seg.alias("seg"), "k", "x", "y").repartitionById(parts, F.col("seg").cast("int"))
+
+
+def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, step=None, parts: int = 1, weighting: str = "rows", stop: Rule | None = None, start=None, reg: prox.Prox | None = None, loss: str = "exact", syncs: int = 1, batch: int = 1, state: str = "inplace", sample: Callable[[DataFrame, int], DataFrame] | None = None) -> FitResult:
     """Train on a table (id, x, y).
 
     The rows are exchanged, sorted and packed once for each order of theirs, and a
     pass reads the packed blocks.  parts: segments of model averaging; 1 is the
     serial fold.  syncs: merges per epoch, each over its share of the blocks.  loss: `exact` scans again after each epoch, `piggyback` takes the loss
     at the epoch's first model from the same pass, so the history lags one epoch.
-    Rows with a null in x or y are dropped and counted.
+    sample: takes the rows and the epoch and gives those to train on, in place of all.
+    An order that works in place (`LocalShuffle`) exchanges nothing: a segment is an
+    input partition then, whatever `parts` says.  Rows with a null in x or y are
+    dropped and counted.
     """
     order, step, stop = order or ShuffleOnce(), step or Constant(0.1), stop or MaxEpochs(3)
     clean = df.where(F.col("x").isNotNull() & F.col("y").isNotNull())
@@ -55,7 +71,7 @@ def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, ste
     dropped = total - n
     share = 1.0 / max(1, n)
     w = np.zeros(d) if start is None else np.array(start, float)
-    wants = any(getattr(r, "wants_gradient", False) for r in (stop, getattr(stop, "a", None), getattr(stop, "b", None)))
+    wants = stop.wants_gradient
     history: list[dict] = []
     held = None
     e = steps = 0
@@ -65,10 +81,12 @@ def fit(df: DataFrame, task: LinearTask, d: int, order: Order | None = None, ste
         if held is None or order.each_epoch:
             if held is not None:
                 held.unpersist()
-            keyed = order.apply(clean, e)
-            seg = F.pmod(F.xxhash64("k"), F.lit(parts)) if parts > 1 else F.lit(0).cast("long")
-            keyed = keyed.select(seg.alias("seg"), "k", "x", "y").repartition(parts, "seg").sortWithinPartitions("seg", "k")
-            held = folds.pack(keyed, max(1 << 12, (1 << 20) // syncs)).persist(StorageLevel.MEMORY_AND_DISK)
+            rows = order.apply(clean if sample is None else sample(clean, e), e)
+            if order.in_place:
+                rows = rows.select(F.spark_partition_id().cast("long").alias("seg"), "x", "y")
+            else:
+                rows = segments(rows, parts).sortWithinPartitions("seg", "k")
+            held = folds.pack(rows, max(1 << 12, (1 << 20) // syncs)).persist(StorageLevel.MEMORY_AND_DISK)
             held.count()
         t1 = time.time()
         seen = None

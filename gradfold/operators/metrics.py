@@ -8,6 +8,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .ranks import offsets, sorted_runs
+
 
 def confusion(df: DataFrame, truth: str = "y", predicted: str = "prediction") -> DataFrame:
     return df.groupBy(F.col(truth).cast("double").alias("truth"), F.col(predicted).cast("double").alias("predicted")).agg(F.count("*").alias("n"))
@@ -33,9 +35,12 @@ def classification(df: DataFrame, truth: str = "y", predicted: str = "prediction
 
 
 def auc(df: DataFrame, truth: str = "y", score: str = "score") -> DataFrame:
-    """Area under the ROC curve from counts per distinct score: the only ordered data are distinct scores."""
+    """Area under the ROC curve from counts per distinct score, by sorted ranges of scores with the counts of all earlier ranges."""
     counts = df.groupBy(F.col(score).alias("s")).agg(_share(F.col(truth) > 0).alias("pos"), _share(F.col(truth) <= 0).alias("neg"))
-    below = F.coalesce(F.sum("neg").over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    counts, _ = sorted_runs(counts, [F.col("s")], "run", "at")
+    sizes = dict(sorted(counts.groupBy("run").agg(F.sum("neg")).collect()))  # one row for each range
+    inside = F.sum("neg").over(Window.partitionBy("run").orderBy("s").rowsBetween(Window.unboundedPreceding, -1))
+    below = offsets(sizes, "run").cast("double") + F.coalesce(inside, F.lit(0.0))
     area = counts.select("pos", "neg", (F.col("pos") * (below + 0.5 * F.col("neg"))).alias("a"))
     return area.agg(F.round(F.sum("a") / (F.sum("pos") * F.sum("neg")), 6).alias("auc"))
 

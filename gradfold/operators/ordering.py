@@ -8,15 +8,18 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import hashing as H
+from .ranks import ranked
 
 
 class Order:
     #: does every epoch need its own key?
     each_epoch = False
+    #: are rows folded as they stream through their input partition, without a key?
+    in_place = False
 
     def key(self, epoch: int) -> Column:
         raise NotImplementedError
@@ -44,6 +47,27 @@ class Clustered(Order):
         return F.struct((-F.col(self.label)).alias("a"), F.col(self.tie).alias("b"))
 
 
+@dataclass
+class Reverse(Order):
+    """From the last row of a numeric column to the first."""
+
+    by: str = "id"
+
+    def key(self, epoch):
+        return -F.col(self.by)
+
+
+@dataclass
+class Alternating(Order):
+    """Forwards in odd epochs, backwards in even ones."""
+
+    by: str = "id"
+    each_epoch = True
+
+    def key(self, epoch):
+        return F.col(self.by) * (1 if epoch % 2 else -1)
+
+
 @dataclass
 class ShuffleOnce(Order):
     seed: int = 42
@@ -84,9 +108,8 @@ class WithReplacement(Order):
     each_epoch = True
 
     def apply(self, df, epoch=1):
-        n = df.count()
-        numbered = df.withColumn("row", F.row_number().over(Window.orderBy(self.by)) - 1)
-        steps = df.sparkSession.range(1, n + 1).select(F.col("id").alias("k"), (H.number(self.seed, F.col("id")) % n).cast("int").alias("row"))
+        numbered, n = ranked(df, [F.col(self.by)], "row")
+        steps = df.sparkSession.range(1, n + 1).select(F.col("id").alias("k"), (H.number(self.seed, F.col("id")) % n).alias("row"))
         return steps.join(numbered, "row").drop("row")
 
 
@@ -96,6 +119,8 @@ class LocalShuffle(Order):
 
     seed: int = 42
     buffer: int = 100_000
+    each_epoch = True
+    in_place = True
 
     def apply(self, df, epoch=1):
         import numpy as np

@@ -11,11 +11,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import hashing as H
+from .ranks import ranked
 
 
 def positions(df: DataFrame, by: list[Column]) -> DataFrame:
-    """Adds p, the 1-based place in an order.  One total order needs one task; for sizes beyond that use `bottom_m`."""
-    return df.withColumn("p", F.row_number().over(Window.orderBy(*by)).cast("long"))
+    """Adds p, the 1-based place in an order, by sorted ranges of it."""
+    return ranked(df, by, "p")[0].withColumn("p", F.col("p") + 1)
 
 
 def slots(df: DataFrame, m: int, seed) -> DataFrame:

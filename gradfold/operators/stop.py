@@ -9,6 +9,9 @@ import numpy as np
 
 
 class Rule:
+    #: does the rule read `grad_norm`, the full gradient's norm?
+    wants_gradient = False
+
     def __or__(self, other: Rule) -> Rule:
         return Either(self, other)
 
@@ -21,6 +24,10 @@ class Either(Rule):
     a: Rule
     b: Rule
 
+    @property
+    def wants_gradient(self):
+        return self.a.wants_gradient or self.b.wants_gradient
+
     def __call__(self, history):
         return self.a(history) or self.b(history)
 
@@ -46,10 +53,16 @@ class GradNorm(Rule):
 
 @dataclass
 class RelDrop(Rule):
+    """The loss changed by at most `tol` of its last value, or by at most `floor`: a loss that falls towards zero may drop by half for ever."""
+
     tol: float
+    floor: float = 1e-12
 
     def __call__(self, history):
-        return len(history) > 1 and abs(history[-2]["loss"] - history[-1]["loss"]) <= self.tol * abs(history[-2]["loss"])
+        if len(history) < 2:
+            return False
+        before, now = history[-2]["loss"], history[-1]["loss"]
+        return abs(before - now) <= max(self.tol * abs(before), self.floor)
 
 
 @dataclass

@@ -179,7 +179,7 @@ def igd_softmax_epoch(spark, sf):
         cls, j = np.divmod(np.arange(w.size), X.D)
         yield pa.RecordBatch.from_arrays([pa.array(cls.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(np.round(w.ravel(), 6) + 0.0)], names=["cls", "j", "w"])
 
-    return keyed(df).select("k", "x", "c").coalesce(1).sortWithinPartitions("k").mapInArrow(run, "cls int, j int, w double")
+    return keyed(df).select("k", "x", "c").repartition(1).sortWithinPartitions("k").mapInArrow(run, "cls int, j int, w double")
 
 
 @query()
@@ -202,7 +202,7 @@ def igd_lr_sparse_epoch(spark, sf):
         at = np.flatnonzero(w)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(np.round(w[at], 6))], names=["feature", "w"])
 
-    return rows.select("k", "idx", "val", "y").coalesce(1).sortWithinPartitions("k").mapInArrow(run, "feature long, w double")
+    return rows.select("k", "idx", "val", "y").repartition(1).sortWithinPartitions("k").mapInArrow(run, "feature long, w double")
 
 
 _FLAT = "list_concat(" + ", ".join(factor.sql_start("L", str(i), 2) for i in range(5)) + ", " + ", ".join(factor.sql_start("R", str(j), 2) for j in range(7)) + ")"
@@ -561,7 +561,7 @@ def igd_lr_shuffle_always(spark, sf):
 def simulated(df, scheme):
     import pyarrow as pa
 
-    df = keyed(df).select("k", "x", "y").coalesce(1).sortWithinPartitions("k")
+    df = keyed(df).select("k", "x", "y").repartition(1).sortWithinPartitions("k")
 
     def run(batches):
         got = [(folds.dense(b.column(1)), np.asarray(b.column(2))) for b in batches]

@@ -9,8 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder that the session names, or in a local one if it names none."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="gradfold-")
+    """A fresh path in the shared folder that the session names; a session on one machine may name none and gets a local one."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = tempfile.mkdtemp(prefix="gradfold-")
     return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 

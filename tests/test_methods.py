@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 from gradfold.functions import hashing as H
 from gradfold.functions import vectors as V
 from gradfold.operators import baselines, chain, factor, folds, loop, metrics, models, mrs, parallel, prox, sampling, series, steps, stop
-from gradfold.operators.ordering import Clustered, ShuffleAlways, ShuffleOnce, Stored
+from gradfold.operators.ordering import Alternating, Clustered, LocalShuffle, Reverse, ShuffleAlways, ShuffleOnce, Stored
+from gradfold.operators.ranks import ranked
 from gradfold.operators.tasks import LINEAR, LR, LSQ, SVM
 from gradfold.plans import fixtures as X
 
@@ -165,11 +166,57 @@ def test_stop_rules(spark, sf):
     sql = loop.fit(df, LSQ, 3, step=steps.Constant(0.01), stop=stop.SqlPredicate(spark, "select max(epoch) >= 2 from history"))
     assert len(sql.history) == 2
     drop = loop.fit(df, LSQ, 3, step=steps.PerEpoch(0.05, 1), stop=stop.RelDrop(0.5) | stop.MaxEpochs(9))
-    assert len(drop.history) < 9
+    assert len(drop.history) < 9  # the loss falls to nothing: the floor ends it
+    drop = loop.fit(e, LR, X.D, step=steps.PerEpoch(0.1), stop=stop.RelDrop(0.2, 0.0) | stop.MaxEpochs(9))
+    losses = [h["loss"] for h in drop.history]
+    assert 1 < len(losses) < 9 and losses[-2] - losses[-1] <= 0.2 * losses[-2]
+    chain3 = stop.GradNorm(1e-30) | stop.RelDrop(1e-30, 0.0) | stop.MaxEpochs(2)
+    assert chain3.wants_gradient and not (stop.RelDrop(0.1) | stop.MaxEpochs(2)).wants_gradient
+    assert len(loop.fit(df, LSQ, 3, step=steps.PerEpoch(0.05, 1), stop=chain3).history) == 2
     assert len(loop.fit(df, LSQ, 3, stop=stop.MaxSeconds(0.0)).history) == 1
     assert len(loop.fit(df, LSQ, 3, stop=stop.ModelPredicate(lambda w: True)).history) == 1
 
 
+def test_segments_fill_their_partitions(spark, sf):
+    keyed = X.line_dense(spark, sf).withColumn("k", H.fast(42, F.col("id")))
+    for parts in (1, 4, 8, 64):
+        got = loop.segments(keyed, parts).groupBy(F.spark_partition_id().alias("p")).agg(F.countDistinct("seg").alias("n")).collect()
+        assert len(got) == parts and all(r.n == 1 for r in got)
+
+
+def test_local_shuffle_trains_in_place(spark, sf):
+    df = X.emb_half(spark, sf).repartition(4).persist()
+    plain = loop.fit(df, LR, X.D, ShuffleOnce(), steps.Constant(0.05), parts=4, stop=stop.MaxEpochs(3))
+    local = loop.fit(df, LR, X.D, LocalShuffle(buffer=7), steps.Constant(0.05), stop=stop.MaxEpochs(3))
+    assert local.history[-1]["steps"] == plain.history[-1]["steps"] == 3 * df.count()
+    assert abs(local.history[-1]["loss"] / plain.history[-1]["loss"] - 1) < 0.2
+    assert local.history[0]["loss"] > local.history[-1]["loss"]
+    df.unpersist()
+
+
+def test_reverse_and_alternating(spark, sf):
+    df = X.emb_half(spark, sf).select("id", "y")
+    ids = [r.id for r in df.orderBy("id").collect()]
+    at = lambda order, e: [r.id for r in order.apply(df, e).orderBy("k").collect()]
+    assert at(Reverse(), 1) == ids[::-1] and at(Alternating(), 1) == ids and at(Alternating(), 2) == ids[::-1]
+
+
+def test_fit_takes_samples(spark, sf):
+    df = X.emb_half(spark, sf)
+    fit = loop.fit(df, LR, X.D, step=steps.Constant(0.1), stop=stop.MaxEpochs(1), sample=lambda d, e: sampling.bottom_m(d, 20, seed=e))
+    assert fit.history[0]["steps"] == 20
+
+
+def test_ranks_are_places(spark, sf):
+    df = X.line_dense(spark, sf).select("id", "y").distinct()
+    got, n = ranked(df, [F.desc("y"), F.asc("id")], "rank")
+    rows = got.orderBy("rank").collect()
+    assert n == len(rows) and [r.rank for r in rows] == list(range(n))
+    assert [(r.y, r.id) for r in rows] == sorted(((r.y, r.id) for r in rows), key=lambda v: (-v[0], v[1]))
+    assert ranked(df.where("false"), [F.asc("id")], "rank")[1] == 0
+
+
+
 def test_null_rows_are_dropped_and_counted(spark):
     df = spark.createDataFrame([(1, [1.0], 1.0), (2, None, 1.0), (3, [1.0], None)], "id long, x array<double>, y double")
     fit = loop.fit(df, LSQ, 1, stop=stop.MaxEpochs(1))
