@@ -29,10 +29,11 @@ SCHEMES = ("lock", "aig", "nolock")
 def simulate(task: LinearTask, x: np.ndarray, y: np.ndarray, alpha: float, scheme: str = "lock", workers: int = 4, seed: int = 42, epochs: int = 1, start: np.ndarray | None = None) -> np.ndarray:
     """Bounded-staleness simulation of `workers` concurrent writers over rows in order.
 
-    Step g sees the model of step g - tau, where tau is 1 under a lock and else the
-    number of workers.  Component-wise writes are all kept (`aig`); without locks a
-    write is lost if another worker writes the component within the same round and a
-    seeded hash says so.
+    Rows are dealt to the workers in rounds.  Step g sees the model of step g - tau,
+    where tau is 1 under a lock and else the number of workers.  Component-wise
+    writes are all kept (`aig`).  Without locks a write is lost if a later worker of
+    the round writes the component too and the two overlap, which a hash of step,
+    component and seed says of one in 97.
     """
     if scheme not in SCHEMES:
         raise ValueError(scheme)
@@ -40,12 +41,18 @@ def simulate(task: LinearTask, x: np.ndarray, y: np.ndarray, alpha: float, schem
     w = np.zeros(x.shape[1]) if start is None else np.array(start, float)
     past = [w.copy()]
     g = 0
+    #: For each row, whether a later worker of its round has the component.
+    covered = np.zeros(x.shape, bool)
+    if scheme == "nolock" and workers > 1:
+        for i in range(len(y) - 2, -1, -1):
+            if i % workers != workers - 1:
+                covered[i] = covered[i + 1] | (x[i + 1] != 0)
     for _ in range(epochs):
         for i in range(len(y)):
             seen = past[max(0, len(past) - tau)]
             move = alpha * float(task.move_np(x[i] @ seen, y[i])) * x[i]
             if scheme == "nolock" and workers > 1:
-                lost = (np.arange(len(w)) * 2654435761 + g * 40503 + seed) % 97 == 0
+                lost = covered[i] & ((np.arange(len(w)) * 2654435761 + g * 40503 + seed) % 97 == 0)
                 move = np.where(lost, 0.0, move)
             w = w + move
             past = [*past[-tau:], w]
