@@ -20,9 +20,11 @@ _LOCAL: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a fresh local one where that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a fresh local one where that is unset and there is one machine only."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         app = spark.sparkContext.applicationId
         found = _LOCAL[app] = _LOCAL.get(app) or tempfile.mkdtemp(prefix="gradfold-")
     return found.rstrip("/")
@@ -36,7 +38,35 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     """Write a table to shared storage and read it again: it is computed once, and survives lost executors."""
     path = fresh_path(df.sparkSession, label)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Remove tables that `stored` wrote, once nothing will read them again."""
+    for df in tables:
+        remove(df.sparkSession, df.stored_at)
+
+
+def _folder(spark: SparkSession, path: str):
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return where, where.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    where, system = _folder(spark, path)
+    system.delete(where, True)
+
+
+def folders(spark: SparkSession, path: str) -> list[str]:
+    """The names of the complete tables below a folder, in any file system that Spark reads."""
+    where, system = _folder(spark, path)
+    if not system.exists(where):
+        return []
+    found = [f.getPath() for f in system.listStatus(where) if f.isDirectory()]
+    done = spark._jvm.org.apache.hadoop.fs.Path
+    return [p.getName() for p in found if system.exists(done(p, "_SUCCESS"))]
 
 
 def release(spark: SparkSession) -> None:
