@@ -103,6 +103,13 @@ def sparse_rows(cells: DataFrame) -> DataFrame:
     return rows.select("id", F.col("c.feature").alias("idx"), F.col("c.value").alias("val"), "y")
 
 
+def doc_dense(spark: SparkSession, sf_dir: str, d: int = D - 1) -> DataFrame:
+    """`d` shares of hashed words and a bias, scaled to a norm near one; y = 1 for English: a set that can be learnt."""
+    cells = doc_sparse(spark, sf_dir, labelled=False).withColumn("j", F.col("feature") % d)
+    x = F.array(*(4.0 * F.coalesce(F.sum(F.when(F.col("j") == j, F.col("value"))), F.lit(0.0)) for j in range(d)), F.lit(1.0))
+    return cells.groupBy("id", "y").agg(x.alias("x")).select("id", "x", "y")
+
+
 def ratings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(i, j, m): mean quantity of a part in a customer's orders, over 50."""
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_quantity")

@@ -111,15 +111,38 @@ def join_cross_small(spark, sf):
     return table(spark, sf, "region").select("r_name").crossJoin(table(spark, sf, "nation").select("n_name"))  # 5 x 25 rows at every scale
 
 
+def containing(docs, items):
+    """(doc_id, item_id): documents whose text contains an item's text verbatim.
+
+    Keys and texts are joined apart.  An item of three or more words is found by its
+    longest inner word, which stands as a whole word wherever the item stands; a
+    shorter one by its first three characters, which may be anywhere, and one of
+    less than that is tried on every document.  Null texts contain nothing, and an
+    empty item is in every text.
+    """
+    words = lambda c: F.filter(F.split(c, r"\s+"), lambda w: w != "")
+    # the ends of an item may be parts of longer words, whether or not white space is next to them inside
+    inner = F.slice(F.col("w"), F.lit(2), F.greatest(F.size("w") - 2, F.lit(0)))
+    longest = F.array_max(F.transform(inner, lambda w: F.struct(F.length(w).alias("n"), w.alias("w"))))["w"]
+    kind = F.when(longest.isNotNull(), "word").when(F.length("passage") >= 3, "gram").otherwise("any")
+    item = items.select("item_id", F.col("text").alias("passage")).where("passage is not null").withColumn("w", words("passage"))
+    key = F.when(F.col("kind") == "word", longest).when(F.col("kind") == "gram", F.substring("passage", 1, 3)).otherwise("")
+    item = item.withColumn("kind", kind).select("item_id", "passage", "kind", key.alias("key"))
+    kinds = {row[0] for row in item.select("kind").distinct().collect()}  # three at most
+    text = docs.select("doc_id", "text").where("text is not null")
+    of = {"word": words("text"), "gram": F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - 2, F.lit(1))), lambda i: F.col("text").substr(i, F.lit(3))), "any": F.array(F.lit(""))}
+    found = None
+    for name in sorted(kinds):
+        met = text.select("doc_id", F.explode(F.array_distinct(of[name])).alias("key")).join(item.where(F.col("kind") == name).select("item_id", "key"), "key").select("doc_id", "item_id").distinct()
+        found = met if found is None else found.union(met)
+    if found is None:
+        return text.select("doc_id").crossJoin(item.select("item_id")).where("false")
+    return found.join(item.select("item_id", "passage"), "item_id").join(text, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
+
+
 @query("SELECT doc_id, item_id FROM documents JOIN benchmark ON contains(documents.text, benchmark.text)")
 def passage_contains(spark, sf):
-    """Documents that contain an item verbatim: an equi-join on the item's first word, then the exact test."""
-    words = lambda c: F.split(c, r"\s+")
-    item = table(spark, sf, "benchmark").select("item_id", F.col("text").alias("passage"))
-    item = item.withColumn("pieces", F.filter(words("passage"), lambda w: w != "")).withColumn("w", F.element_at("pieces", F.least(F.lit(2), F.size("pieces"))))
-    docs = table(spark, sf, "documents").select("doc_id", "text")
-    first = docs.select("doc_id", "text", F.explode(F.array_distinct(words("text"))).alias("w"))
-    return first.join(F.broadcast(item), "w").where(F.contains("text", "passage")).select("doc_id", "item_id")
+    return containing(table(spark, sf, "documents"), table(spark, sf, "benchmark"))
 
 
 @query("SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON b.p_retailprice > a.p_retailprice AND b.p_retailprice <= a.p_retailprice + 0.15 AND a.p_size = b.p_size")
@@ -136,10 +159,11 @@ def join_range_price(spark, sf):
 
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'purchase' AND b.event_type = 'click' AND b.ts < a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR")
 def events_within_window(spark, sf):
-    e = table(spark, sf, "events").select("event_id", "user_id", "event_type", "ts")
-    a = e.where("event_type = 'purchase'").select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("ta"))
-    b = e.where("event_type = 'click'").select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("tb"))
-    return a.join(b, "user_id").where((F.col("tb") < F.col("ta")) & (F.col("tb") >= F.col("ta") - F.expr("interval 1 hour"))).select("a", "b")
+    """Hours are part of the key: a purchase meets the clicks of its hour and of the one before, not all of its user's."""
+    e = table(spark, sf, "events").select("event_id", "user_id", "event_type", "ts", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 3_600_000_000).alias("hour"))
+    a = e.where("event_type = 'purchase'").select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("ta"), F.explode(F.array("hour", F.col("hour") - 1)).alias("hour"))
+    b = e.where("event_type = 'click'").select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("tb"), "hour")
+    return a.join(b, ["user_id", "hour"]).where((F.col("tb") < F.col("ta")) & (F.col("tb") >= F.col("ta") - F.expr("interval 1 hour"))).select("a", "b")
 
 
 @query("SELECT a.event_id, b.event_id AS last_view FROM (SELECT * FROM events WHERE event_type = 'purchase') a ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'view') b ON a.user_id = b.user_id AND a.ts > b.ts")

@@ -5,7 +5,7 @@ import math
 import duckdb
 import pytest
 
-from gradfold.plans import orders, relational, surface, training  # noqa: F401
+from gradfold.plans import orders, relational, studies, surface, training  # noqa: F401
 from gradfold.plans.registry import ORACLES, QUERIES
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
