@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -24,25 +25,28 @@ def smooth_walk(w: np.ndarray, t: np.ndarray, y: np.ndarray, alpha: float, c: np
 
 
 def smooth_exact(y: np.ndarray, c: np.ndarray | None = None, a: np.ndarray | None = None, w0: np.ndarray | None = None) -> np.ndarray:
-    """The minimiser, by the normal equations of the chain; w0 None leaves the state before the first free."""
+    """The minimiser, by a forward and a backward sweep over the chain's blocks; w0 None leaves the state before the first free.
+
+    Work and memory are in the length of the series.
+    """
     n, s = len(y), (y.shape[1] if c is None else c.shape[1])
     c = np.eye(s) if c is None else c
     a = np.eye(s) if a is None else a
-    big, rhs = np.zeros((n * s, n * s)), np.zeros(n * s)
+    if not n:
+        return np.zeros((0, s))
+    own, tie, following = c.T @ c, np.eye(s), a.T @ a
+    lead, right = np.empty((n, s, s)), np.empty((n, s))
     for t in range(n):
-        at = slice(t * s, (t + 1) * s)
-        big[at, at] += c.T @ c
-        rhs[at] += c.T @ y[t]
-        if t or w0 is not None:
-            big[at, at] += np.eye(s)
-            if t:
-                prev = slice((t - 1) * s, t * s)
-                big[prev, prev] += a.T @ a
-                big[at, prev] -= a
-                big[prev, at] -= a.T
-            else:
-                rhs[at] += a @ w0
-    return np.linalg.solve(big, rhs).reshape(n, s)
+        d = own + (tie if t or w0 is not None else 0) + (following if t + 1 < n else 0)
+        r = c.T @ y[t] + (a @ w0 if not t and w0 is not None else 0)
+        if t:
+            # the block left of the diagonal is -a
+            d = d - a @ lead[t - 1]
+            r = r + a @ right[t - 1]
+        lead[t], right[t] = np.linalg.solve(d, a.T), np.linalg.solve(d, r)
+    for t in range(n - 2, -1, -1):
+        right[t] += lead[t] @ right[t + 1]
+    return right
 
 
 def smoothing_loss(df: DataFrame, w0: float = 0.0) -> DataFrame:
@@ -91,3 +95,45 @@ def portfolio_exact(r: np.ndarray) -> np.ndarray:
             if (v := portfolio_objective(w, r)) < best:
                 best, found = v, w
     return found
+
+
+def fit_smoothing(rows: DataFrame, epochs: int, alpha, every: int = 1) -> DataFrame:
+    """(series, epoch, loss) of scalar series (series, t, y) with t from 1: each is folded on an executor, its states beside it."""
+    steps = [alpha(e) for e in range(1, epochs + 1)]
+
+    def work(own: pa.Table) -> pa.Table:
+        own = own.sort_by("t")
+        y, t = own.column("y").to_numpy()[:, None], np.arange(1, own.num_rows + 1)
+        w, out = np.zeros_like(y), []
+        for e, step in enumerate(steps, 1):
+            smooth_walk(w, t, y, step, np.eye(1), np.eye(1), np.zeros(1))
+            if e % every == 0:
+                before = np.vstack([[[0.0]], w[:-1]])
+                out.append((e, float(((w - y) ** 2).sum() + ((w - before) ** 2).sum())))
+        name = own.column("series")[0].as_py()
+        return pa.table({"series": pa.array([name] * len(out), own.schema.field("series").type), "epoch": pa.array([o[0] for o in out], pa.int32()), "loss": pa.array([o[1] for o in out], pa.float64())})
+
+    return rows.select("series", "t", "y").groupBy("series").applyInArrow(work, f"series {rows.schema['series'].dataType.simpleString()}, epoch int, loss double")
+
+
+def fit_portfolio(periods: DataFrame, assets: int, epochs: int, alpha) -> np.ndarray:
+    """Weights from rows (k, r) of returns, r an array of `assets`: projected steps in the order of k, one job a pass, the model between passes with the driver."""
+    stats = periods.agg(F.count("*"), *(F.avg(F.col("r")[i]) for i in range(assets))).first()
+    n, mean = stats[0], np.array(stats[1:], float)
+    held = periods.select("k", "r").repartition(1).sortWithinPartitions("k").persist()
+    w = np.full(assets, 1 / assets)
+    for e in range(1, epochs + 1):
+        begin, step = w, alpha(e)
+
+        def run(batches, begin=begin, step=step):
+            w = begin
+            for b in batches:
+                for row in np.asarray(b.column(1).flatten()).reshape(-1, assets):
+                    c = row - mean
+                    w = onto_simplex(w - step * (-mean / n + 2 * float(c @ w) * c / n))
+            yield pa.RecordBatch.from_arrays([pa.array([w.tolist()], pa.list_(pa.float64()))], names=["w"])
+
+        got = held.mapInArrow(run, "w array<double>").collect()  # one model
+        w = np.array(got[0].w) if got else w
+    held.unpersist()
+    return w

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import hashing as H
 from ..functions import vectors as V
-from ..operators import baselines, chain, factor, folds, loop, merge, metrics, models, parallel, prox, series, sparse
+from ..operators import baselines, chain, factor, folds, loop, merge, metrics, models, parallel, prox, series, softmax, sparse
 from ..operators.ordering import Clustered, ShuffleAlways, ShuffleOnce
 from ..operators.steps import Constant, PerEpoch
 from ..operators.tasks import ABSOLUTE, HUBER, LR, LSQ, NULL, POISSON, SVM
@@ -159,27 +159,32 @@ def igd_svm_model_average(spark, sf):
     return _averaged(spark, sf, SVM)
 
 
-@query()
-def igd_softmax_epoch(spark, sf):
-    """Multinomial logistic regression over ten classes, one epoch."""
+CLASSES = 10
+
+
+def classed(spark, sf):
     x = F.array_append(F.col("embedding").cast("array<double>"), F.lit(1.0))
-    df = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), x.alias("x"), F.col("label").cast("int").alias("c"))
-    import pyarrow as pa
+    return table(spark, sf, "embeddings").select(F.col("vec_id").cast("long").alias("id"), x.alias("x"), F.col("label").cast("int").alias("c"))
 
-    def run(batches):
-        w = np.zeros((10, X.D))
-        for b in batches:
-            x, c = folds.dense(b.column(1)), np.asarray(b.column(2))
-            for i in range(len(c)):
-                u = w @ x[i]
-                p = np.exp(u - u.max())
-                p /= p.sum()
-                p[c[i]] -= 1
-                w -= ALPHA * p[:, None] * x[i]
-        cls, j = np.divmod(np.arange(w.size), X.D)
-        yield pa.RecordBatch.from_arrays([pa.array(cls.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(np.round(w.ravel(), 6) + 0.0)], names=["cls", "j", "w"])
 
-    return keyed(df).select("k", "x", "c").repartition(1).sortWithinPartitions("k").mapInArrow(run, "cls int, j int, w double")
+def softmax_epoch(rows):
+    df = keyed(rows).withColumn("seg", F.lit(0).cast("long")).repartition(1)
+    w = F.posexplode("w").alias("p", "v")
+    return softmax.fold(df, CLASSES, X.D, ALPHA).select(w).select(F.floor(F.col("p") / X.D).cast("int").alias("cls"), (F.col("p") % X.D).alias("j"), (F.round("v", 6) + F.lit(0.0)).alias("w"))
+
+
+def _softmax_sql():
+    d = X.D
+    u = "[" + ", ".join(f"list_dot_product(a[{c * d + 1}:{(c + 1) * d}], r[1:{d}])" for c in range(CLASSES)) + "]"
+    step = f"list_transform([{u}], lambda u: list_transform([list_transform(u, lambda v: exp(v - list_max(u)))], lambda e: list_transform(a, lambda v, i: v - {ALPHA!r}::DOUBLE * (e[((i - 1) // {d}) + 1] / list_sum(e) - CASE WHEN (i - 1) // {d} = r[{d + 1}] THEN 1 ELSE 0 END) * r[((i - 1) % {d}) + 1]))[1])[1]"
+    rows = f"SELECT {H.sql_key('42', 'id')} AS k, list_append(x, c::DOUBLE) AS r FROM (SELECT vec_id::BIGINT AS id, list_append(embedding::DOUBLE[], 1.0::DOUBLE) AS x, label AS c FROM embeddings)"
+    return f"SELECT (p // {d})::INT AS cls, (p % {d})::INT AS j, round(v, 6) + 0.0 AS w FROM (SELECT unnest(range(0, {CLASSES * d})) AS p, unnest(w) AS v FROM (SELECT list_reduce(list(r ORDER BY k), lambda a, r: {step}, list_resize(CAST([] AS DOUBLE[]), {CLASSES * d}, 0.0::DOUBLE)) AS w FROM ({rows})))"
+
+
+@query(_softmax_sql())
+def igd_softmax_epoch(spark, sf):
+    """Multinomial logistic regression over ten classes, one epoch."""
+    return softmax_epoch(classed(spark, sf))
 
 
 def _sparse_sql(task, parts=1, alpha=1.0):
@@ -314,18 +319,19 @@ def rmse_lmf(spark, sf):
 # series
 
 
-@query()
+_KALMAN = 30
+
+
+@query(f"""WITH RECURSIVE y AS (SELECT list(y ORDER BY t) AS y, count(*) AS n FROM ({X.SQL_DAILY})),
+ s AS (SELECT 0 AS e, list_resize(CAST([] AS DOUBLE[]), n, 0.0::DOUBLE) AS w, y, n FROM y
+   UNION ALL SELECT e + 1, list_reduce(list_transform(range(1, n + 1), lambda t: [t::DOUBLE, y[t]]), lambda a, r: list_concat(CASE WHEN r[1] > 2 THEN a[1:r[1]::INT - 2] ELSE CAST([] AS DOUBLE[]) END,
+     CASE WHEN r[1] > 1 THEN [a[r[1]::INT - 1] + 2 * 0.3::DOUBLE / sqrt(e + 1) * (a[r[1]::INT] - a[r[1]::INT - 1])] ELSE CAST([] AS DOUBLE[]) END,
+     [a[r[1]::INT] - 2 * 0.3::DOUBLE / sqrt(e + 1) * (a[r[1]::INT] - r[2] + a[r[1]::INT] - CASE WHEN r[1] > 1 THEN a[r[1]::INT - 1] ELSE 0.0 END)], a[r[1]::INT + 1:]), w), y, n FROM s WHERE e < {_KALMAN})
+ SELECT e AS epoch, round(list_sum(list_transform(range(1, n + 1), lambda t: (w[t] - y[t]) ** 2 + (w[t] - CASE WHEN t > 1 THEN w[t - 1] ELSE 0.0 END) ** 2)), 4) AS loss FROM s WHERE e > 0 AND e % 10 = 0""")
 def igd_kalman(spark, sf):
-    """Thirty epochs over the daily series; the loss after each tenth."""
-    rows = X.daily(spark, sf).orderBy("t").collect()  # one row a day
-    y = np.array([[r.y] for r in rows])
-    t, w, out = np.arange(1, len(y) + 1), np.zeros((len(y), 1)), []
-    for e in range(1, 31):
-        series.smooth_walk(w, t, y, 0.3 / e**0.5, np.eye(1), np.eye(1), np.zeros(1))
-        if e % 10 == 0:
-            before = np.vstack([[[0.0]], w[:-1]])
-            out.append((e, float(((w - y) ** 2).sum() + ((w - before) ** 2).sum())))
-    return spark.createDataFrame(out, "epoch int, loss double")
+    """Thirty epochs over the daily series, on an executor; the loss after each tenth."""
+    rows = X.daily(spark, sf).withColumn("series", F.lit(0))
+    return series.fit_smoothing(rows, _KALMAN, PerEpoch(0.3, 0.5), 10).select("epoch", F.round("loss", 4).alias("loss"))
 
 
 @query(f"""WITH RECURSIVE y AS (SELECT t, y, CASE WHEN t = max(t) OVER () THEN 2.0::DOUBLE ELSE 3.0::DOUBLE END AS d FROM ({X.SQL_DAILY})),
@@ -366,13 +372,13 @@ def portfolio_loss(spark, sf):
 @query()
 def igd_portfolio(spark, sf):
     """Projected steps on monthly returns of five segments; weights, and the exact ones by enumeration."""
-    wide = X.returns(spark, sf).groupBy("t").pivot("a", _segments(spark, sf)).agg(F.first("r")).orderBy("t").toPandas().set_index("t").dropna()  # one row a month
-    r = wide.to_numpy()
-    w = np.full(r.shape[1], 1 / r.shape[1])
-    for e in range(1, 61):
-        w = series.portfolio_walk(w, r, 20 / e**0.5, r.mean(axis=0))
-    best = series.portfolio_exact(r)
-    return spark.createDataFrame([(a, float(v), float(b)) for a, v, b in zip(wide.columns, w, best, strict=True)], "asset string, w double, exact double")
+    names = _segments(spark, sf)
+    wide = X.returns(spark, sf).groupBy("t").pivot("a", names).agg(F.first("r")).dropna()
+    rows = wide.select(F.col("t").alias("k"), F.array(*(F.col(f"`{n}`") for n in names)).alias("r")).persist()
+    w = series.fit_portfolio(rows, len(names), 60, lambda e: 20 / e**0.5)
+    best = series.portfolio_exact(np.array([r.r for r in rows.orderBy("k").collect()]))  # one row a month, for the check only
+    rows.unpersist()
+    return spark.createDataFrame([(a, float(v), float(b)) for a, v, b in zip(names, w, best, strict=True)], "asset string, w double, exact double")
 
 
 def _segments(spark, sf):

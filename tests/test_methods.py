@@ -367,3 +367,50 @@ def test_results_do_not_depend_on_partitions(spark, sf):
         got.append(loop.fit(df, LR, X.D, stop=stop.MaxEpochs(1), parts=3).w.round(9).tolist())
     spark.conf.set("spark.sql.shuffle.partitions", keep)
     assert got[0] == got[1] == got[2]
+
+
+def test_softmax_over_segments(spark, sf):
+    from gradfold.operators import softmax
+    from gradfold.plans import training
+
+    rows = training.classed(spark, sf)
+    df = rows.withColumn("k", H.order_key(42, F.col("id")))
+    got = df.orderBy("k").collect()
+    x, c = np.array([r.x for r in got]), np.array([r.c for r in got])
+    w = softmax.fold(df.withColumn("seg", F.lit(3).cast("long")).repartition(1), 10, X.D, 0.1).first()
+    want = np.zeros((10, X.D))
+    for a, k in zip(x, c):
+        p = softmax.chances(want, a[None, :])[0]
+        p[k] -= 1
+        want -= 0.1 * p[:, None] * a
+    w = np.array(w.w).reshape(10, -1)
+    assert np.allclose(w, want)
+    p = softmax.chances(w, x)
+    value = softmax.loss(rows, w).first()
+    assert value.n == len(c) and np.isclose(value.loss, -np.log(p[np.arange(len(c)), c]).sum())
+    told = {r.id: r.prediction for r in softmax.predict(rows, w).select("id", "prediction").collect()}
+    assert [told[r.id] for r in got] == p.argmax(axis=1).tolist()
+
+
+def test_smoothing_sweep_is_the_dense_solution():
+    rng = np.random.default_rng(5)
+    y = rng.normal(size=(40, 1))
+    n = len(y)
+    big, rhs = np.zeros((n, n)), y[:, 0].copy()
+    for t in range(n):
+        big[t, t] += 2
+        if t:
+            big[t - 1, t - 1] += 1
+            big[t, t - 1] = big[t - 1, t] = -1
+    assert np.allclose(series.smooth_exact(y, w0=np.zeros(1))[:, 0], np.linalg.solve(big, rhs))
+    assert series.smooth_exact(np.zeros((0, 1))).shape == (0, 1)
+
+
+def test_portfolio_fold_is_the_walk(spark):
+    rng = np.random.default_rng(6)
+    r = rng.normal(0.01, 0.05, size=(60, 4))
+    df = spark.createDataFrame([(i, row.tolist()) for i, row in enumerate(r)], "k int, r array<double>")
+    w = np.full(4, 0.25)
+    for e in (1, 2, 3):
+        w = series.portfolio_walk(w, r, 5 / e, r.mean(axis=0))
+    assert np.allclose(series.fit_portfolio(df, 4, 3, lambda e: 5 / e), w)
