@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from .. import sqlapi
 from ..functions import vectors as V
-from ..operators.tasks import LR
+from ..operators.tasks import LR, SVM
 from ..sources.tables import table
 from ..streaming import online, windows
 from . import fixtures as X
@@ -44,19 +44,23 @@ def stream_static_join(spark, sf):
     return windows.replay(joined.groupBy("c_mktsegment").agg(F.count("*").alias("n")))
 
 
-@query()
+@query("""SELECT strftime(start, '%Y-%m-%d %H:%M') AS start, event_type, n, total FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2)
+ WHERE start + INTERVAL 1 HOUR <= (SELECT date_trunc('millisecond', max(ts)) FROM events) - INTERVAL 2 HOUR""")
 def stream_late_drop(spark, sf):
     """Closed windows only: those that the watermark has passed."""
     return windows.replay(windows.tumbling(windows.events(spark, sf)), "append")
 
 
-@query()
+_SQL_STREAM = "SELECT event_id AS id, [ln(1 + value), hour(ts) / 24.0::DOUBLE, 1.0::DOUBLE] AS x, CASE WHEN event_type = 'purchase' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM events"
+
+
+@query(f"SELECT c.j, c.w, (SELECT count(*) FROM events) AS rows FROM ({S.coords(f'SELECT {S.fold("", LR.sql_move, 0.05, 3)} AS w FROM ({S.keyed(_SQL_STREAM, "id")})', 3)}) c")
 def online_lr(spark, sf):
     """Purchases against other events, learnt from the stream batch by batch."""
     x = F.array(F.log1p("value"), F.hour("ts") / 24.0, F.lit(1.0))
     stream = windows.events(spark, sf).select(F.col("event_id").alias("k"), x.alias("x"), F.when(F.col("event_type") == "purchase", 1.0).otherwise(-1.0).alias("y"))
     learner = online.learn(stream, online.OnlineLearner(LR, 3, 0.05))
-    return spark.createDataFrame([(j, float(v), learner.rows) for j, v in enumerate(learner.w)], "j int, w double, rows long")
+    return spark.createDataFrame([(j, round(float(v), 6) + 0.0, learner.rows) for j, v in enumerate(learner.w)], "j int, w double, rows long")
 
 
 @query(f"SELECT id, round(1.0 / (1.0 + exp(-list_dot_product({S.MODEL}, x))), 6) AS s FROM ({X.SQL_EMB})")
@@ -92,7 +96,16 @@ def udtf_predict(spark, sf):
     return spark.sql(f"SELECT id, round(margin, 6) AS margin FROM gf_predict(TABLE(gf_points), {weights})")
 
 
-@query()
+def _svm_sql(epochs=3):
+    parts, start = [f"d AS MATERIALIZED ({S.once(X.SQL_EMB)})"], None
+    for e in range(1, epochs + 1):
+        parts.append(f"w{e} AS MATERIALIZED (SELECT {S.fold('', SVM.sql_move, 0.1, start=start)} AS w FROM d)")
+        start = f"(SELECT w FROM w{e})"
+    u = f"list_dot_product(w[1:{X.D}], x)"
+    return f"WITH {', '.join(parts)} SELECT y, CASE WHEN {u} < 0 THEN -1.0::DOUBLE ELSE 1.0::DOUBLE END AS prediction, count(*) AS n FROM w{epochs}, ({X.SQL_EMB}) GROUP BY 1, 2"
+
+
+@query(_svm_sql())
 def sql_svm_train(spark, sf):
     """The user's call: train a model by names, save it, apply it."""
     from ..sources.files import scratch
