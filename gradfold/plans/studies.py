@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from ..functions import hashing as H
-from ..operators import baselines, folds, loop, metrics, mrs, parallel, sampling, sparse
+from ..operators import baselines, factor, folds, loop, metrics, mrs, parallel, sampling, sparse
 from ..operators.ordering import Alternating, Clustered, LocalShuffle, Reverse, ShuffleAlways, ShuffleOnce, Stored
 from ..operators.steps import Constant, PerEpoch
 from ..operators.stop import MaxEpochs, Multiple, OptGap, TargetLoss
@@ -132,6 +132,18 @@ def order_study(spark, sf):
     return spark.createDataFrame(out, "data_order string, epochs int, steps long, reached boolean")
 
 
+@query()
+def lmf_order_study(spark, sf):
+    """Factorisation with the cells of a block by row and column, and in hash order: the squared error per cell in each of three epochs."""
+    cells = X.ratings(spark, sf).persist()
+    n, out = max(1, cells.count()), []
+    for name, key in (("clustered", F.struct("i", "j")), ("shuffled", None)):
+        _, losses = factor.fit_strata(cells, 4, 3, PerEpoch(0.1, 0.25), parts=4, key=key)
+        out += [(name, e, round(float(np.sqrt(v / n)), 6)) for e, v in enumerate(losses, 1)]
+    cells.unpersist()
+    return spark.createDataFrame(out, "data_order string, epoch int, rmse double")
+
+
 # times: they depend on the machine, so there is nothing to compare them with but each other
 
 

@@ -414,3 +414,30 @@ def test_portfolio_fold_is_the_walk(spark):
     for e in (1, 2, 3):
         w = series.portfolio_walk(w, r, 5 / e, r.mean(axis=0))
     assert np.allclose(series.fit_portfolio(df, 4, 3, lambda e: 5 / e), w)
+
+
+def test_strata_are_the_serial_walk_of_their_diagonals(spark):
+    """Any number of blocks, against plain loops over the diagonals in the same order; rows and columns of every integer type."""
+    rng = np.random.default_rng(8)
+    data = sorted({(int(a), int(b)) for a, b in zip(rng.integers(0, 30, 200), rng.integers(0, 25, 200))})
+    cells = [(a, b, float(rng.normal())) for a, b in data]
+    df = spark.createDataFrame(cells, "i int, j long, m double")
+    parts, rank = 3, 2
+    side = lambda s, c: {r[0]: r[1] for r in df.select(F.col(c).cast("long").alias("v"), F.pmod(F.xxhash64(F.lit(s), F.col(c).cast("long")), F.lit(parts)).alias("b")).distinct().collect()}
+    bi, bj = side("L", "i"), side("R", "j")
+    start = {(r.side, r.id): np.array(r.f) for r in factor.initial(df.withColumn("i", F.col("i").cast("long")), rank).collect()}
+    losses = []
+    for e in (1, 2):
+        total = 0.0
+        for s in range(parts):
+            for a, b, m in cells:  # ordered by row and column
+                if (bj[b] - bi[a]) % parts == s:
+                    x, y = start["L", a], start["R", b]
+                    err = m - x @ y
+                    total += err * err
+                    start["L", a], start["R", b] = x + 0.1 / e * 2 * err * y, y + 0.1 / e * 2 * err * x
+        losses.append(total)
+    got, met = factor.fit_strata(df, rank, 2, lambda e: 0.1 / e, parts=parts, key=F.struct(F.col("i"), F.col("j")))
+    assert np.allclose(met, losses)
+    found = {(r.side, r.id): np.array(r.f) for r in got.collect()}
+    assert set(found) == set(start) and all(np.allclose(found[k], start[k]) for k in start)
