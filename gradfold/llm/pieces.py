@@ -6,18 +6,21 @@ records the source bytes it came from.  Pieces of the normalised text project
 through those records to spans of the original bytes.
 
 Byte-pair merging never joins two characters that stand together in no piece of
-the vocabulary, so this module's own merging cuts the text at such places (before
-each run of spaces, around line feeds).  Where the character map is empty, as in
-the model used here, pieces project to bytes by their lengths alone; ids then come
-from the library's encoder, which the own one is tested against.
+the vocabulary, so the text is cut at such places (before each run of spaces, around
+line feeds), and the segmentations of short cuts, mostly words, are remembered.
+The map is walked only from places whose byte begins an entry of it; between them
+a text is its own normal form.  Tests compare ids and decoded texts with the
+library.
 """
 
 from __future__ import annotations
 
 import hashlib
 import heapq
+import re
 import struct
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +31,9 @@ from pyspark.sql import types as T
 from .shared import append_struct
 
 SPACE = "▁"
+#: How many segmentations a worker remembers, of cuts of at most so many characters.
+REMEMBERED, SHORT = 1 << 18, 48
+_CUTS = re.compile(f"\n|{SPACE}+[^{SPACE}\n]*|[^{SPACE}\n]+")
 #: Piece types of the public model format.
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 
@@ -69,6 +75,16 @@ class CharacterMap:
         size = struct.unpack_from("<I", blob)[0] if blob else 0
         self.units = np.frombuffer(blob, "<u4", size // 4, 4).tolist() if size else []
         self.texts = blob[4 + size :] if blob else b""
+        first = bytes(b for b in range(256) if self._begins(b))
+        #: Finds the bytes that begin an entry.
+        self.starts = re.compile(b"[" + re.escape(first) + b"]") if first else None
+
+    def _begins(self, byte: int) -> bool:
+        if not self.units:
+            return False
+        root = self.units[0]
+        at = (root >> 10 << ((root & 512) >> 6)) ^ byte
+        return at < len(self.units) and self.units[at] & 0x800000FF == byte
 
     def longest(self, raw: bytes, at: int) -> tuple[int, bytes] | None:
         """(bytes used, replacement) of the longest prefix of raw[at:] that the map has."""
@@ -117,20 +133,33 @@ class Codec:
         self.ids = {p: i for i, (p, k) in enumerate(zip(self.pieces, self.kinds, strict=True)) if k == NORMAL}
         self.byte_ids = {int(p[3:5], 16): i for i, (p, k) in enumerate(zip(self.pieces, self.kinds, strict=True)) if k == BYTE}
         self.unknown, self.begin, self.end = self.kinds.index(UNKNOWN), self.pieces.index("<s>"), self.pieces.index("</s>")
-        self.plain = not self.map.units and not self.squeeze and self.dummy
         joined = [p for p in self.ids if len(p) > 1]
         #: May a text be cut before each run of spaces, and around line feeds?
         self.cuts = not any(b == SPACE != a for p in joined for a, b in zip(p, p[1:], strict=False)) and not any("\n" in p for p in joined)
         self.native = sentencepiece.SentencePieceProcessor(model_proto=blob)
         self.bytes_of = [bytes([int(p[3:5], 16)]) if k == BYTE else b"" if k == CONTROL else p.replace(SPACE, " ").encode() for p, k in zip(self.pieces, self.kinds, strict=True)]
-        #: Source bytes of each piece where normalisation only writes spaces as marks.
-        self.sizes = np.array([1 if k == BYTE else 0 if k == CONTROL else len(p.replace(SPACE, " ").encode()) for p, k in zip(self.pieces, self.kinds, strict=True)], np.uint32)
+        #: Bytes of each piece in a normalised text.
+        self.sizes = np.array([1 if k == BYTE else 0 if k == CONTROL else len(p.encode()) for p, k in zip(self.pieces, self.kinds, strict=True)], "<u4")
+        self.lengths = np.array([len(b) for b in self.bytes_of], np.int64)
+        self.verbatim = self.map.starts is None and self.dummy and not self.squeeze and bool(self.byte_ids)
+        self._known: dict[str, tuple[bytes, bytes, bytes]] = {}
 
     # normalisation
 
-    def normalise(self, text: str) -> tuple[str, list[int]]:
+    def normalise(self, text: str) -> tuple[str, np.ndarray]:
         """The normalised text, and for each of its UTF-8 bytes (and its end) the source byte that it comes from."""
         raw = text.encode()
+        if self.squeeze or not raw or self.map.starts and self.map.starts.search(raw):
+            chars, source = self._walked(raw)
+            return chars, np.array(source, np.int64)
+        # no entry of the map begins in this text: only spaces change, into marks of three bytes
+        times = np.where(np.frombuffer(raw, np.uint8) == 0x20, len(SPACE.encode()), 1)
+        source = np.append(np.repeat(np.arange(len(raw)), times), len(raw))
+        chars = text.replace(" ", SPACE)
+        return (SPACE + chars, np.append(np.zeros(len(SPACE.encode()), np.int64), source)) if self.dummy else (chars, source)
+
+    def _walked(self, raw: bytes) -> tuple[str, list[int]]:
+        """The same place by place, each by the longest prefix that the map has."""
         out, source, at = bytearray(), [], 0
         mark = SPACE.encode()
 
@@ -219,59 +248,66 @@ class Codec:
                 out.append((self.unknown, len(raw)))
         return out
 
-    def spans(self, text: str) -> list[tuple[int, int, int]]:
-        """(id, first byte, one past the last byte of the original text) of each piece; no begin and end ids."""
-        chars, source = self.normalise(text)
-        out, at = [], 0
-        for cut in self._cut(chars) if self.cuts else [chars] if chars else []:
-            for i, size in self.segment(cut):
-                out.append((i, source[at], source[at + size]))
-                at += size
+    def _cut(self, chars: str) -> list[str]:
+        return _CUTS.findall(chars) if self.cuts else [chars] if chars else []
+
+    def _segmented(self, cuts: set[str]) -> None:
+        """Remember ids and normalised bytes of the pieces of cuts, as little-endian unsigned 32-bit integers, and the bytes that they decode to."""
+        # a word after one mark, of a model that leaves texts as they are, is what the library's merging gets for the word alone
+        words = [c for c in cuts if c[0] == SPACE and c.find(SPACE, 1) < 0] if self.verbatim else []
+        if words:
+            own = self.native.encode([c[1:] for c in words], num_threads=1)
+            flat = np.fromiter(chain.from_iterable(own), np.int64)
+            at = np.concatenate([[0], np.cumsum(np.fromiter(map(len, own), np.int64, len(own)))])
+            ids, sizes, texts = flat.astype("<u4").tobytes(), self.sizes[flat].tobytes(), b"".join(map(self.bytes_of.__getitem__, flat.tolist()))
+            to = np.concatenate([[0], np.cumsum(self.lengths[flat])])[at].tolist()
+            at = (4 * at).tolist()
+            for n, cut in enumerate(words):
+                if at[n] < at[n + 1]:
+                    self._known[cut] = ids[at[n] : at[n + 1]], sizes[at[n] : at[n + 1]], texts[to[n] : to[n + 1]]
+        for cut in cuts:
+            if cut not in self._known:
+                pieces = self.segment(cut)
+                self._known[cut] = np.array([i for i, _ in pieces], "<u4").tobytes(), np.array([n for _, n in pieces], "<u4").tobytes(), b"".join([self.bytes_of[i] for i, _ in pieces])
+
+    def coded_many(self, texts: list[str]) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, bytes]]:
+        """For each text all ids, the first source byte of each and one past its last, and the decoded text in UTF-8.
+
+        The begin id spans (0, 0) and the end id the text's end.
+        """
+        normal = [self.normalise(t) for t in texts]
+        cuts = [self._cut(chars) for chars, _ in normal]
+        every = set().union(*cuts)
+        need = every - self._known.keys()
+        if len(self._known) + len(need) > REMEMBERED:
+            self._known.clear()
+            need = every
+        self._segmented(need)
+        out = [self._joined(t, source, [self._known[c] for c in own]) for t, (_, source), own in zip(texts, normal, cuts, strict=True)]
+        for c in need:
+            if len(c) > SHORT:
+                del self._known[c]
         return out
 
-    @staticmethod
-    def _cut(chars: str) -> list[str]:
-        out, begin = [], 0
-        for i in range(1, len(chars)):
-            if chars[i] == SPACE != chars[i - 1] or "\n" in (chars[i], chars[i - 1]):
-                out.append(chars[begin:i])
-                begin = i
-        return [*out, chars[begin:]] if chars else out
-
-    def ids_of(self, text: str) -> list[int]:
-        return [self.begin, *(i for i, _, _ in self.spans(text)), self.end]
-
-    def encode_many(self, texts: list[str]) -> list[tuple[bytes, bytes, bytes]]:
-        """For each text all ids, the decoded text in UTF-8, and each id's (first, past last) source bytes; numbers as little-endian unsigned 32-bit integers."""
-        if not self.plain:
-            return [self._whole(t) for t in texts]
-        begin, end = self.begin.to_bytes(4, "little"), self.end.to_bytes(4, "little")
-        out = []
-        for text, own in zip(texts, self.native.encode(texts, num_threads=1), strict=True):
-            raw = begin + np.array(own, "<u4").tobytes() + end
-            ids = np.frombuffer(raw, "<u4")
-            out.append((raw, self._decoded(ids), self._places(text, ids)))
-        return out
+    def _joined(self, text: str, source: np.ndarray, parts: list[tuple[bytes, bytes, bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray, bytes]:
+        own = np.frombuffer(b"".join([p[0] for p in parts]), "<u4")
+        sizes = np.frombuffer(b"".join([p[1] for p in parts]), "<u4").astype(np.int64)
+        ends, size = np.cumsum(sizes), len(text.encode())
+        ids = np.concatenate([[self.begin], own, [self.end]]).astype("<u4")
+        starts = np.concatenate([[0], source[ends - sizes], [size]]).astype("<u4")
+        stops = np.concatenate([[0], source[ends], [size]]).astype("<u4")
+        if self.byte_ids:
+            raw = b"".join([p[2] for p in parts])
+            return ids, starts, stops, raw[1:] if raw.startswith(b" ") and (self.dummy or self.squeeze) else raw
+        return ids, starts, stops, self.decode(ids.tolist()).encode()
+
+    def coded(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, bytes]:
+        return self.coded_many([text])[0]
 
-    def _whole(self, text: str) -> tuple[bytes, bytes, bytes]:
-        spans, size = self.spans(text), len(text.encode())
-        ids = [self.begin, *(i for i, _, _ in spans), self.end]
-        pairs = [(0, 0), *((a, b) for _, a, b in spans), (size, size)]
-        return np.array(ids, "<u4").tobytes(), self.decode(ids).encode(), np.array(pairs, "<u4").tobytes()
-
-    def _decoded(self, ids: np.ndarray) -> bytes:
-        """Decoding of ids whose byte pieces make up whole characters, as those of a text do."""
-        raw = b"".join(map(self.bytes_of.__getitem__, ids.tolist()))
-        return raw[1:] if raw.startswith(b" ") else raw
-
-    def _places(self, text: str, ids: np.ndarray) -> bytes:
-        if SPACE in text:
-            return self._whole(text)[2]
-        sizes = self.sizes[ids]
-        if len(sizes) > 2:
-            sizes[1] -= 1  # the dummy space is no byte of the text
-        ends = np.cumsum(sizes, dtype=np.uint32)
-        return np.stack([ends - sizes, ends], axis=1).astype("<u4").tobytes()
+    def spans(self, text: str) -> list[tuple[int, int, int]]:
+        """(id, first byte, one past the last byte of the original text) of each piece; no begin and end ids."""
+        ids, starts, ends, _ = self.coded(text)
+        return list(zip(ids.tolist(), starts.tolist(), ends.tolist(), strict=True))[1:-1]
 
     # decoding
 
@@ -358,14 +394,11 @@ def encode(docs: DataFrame, model: bytes, text: str = "text", into: str = "coded
 
         def each(part):
             out = {n: [] for n in ("ids", "starts", "ends", "decoded")}
-            for t in _each_text(part, text):
-                spans = c.spans(t)
-                size = len(t.encode())
-                ids = [c.begin, *(s[0] for s in spans), c.end]
-                out["ids"].append(ids)
-                out["starts"].append([0, *(s[1] for s in spans), size])
-                out["ends"].append([0, *(s[2] for s in spans), size])
-                out["decoded"].append(c.decode(ids))
+            for ids, starts, ends, decoded in c.coded_many(list(_each_text(part, text))):
+                out["ids"].append(ids.astype(np.int32))
+                out["starts"].append(starts.astype(np.int32))
+                out["ends"].append(ends.astype(np.int32))
+                out["decoded"].append(decoded.decode())
             return out
 
         return each
@@ -374,7 +407,10 @@ def encode(docs: DataFrame, model: bytes, text: str = "text", into: str = "coded
 
 
 def digests(docs: DataFrame, model: bytes, text: str = "text", into: str = "coded", keep: list[str] | None = None) -> DataFrame:
-    """All rows and columns with a struct of the number of ids and the SHA-256 of ids, of the decoded text and of the byte spans."""
+    """All rows and columns with a struct of the number of ids and the SHA-256 of ids, of the decoded text and of the byte spans.
+
+    Null is encoded as an empty text, which has the begin and end ids only; repeated rows come out alike.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def work():
@@ -382,10 +418,13 @@ def digests(docs: DataFrame, model: bytes, text: str = "text", into: str = "code
         sha = hashlib.sha256
 
         def each(part):
-            got = c.encode_many(list(_each_text(part, text)))
-            n = [len(raw) // 4 for raw, _, _ in got]
-            ids, texts, places = ([sha(g[i]).hexdigest() for g in got] for i in range(3))
-            return {"n_tokens": n, "ids_sha256": ids, "decoded_sha256": texts, "spans_sha256": places}
+            out = {"n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "spans_sha256": []}
+            for ids, starts, ends, decoded in c.coded_many(list(_each_text(part, text))):
+                out["n_tokens"].append(len(ids))
+                out["ids_sha256"].append(sha(ids.tobytes()).hexdigest())
+                out["decoded_sha256"].append(sha(decoded).hexdigest())
+                out["spans_sha256"].append(sha(np.stack([starts, ends], axis=1).tobytes()).hexdigest())
+            return out
 
         return each
 
