@@ -2,14 +2,16 @@
 
 Lines are sets of character shingles.  Each distinct line gets a signature of
 minima under `BANDS * ROWS` hash functions; lines that agree in all rows of a band
-are candidates.  In a bucket every line is first compared with one of its lines,
-which is enough for groups of copies; lines of a bucket that are then still in
-different components are compared with each other, so that no candidate pair is
-lost and no group of near copies is expanded into pairs.  Candidates are confirmed
-by exact Jaccard similarity, linked lines are joined by distributed union-find,
-and of each component the first line stays.
-
-At a similarity of 0.8 a pair is a candidate with probability 0.995.
+are candidates.  One bit of each minimum makes a sketch of the line.  A bucket is
+read in one sorted stream: a line is compared, by sketches, with the bucket's
+leaders, and becomes one if it is like none of them, so that a group of near copies
+is never expanded into pairs.  Candidates are confirmed by exact Jaccard similarity.
+A line that none of its leaders turned out to be similar to is then compared with
+the rest of its bucket.  Linked lines are joined by distributed union-find, and of
+each component the first line stays.
+
+At a similarity of 0.8 a pair is a candidate with probability 0.991, and sketches
+keep it apart with probability under 1e-3.
 """
 
 from __future__ import annotations
@@ -24,21 +26,25 @@ from pyspark.sql import types as T
 
 from . import kernels
 from .components import components
-from .shared import append_struct, quoted, release, stored
+from .shared import append_struct, discard, quoted, release, stored
 
-SHINGLE, BANDS, ROWS, SIMILAR = 8, 10, 4, 0.8
+SHINGLE, BANDS, ROWS, SIMILAR = 5, 12, 5, 0.8
+#: Differing bits of two sketches above which two lines are not compared (similar ones differ in 6 of 60, with a deviation of 2.3).
+APART = 13
 #: Signatures work on less text at a time, so that the arrays stay in cache.
 PART_BYTES = 1 << 18
+#: Distinct lines that a task remembers, to send each only once.
+REMEMBERED = 1 << 20
 
-_FACTORS = kernels.mixed(np.arange(1, BANDS * ROWS // 2 + 1, dtype=np.uint64)) | np.uint64(1)
+_FACTORS = (kernels.mixed(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64)) | np.uint64(1)).astype(np.uint32)
 
 
 def line_id(line: str) -> bytes:
     return hashlib.blake2b(line.encode(), digest_size=16).digest()
 
 
-def bands(lines: list[str], shingle: int = SHINGLE) -> np.ndarray:
-    """(lines, BANDS) band keys of non-empty lines."""
+def bands(lines: list[str], shingle: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
+    """(lines, BANDS) band keys of non-empty lines, and their sketches."""
     ends = np.cumsum(np.fromiter(map(len, lines), np.int64, len(lines)))
     starts = np.concatenate([[0], ends[:-1]])
     chars = np.frombuffer("".join(lines).encode("utf-32-le"), np.uint32).astype(np.uint64)
@@ -47,18 +53,22 @@ def bands(lines: list[str], shingle: int = SHINGLE) -> np.ndarray:
     first = np.cumsum(many) - many
     at = np.repeat(starts - first, many) + np.arange(int(many.sum()))
     h = kernels.mixed(kernels.rolling(chars, at, at + np.repeat(sizes, many), kernels._BASE))
-    rows = np.empty((2 * len(_FACTORS), len(lines)), np.uint64)
+    h = (h >> np.uint64(32)).astype(np.uint32)
+    rows, moved = np.empty((len(_FACTORS), len(lines)), np.uint32), np.empty_like(h)
     for i, f in enumerate(_FACTORS):
-        halves = (h * f).view(np.uint32)
-        rows[2 * i] = np.minimum.reduceat(halves[0::2], first)
-        rows[2 * i + 1] = np.minimum.reduceat(halves[1::2], first)
+        np.multiply(h, f, out=moved)
+        np.minimum.reduceat(moved, first, out=rows[i])
+    rows = rows.astype(np.uint64)
     out = np.empty((len(lines), BANDS), np.uint64)
     for b in range(BANDS):
         key = np.full(len(lines), b + 1, np.uint64)
         for r in range(ROWS):
             key = kernels.mixed(key + rows[b * ROWS + r])
         out[:, b] = key
-    return out.view(np.int64)
+    sketch = np.zeros(len(lines), np.uint64)
+    for i in range(min(64, len(rows))):
+        sketch |= (rows[i] & np.uint64(1)) << np.uint64(i)
+    return out.view(np.int64), sketch.view(np.int64)
 
 
 def jaccard(a: str, b: str, shingle: int = SHINGLE) -> float:
@@ -67,73 +77,233 @@ def jaccard(a: str, b: str, shingle: int = SHINGLE) -> float:
     return len(s & t) / len(s | t)
 
 
-OCCURS = "t long, at int, line binary, lid long, keys array<long>"
+def _split(text: str | None) -> list[tuple[int, str]]:
+    """(place, line) of each line that is not blank."""
+    return [(n, x) for n, x in enumerate((text or "").split("\n")) if x and not x.isspace()]
 
 
-def _occurrences(docs: DataFrame, text: str, key: str) -> DataFrame:
-    """(id, t, at, line, lid, keys): every line that is not blank; keys once for each distinct line of a slice, else empty.
+def _occurrences(docs: DataFrame) -> DataFrame:
+    """(id, t, at, l1, l2): every line that is not blank; the halves of a digest of 128 bits stand for the line."""
+
+    def work(batches):
+        for batch in batches:
+            for part in kernels.slices(batch, "text"):
+                row, at, ids, known = [], [], [], {}
+                for r, t in enumerate(part.column(part.schema.get_field_index("text")).to_pylist()):
+                    for n, x in _split(t):
+                        found = known.get(x)
+                        if found is None:
+                            found = known[x] = line_id(x)
+                        row.append(r)
+                        at.append(n)
+                        ids.append(found)
+                index, halves = pa.array(row, pa.int64()), np.frombuffer(b"".join(ids), np.int64).reshape(-1, 2)
+                cols = [part.column(part.schema.get_field_index(c)).take(index) for c in ("id", "t")]
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(at, pa.int32()), pa.array(halves[:, 0].copy()), pa.array(halves[:, 1].copy())], names=["id", "t", "at", "l1", "l2"])
+
+    kind = docs.schema["id"].dataType.simpleString()
+    return docs.mapInArrow(work, f"id {kind}, t long, at int, l1 long, l2 long")
 
-    `line` is a digest of 128 bits, which stands for the line; lid, its first half, is enough to find candidates by.
-    """
+
+def _band_keys(docs: DataFrame) -> DataFrame:
+    """(key, lid, sketch): the band keys of each line, once a task; lid is the first half of the line's digest."""
 
     def work(batches):
+        known: set[bytes] = set()
         for batch in batches:
-            for part in kernels.slices(batch, text, PART_BYTES):
-                texts = part.column(part.schema.get_field_index(text)).to_pylist()
-                row, at, line, seen, fresh = [], [], [], {}, []
-                for r, t in enumerate(texts):
-                    for n, x in enumerate((t or "").split("\n")):
-                        if x and not x.isspace():
-                            fresh.append(x not in seen)
-                            row.append(r)
-                            at.append(n)
-                            line.append(seen.setdefault(x, len(seen)))
-                if not row:
+            for part in kernels.slices(batch, "text", PART_BYTES):
+                fresh = {}
+                for t in part.column(part.schema.get_field_index("text")).to_pylist():
+                    for _, x in _split(t):
+                        if x not in fresh and (i := line_id(x)) not in known:
+                            fresh[x] = i
+                if not fresh:
                     continue
-                ids = [line_id(x) for x in seen]
-                names, short = pa.array(ids, pa.binary()), pa.array(np.frombuffer(b"".join(i[:8] for i in ids), np.int64))
-                keys = pa.array(bands(list(seen)).ravel())
-                fresh = np.array(fresh)
-                counts = np.where(fresh, BANDS, 0)
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), keys)
-                index = pa.array(row)
-                cols = [part.column(part.schema.get_field_index(c)).take(index) for c in ("id", key)]
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(at, pa.int32()), names.take(pa.array(line)), short.take(pa.array(line)), lists], names=["id", "t", "at", "line", "lid", "keys"])
+                if len(known) > REMEMBERED:
+                    known.clear()
+                known.update(fresh.values())
+                keys, sketch = bands(list(fresh))
+                lid = np.frombuffer(b"".join(i[:8] for i in fresh.values()), np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(np.repeat(lid, BANDS)), pa.array(np.repeat(sketch, BANDS))], names=["key", "lid", "sketch"])
+
+    return docs.select("text").mapInArrow(work, "key long, lid long, sketch long")
 
-    kind = docs.schema["id"].dataType.simpleString()
-    return docs.mapInArrow(work, f"id {kind}, {OCCURS}")
 
+def _near_leaders(group: np.ndarray, lid: np.ndarray, sketch: np.ndarray, free: np.ndarray, apart: int):
+    """Rounds over the buckets of a batch: the first free row of each leads and all rows of its bucket are compared with it.
+
+    Gives (near rows, their leaders) for each round and the leaders; rows near a leader are no longer free.
+    """
+    live, near, leaders = np.arange(len(group)), [], []
+    while len(open_ := live[free[live]]):
+        starts = np.ones(len(open_), bool)
+        starts[1:] = group[open_[1:]] != group[open_[:-1]]
+        lead = open_[starts]
+        leaders.append(lead)
+        of = np.full(int(group[-1]) + 1, -1)
+        of[group[lead]] = lead
+        live = live[of[group[live]] >= 0]
+        head = of[group[live]]
+        like = (np.bitwise_count(sketch[live] ^ sketch[head]) <= apart) & (live != head)
+        free[lead] = False
+        free[live[like]] = False
+        near.append((live[like], head[like]))
+    return near, leaders
+
+
+def candidates(keys: DataFrame, apart: int = APART) -> DataFrame:
+    """(key, lid, sketch, leader, mark): in each bucket the lines with each of the leaders whose sketch, `mark`, is near their own.
+
+    Leaders are the lines that are near no earlier leader of the bucket.  Work is in
+    the lines times the leaders of a bucket; memory is one batch and the leaders of
+    the bucket at its end.
+    """
 
-def _texts(docs: DataFrame, wanted: DataFrame, text: str, key: str) -> DataFrame:
-    """(lid, line, x): the text of each wanted line, which (t, at) finds."""
+    def work(batches):
+        before = tail = None
+        heads = marks = np.zeros(0, np.int64)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key, lid, sketch = (batch.column(i).to_numpy() for i in range(3))
+            fresh = np.ones(len(key), bool)
+            fresh[1:] = (key[1:] != key[:-1]) | (lid[1:] != lid[:-1])
+            fresh[0] = before != (key[0], lid[0])
+            before = key[-1], lid[-1]
+            key, lid, sketch = key[fresh], lid[fresh], sketch[fresh]
+            if not len(key):
+                continue
+            out, free = [], np.ones(len(key), bool)
+            if key[0] != tail:
+                heads = marks = heads[:0]
+            same = np.flatnonzero(key == tail) if len(heads) else np.zeros(0, np.int64)
+            for h, m in zip(heads, marks, strict=True):
+                near = same[np.bitwise_count(sketch[same] ^ m) <= apart]
+                free[near] = False
+                out.append((key[near], lid[near], sketch[near], np.full(len(near), h), np.full(len(near), m)))
+            changes = np.ones(len(key), bool)
+            changes[1:] = key[1:] != key[:-1]
+            near, leaders = _near_leaders(np.cumsum(changes) - 1, lid, sketch, free, apart)
+            out += [(key[r], lid[r], sketch[r], lid[h], sketch[h]) for r, h in near]
+            if tail != key[-1]:
+                tail, heads, marks = key[-1], heads[:0], marks[:0]
+            ends = np.concatenate([x[key[x] == tail] for x in leaders]) if leaders else np.zeros(0, np.int64)
+            heads, marks = np.concatenate([heads, lid[ends]]), np.concatenate([marks, sketch[ends]])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[i] for o in out])) if out else pa.array([], pa.int64()) for i in range(5)], names=["key", "lid", "sketch", "leader", "mark"])
+
+    return keys.repartition("key").sortWithinPartitions("key", "lid").mapInArrow(work, "key long, lid long, sketch long, leader long, mark long")
+
+
+def _texts(docs: DataFrame, spots: DataFrame) -> DataFrame:
+    """(lid, l1, l2, x): the text of each line of `spots`, which (id, t, at) finds."""
 
     def work(batches):
         for batch in batches:
-            lid, line, x = [], [], []
-            for t, spots in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            l1, l2, x = [], [], []
+            for t, places in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 parts = (t or "").split("\n")
-                lid += [s["lid"] for s in spots]
-                line += [s["line"] for s in spots]
-                x += [parts[s["at"]] for s in spots]
-            yield pa.RecordBatch.from_arrays([pa.array(lid, pa.int64()), pa.array(line, pa.binary()), pa.array(x, pa.string())], names=["lid", "line", "x"])
+                l1 += [p["l1"] for p in places]
+                l2 += [p["l2"] for p in places]
+                x += [parts[p["at"]] for p in places]
+            yield pa.RecordBatch.from_arrays([pa.array(l1, pa.int64()), pa.array(l2, pa.int64()), pa.array(x, pa.string())], names=["l1", "l2", "x"])
 
-    spots = wanted.groupBy("t").agg(F.collect_list(F.struct("at", "lid", "line")).alias("spots"))  # lines of one text
-    once = docs.select(F.col(key).alias("t"), F.col(text).alias("text")).join(spots, "t").dropDuplicates(["t"])
-    return once.select("text", "spots").mapInArrow(work, "lid long, line binary, x string")
+    of = spots.groupBy(F.col("id").alias("sid"), F.col("t").alias("st")).agg(F.collect_list(F.struct("at", "l1", "l2")).alias("spots"))  # lines of one document
+    found = docs.join(of, F.col("id").eqNullSafe(F.col("sid")) & (F.col("t") == F.col("st"))).select("text", "spots")
+    return found.mapInArrow(work, "l1 long, l2 long, x string").dropDuplicates(["l1", "l2"])  # repeated rows give a line twice
 
 
-def _verified(pairs: DataFrame, texts: DataFrame, similar: float, shingle: int) -> DataFrame:
-    """The pairs (a, b) of lines, from pairs of lids, whose similarity is at least `similar`."""
+def _compared(pairs: DataFrame, texts: DataFrame, shingle: int) -> DataFrame:
+    """(a, b, na, nb, like) for pairs (a, b) of lids: the lines as (l1, l2) and their similarity."""
 
     def work(batches):
+        sets: dict[str, set[str]] = {}
+
+        def of(x: str) -> set[str]:
+            if x not in sets:
+                if len(sets) > 512:
+                    sets.clear()
+                sets[x] = {x[i : i + shingle] for i in range(max(1, len(x) - shingle + 1))}
+            return sets[x]
+
         for batch in batches:
-            good = [jaccard(a, b, shingle) >= similar for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
-            yield batch.select(["a", "b"]).filter(pa.array(good))
+            like = []
+            for x, y in zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True):
+                s, t = of(x), of(y)
+                both = len(s & t)
+                like.append(both / (len(s) + len(t) - both))
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), pa.array(like, pa.float64())], names=["a", "b", "na", "nb", "like"])
+
+    node = F.struct("l1", "l2")
+    left = texts.select(F.col("l1").alias("a"), node.alias("na"), F.col("x").alias("xa"))
+    right = texts.select(F.col("l1").alias("b"), node.alias("nb"), F.col("x").alias("xb"))
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "xa", "xb")
+    pair = "struct<l1:bigint,l2:bigint>"
+    return both.mapInArrow(work, f"a long, b long, na {pair}, nb {pair}, like double")
+
+
+def links(docs: DataFrame, firsts: DataFrame, similar: float = SIMILAR) -> DataFrame:
+    """(node, component) of the lines, structs (l1, l2), that are similar to another: all similar lines of a bucket are in one component.
+
+    Lines of a bucket are first compared with its leaders.  A line that is near a
+    leader by sketch and similar to none is then compared with what is similar to
+    that leader, if it is at least 1 - 2 (1 - similar) alike to it (distances of
+    sets obey the triangle inequality, so no other line can be similar to both), and
+    last with the other such lines of its bucket.  Lines of one component are not
+    compared again.
+    """
+    spark = docs.sparkSession
+    met = stored(candidates(_band_keys(docs)), "candidates")
+    release(spark)
 
-    left = texts.select(F.col("lid").alias("a"), F.col("line").alias("la"), F.col("x").alias("xa"))
-    right = texts.select(F.col("lid").alias("b"), F.col("line").alias("lb"), F.col("x").alias("xb"))
-    both = pairs.join(left, "a").join(right, "b")
-    return both.select(F.col("la").alias("a"), F.col("lb").alias("b"), "xa", "xb").mapInArrow(work, "a binary, b binary")
+    # every line that is compared later is in a first pair: the texts are fetched once
+    pairs = stored(met.select(F.col("lid").alias("a"), F.col("leader").alias("b")).distinct(), "first-pairs")
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("l1")).distinct()
+    spots = firsts.join(wanted, "l1", "left_semi").select("l1", "l2", F.col("first.i").alias("id"), F.col("first.n").alias("at"), F.col("first.t").alias("t"))
+    texts = stored(_texts(docs, spots), "line-texts")
+    release(spark)
+
+    def compared(pairs: DataFrame, label: str) -> DataFrame:
+        out = stored(_compared(pairs, texts, SHINGLE), label)
+        release(spark)
+        return out
+
+    def linked(found: DataFrame, before: DataFrame | None = None) -> DataFrame:
+        """Components of the links found, and of those that were there before."""
+        every = found.where(F.col("like") >= similar).select(F.col("na").alias("a"), F.col("nb").alias("b"))
+        if before is not None:
+            every = every.union(before.select(F.col("node").alias("a"), F.col("component").alias("b")))
+        out = stored(components(every), "line-components")
+        release(spark)
+        return out
+
+    def classes(rows: DataFrame, joined: DataFrame, lid: str, c: str) -> DataFrame:
+        """With the class of a line: that of its component, or its own."""
+        of = joined.select(F.col("node.l1").alias(lid), F.xxhash64("component").alias(f"{c}_"))
+        return rows.join(of, lid, "left").withColumn(c, F.coalesce(f"{c}_", lid)).drop(f"{c}_")
+
+    def apart(pairs: DataFrame) -> DataFrame:
+        return pairs.where(F.col("lid") != F.col("other")).select(F.greatest("lid", "other").alias("a"), F.least("lid", "other").alias("b"))
+
+    first = compared(pairs, "line-pairs")
+    joined = linked(first)
+    told = met.join(first.select(F.col("a").alias("lid"), F.col("b").alias("leader"), "like"), ["lid", "leader"])
+    told = stored(told.select("key", "lid", "sketch", "leader", "like"), "lines-told")
+    release(spark)
+    discard(met)
+    best = told.groupBy("key", "lid").agg(F.max("like").alias("best")).where(F.col("best") < similar).select("key", "lid")
+    alone = stored(classes(told.join(best, ["key", "lid"]), joined, "lid", "c"), "lines-alone")
+    near = classes(told.where(F.col("like") >= similar).select("key", F.col("lid").alias("other"), F.col("sketch").alias("osketch"), "leader"), joined, "other", "oc")
+    close = (F.col("c") != F.col("oc")) & (F.bit_count(F.col("sketch").bitwiseXOR(F.col("osketch"))) <= APART)
+    gray = stored(apart(alone.where(F.col("like") >= 2 * similar - 1 - 1e-9).join(near, ["key", "leader"]).where(close)).distinct(), "line-gray")
+    if not gray.isEmpty():
+        joined = linked(compared(gray, "line-more"), joined)
+    rows = stored(classes(alone.select("key", "lid", "sketch").distinct(), joined, "lid", "c"), "lines-still-alone")
+    peer = rows.select("key", F.col("lid").alias("other"), F.col("sketch").alias("osketch"), F.col("c").alias("oc"))
+    peers = stored(apart(rows.join(peer, "key").where((F.col("lid") < F.col("other")) & close)).distinct(), "line-peers")
+    release(spark)
+    if not peers.isEmpty():
+        joined = linked(compared(peers, "line-last"), joined)
+    return joined
 
 
 KEPT = T.StructType([T.StructField("n_lines", T.LongType(), False), T.StructField("n_removed", T.LongType(), False), T.StructField("kept", T.StringType(), False)])
@@ -149,38 +319,20 @@ def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", simi
     """
     spark, kind = docs.sparkSession, docs.schema[ident].dataType.simpleString()
     base = docs.select(quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("t"))
-    seen = stored(_occurrences(base, "text", "t"), "lines")
-    rank = F.struct(F.col("id").isNull().alias("z"), F.col("id").alias("i"), F.col("at").alias("n"))
-    keys = seen.where(F.size("keys") > 0).select("lid", F.explode("keys").alias("key"))
-    # every line of a bucket with the bucket's least one; a bucket of one line gives nothing
-    heads = keys.groupBy("key").agg(F.min("lid").alias("head"))
-    crowd = stored(keys.join(heads, "key").where("lid != head").distinct(), "candidates")
-    release(spark)
-    pairs = crowd.select(F.col("lid").alias("a"), F.col("head").alias("b")).distinct()
-    wanted = crowd.select(F.explode(F.array("lid", "head")).alias("lid")).distinct()
-    spots = seen.select("lid", "line", "t", "at").join(wanted, "lid", "left_semi").groupBy("lid", "line").agg(F.min(F.struct("t", "at")).alias("s"))
-    texts = stored(_texts(base, spots.select("lid", "line", "s.t", "s.at"), "text", "t"), "line-texts")
-    release(spark)
-    links = stored(_verified(pairs, texts, similar, SHINGLE), "star-links")
-    joined = stored(components(links), "line-components")
-    of = texts.select("lid", "line").join(joined, F.col("line") == F.col("node"), "left").select("lid", F.coalesce("component", "line").alias("c"))
-    own = crowd.select("key", F.explode(F.array("lid", "head")).alias("lid")).distinct().join(of, "lid")
-    mixed = own.groupBy("key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x != y").select("key")
-    left = stored(own.join(mixed, "key"), "mixed-buckets")
-    a, b = left.alias("a"), left.alias("b")
-    rest = a.join(b, (F.col("a.key") == F.col("b.key")) & (F.col("a.c") < F.col("b.c"))).select(F.greatest("a.lid", "b.lid").alias("a"), F.least("a.lid", "b.lid").alias("b")).distinct()
-    more = stored(_verified(rest.join(pairs, ["a", "b"], "left_anti"), texts, similar, SHINGLE), "cross-links")
-    if not more.isEmpty():
-        joined = stored(components(links.union(more)), "line-components")
+    seen = stored(_occurrences(base), "lines")
+    # of each component the first occurrence stays; t tells rows with one id apart
+    rank = F.struct(F.col("id").isNull().alias("z"), F.col("id").alias("i"), F.col("at").alias("n"), "t")
+    firsts = stored(seen.groupBy("l1", "l2").agg(F.min(rank).alias("first"), F.count("*").alias("n")), "line-firsts")
     release(spark)
-    # of each component the first occurrence stays; lines alone need no join
-    line_first = seen.groupBy("line").agg(F.min(rank).alias("first"), F.count("*").alias("n"))
-    classed = line_first.join(joined, F.col("line") == F.col("node"), "left").select("line", "first", "n", F.coalesce("component", "line").alias("c"))
-    classed = stored(classed, "line-classes")
-    heads = classed.groupBy("c").agg(F.min("first").alias("head"), F.sum("n").alias("m")).where("m > 1").select("c", "head")
-    doomed = stored(classed.join(heads, "c").select("line", "head"), "line-heads")
+    root = links(base, firsts, similar).select("node.*", F.col("component").alias("c"))
+    every = firsts.join(root, ["l1", "l2"], "left")
+    # a line alone in its class has its own first occurrence, and matters only if there are others of it
+    few = stored(every.where("c is not null").select("l1", "l2", "first", "n", "c"), "line-classes")
+    heads = few.groupBy("c").agg(F.min("first").alias("head"))
+    doomed = few.join(heads, "c").select("l1", "l2", "head").union(every.where("c is null and n > 1").select("l1", "l2", F.col("first").alias("head")))
+    doomed = stored(doomed, "line-heads")
     release(spark)
-    gone = seen.select("id", "t", "at", "line").join(doomed, "line").where(rank != F.col("head")).groupBy("id", "t").agg(F.collect_set("at").alias("gone"))
+    gone = seen.select("id", "t", "at", "l1", "l2").join(doomed, ["l1", "l2"]).where(rank != F.col("head")).groupBy("id", "t").agg(F.collect_set("at").alias("gone"))
     full = base.join(gone.withColumnRenamed("id", "gid").withColumnRenamed("t", "gt"), F.col("id").eqNullSafe(F.col("gid")) & (F.col("t") == F.col("gt")), "left")
 
     def work():
