@@ -185,20 +185,21 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", ite
     size = bench.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0))).first()[0]
     blocks = max(1, -(-size // block_bytes))
     spot = F.pmod(F.xxhash64("i", "t"), F.lit(blocks))
-    scans = []
-    for n in range(blocks):
+
+    def block_of(n: int) -> tuple[Block, dict]:
         block = Block([tuple(r) for r in bench.where(spot == n).collect()], window, shingle)  # about block_bytes
-        prefixes = block.prefixes(_counted(docs, text, block.distinct())) if block.size else {}
-        scans.append((block, prefixes))
-        if blocks == 1:
-            return _scan(docs, text, block, prefixes, into, keep, final=True)
+        return block, block.prefixes(_counted(docs, text, block.distinct())) if block.size else {}
+
+    if blocks == 1:
+        return _scan(docs, text, *block_of(0), into, keep, final=True)
     # the windows of all blocks meet per distinct text; rows with one text are judged alike
     mark = free_name(docs, "text_digest")
     digest = F.sha2(F.coalesce(quoted(text), F.lit("")), 256)
     keyed = docs.select(digest.alias(mark), quoted(text).alias(text))
     parts = None
-    for block, prefixes in scans:
-        one = _scan(keyed, text, block, prefixes, into, [mark]).where(F.size(f"{into}.items") > 0).dropDuplicates([mark])
+    for n in range(blocks):
+        # what a block finds is stored before the next one is gathered
+        one = stored(_scan(keyed, text, *block_of(n), into, [mark]).where(F.size(f"{into}.items") > 0).dropDuplicates([mark]), "overlap-block")
         parts = one if parts is None else parts.union(one)
     names = {c: free_name(docs, f"met_{c}") for c in ("spans", "items")}
     lists = [F.flatten(F.collect_list(f"{into}.{c}")).alias(n) for c, n in names.items()]  # one from each block at most

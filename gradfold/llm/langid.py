@@ -28,7 +28,6 @@ from .shared import append_struct, quoted
 SAMPLE = 1500
 #: Added to each piece's count, and the probability of a character that no piece covers.
 SMOOTH, UNKNOWN = 0.05, 1e-7
-LONGEST = 16
 #: Distinct words that a Python worker remembers: the first it meets, among them those that are frequent.
 REMEMBERED = 300_000
 
@@ -63,11 +62,13 @@ class Scorer:
     def __init__(self, model: Model):
         self.model, self.n = model, len(model.languages)
         self.last = len(model.probs) - 1
+        #: Characters of the longest piece: no segmentation has a longer step.
+        self.longest = max(map(len, model.rows), default=1)
         chars, ends = _flat(list(model.rows))
         starts = np.concatenate([[0], ends[:-1]])
         row_of = np.fromiter(model.rows.values(), np.int64, len(model.rows))
         hashes, rows = [], []
-        for k in range(1, LONGEST + 1):
+        for k in range(1, self.longest + 1):
             has = starts + k <= ends
             hashes.append(_prefixes(chars, starts[has], k))
             rows.append(np.where(starts[has] + k == ends[has], row_of[has], -1))
@@ -88,7 +89,7 @@ class Scorer:
         np.cumsum(chars * up[:-1], out=total[1:])
         alive = np.arange(len(chars))
         out = []
-        for k in range(1, LONGEST + 1):
+        for k in range(1, self.longest + 1):
             alive = alive[alive + k <= limit[alive]]
             at, which = self.probe.find(_finish((total[alive + k] - total[alive]) * down[alive], k))
             rows = self.row_of[which]
@@ -115,8 +116,8 @@ class Scorer:
         begin, length, row, owner = begin[order], length[order], row[order], owner[order]
         finish = begin + length
         top = int(sizes.max(initial=0))
-        # a ring of the last LONGEST + 1 places, each word scaled by what `scale` remembers
-        ring = np.zeros((LONGEST + 1, len(words), self.n))
+        # a ring of the last self.longest + 1 places, each word scaled by what `scale` remembers
+        ring = np.zeros((self.longest + 1, len(words), self.n))
         ring[0] = 1
         scale = np.zeros((len(words), self.n))
         out = np.zeros((len(words), self.n))
@@ -124,9 +125,9 @@ class Scorer:
         for at in range(1, top + 1):
             here = slice(cuts[at - 1], cuts[at])
             who = owner[here]
-            ring[at % (LONGEST + 1)] = 0
-            add = ring[begin[here] % (LONGEST + 1), who] * self.model.probs[row[here]]
-            now = ring[at % (LONGEST + 1)]
+            ring[at % (self.longest + 1)] = 0
+            add = ring[begin[here] % (self.longest + 1), who] * self.model.probs[row[here]]
+            now = ring[at % (self.longest + 1)]
             for j in range(self.n):
                 now[:, j] = np.bincount(who, add[:, j], len(words))
             done = sizes == at

@@ -2,32 +2,35 @@
 
 Two views of a document are classified separately: its text (shares of byte
 values, of transitions between character classes, and measures of repetition) and
-its metadata (language, source, length).  In each round a view hands the
-unlabelled documents it is surest about, with its own label, to the other view's
+its metadata (language, source, length).  In each round both views score all
+documents in one pass without a shuffle; of those that a view is sure about, anew
+by a hash in every round, it hands some with its own label to the other view's
 training set.  At the end each view is calibrated on labelled documents that
 neither was trained on, and a logistic combination of both gives the score.
 
-Models are fitted by the driver on a bounded sample; scoring runs over all
-documents in one pass without a shuffle.
+Models are fitted by the driver, on a bounded sample of labelled documents and a
+bounded number of pseudo-labels a round, which are drawn from all documents.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels
 from .shared import append_struct, free_name, quoted
 
-#: Labelled documents that are used, and unlabelled ones that views may label for each other (about; by a hash of the id).
-LABELLED, POOL = 6000, 4000
-ROUNDS, SURE, HANDED = 4, 0.97, 0.1
+#: Labelled documents that are used (about; by a hash of the id).
+LABELLED = 6000
+#: Rounds, the probability from which a view is sure, and documents that each view hands over in a round.
+ROUNDS, SURE, HANDED = 3, 0.97, 400
 CUT = 0.5
 
 _CLASS = np.zeros(256, np.int64)
@@ -133,34 +136,31 @@ class CoTrained:
         return tuple(1 / (1 + np.exp(-np.clip(v, -30, 30))) for v in (a, b, c))
 
 
-def co_train(t: np.ndarray, m: np.ndarray, y: np.ndarray, ut: np.ndarray, um: np.ndarray, columns: list[str], rounds: int = ROUNDS, sure: float = SURE, handed: float = HANDED) -> CoTrained:
-    """Fit on labelled (t, m, y) and unlabelled (ut, um) documents.  With one class only, or fewer than 20 documents, every score is the labels' mean."""
+def chances(model: Linear, x: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(model.logit(x), -30, 30)))
+
+
+def co_train(t: np.ndarray, m: np.ndarray, y: np.ndarray, sure_of: Callable[[int, list[Linear]], list[tuple[np.ndarray, np.ndarray]]], columns: list[str], rounds: int = ROUNDS) -> CoTrained:
+    """Fit on labelled (t, m, y) documents and on what the views label for each other.
+
+    `sure_of(round, models)` gives for each view the features, in the other view, and
+    the labels of documents that it hands over.  With one class only, or fewer than
+    20 documents, every score is the labels' mean.
+    """
     base = float(y.mean()) if len(y) else 1.0
     if len(y) < 20 or min(y.sum(), len(y) - y.sum()) < 5:
         return CoTrained(None, None, None, base, columns, [])
     third = np.arange(len(y)) % 3 == 0  # kept for calibration
-    views, pool = [t, m], [ut, um]
+    views = [t, m]
     train = [(v[~third], y[~third]) for v in views]
-    free = np.ones(len(ut), bool)
     log = []
     for r in range(rounds):
-        models = [fit(*d) for d in train]
-        given = [0, 0]
-        if not free.any():
-            break
-        for i, model in enumerate(models):
-            p = 1 / (1 + np.exp(-np.clip(model.logit(pool[i]), -30, 30)))
-            certain = np.maximum(p, 1 - p)
-            pick = np.flatnonzero(free & (certain >= sure))
-            pick = pick[np.argsort(-certain[pick], kind="stable")][: max(1, int(handed * len(ut)))]
-            if len(pick):
-                other = 1 - i
-                x, labels = train[other]
-                train[other] = (np.concatenate([x, pool[other][pick]]), np.concatenate([labels, (p[pick] > 0.5).astype(float)]))
-                free[pick] = False
-                given[i] = len(pick)
-        log.append({"round": r, "by_text": given[0], "by_meta": given[1]})
-        if not any(given):
+        given = sure_of(r, [fit(*d) for d in train])
+        for i, (x, labels) in enumerate(given):
+            if len(labels):
+                train[1 - i] = (np.concatenate([train[1 - i][0], x]), np.concatenate([train[1 - i][1], labels]))
+        log.append({"round": r, "by_text": len(given[0][1]), "by_meta": len(given[1][1])})
+        if not any(len(labels) for _, labels in given):
             break
     models = [fit(*d) for d in train]
     held = np.column_stack([model.logit(v[third]) for model, v in zip(models, views, strict=True)])
@@ -171,19 +171,60 @@ def _features(part: pa.RecordBatch, text: str, columns: list[str]) -> tuple[np.n
     return text_features(part.column(part.schema.get_field_index(text))), meta_features(part, columns, text)
 
 
-def train(docs: DataFrame, labels: DataFrame, ident: str = "doc_id", text: str = "text", label: str = "quality", columns: tuple[str, ...] = ("lang", "source", "n_chars"), labelled: int = LABELLED, pool: int = POOL) -> CoTrained:
-    """Fit on about `labelled` labelled and `pool` further documents of `docs`, chosen by a hash of their ids.
+def _spot(ident: str, of: str) -> Column:
+    """A number in [0, 1) by a hash of the id."""
+    return F.xxhash64(quoted(ident).cast("string"), F.lit(of)).bitwiseAND(F.lit((1 << 40) - 1).cast("long")) / float(1 << 40)
+
+
+HANDED_OVER = "view int, spot double, i string, y double, x array<double>"
+
+
+def handed_over(docs: DataFrame, models: list[Linear], taken: set[str], number: int, ident: str, text: str, columns: list[str], sure: float = SURE, handed: int = HANDED) -> list[tuple[list[str], np.ndarray, np.ndarray]]:
+    """For each view the ids, the other view's features and the labels of `handed` documents, of all that it is sure about those with the least hashes.
+
+    One pass over all documents; a task remembers and gives `handed` rows for each view at most.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast((models, taken))
+    some = docs.where(quoted(ident).isNotNull()).select(quoted(ident).cast("string").alias("__i"), _spot(ident, f"round {number}").alias("__s"), quoted(text).alias("__t"), *(quoted(c).alias(f"__m{n}") for n, c in enumerate(columns)))
+    names = [f"__m{n}" for n in range(len(columns))]
+
+    def run(batches):
+        views, gone = shared.value
+        best: list[list[tuple]] = [[], []]  # (spot, id, label, features in the other view)
+        for batch in batches:
+            for part in kernels.slices(batch, "__t"):
+                feats = _features(part, "__t", names)
+                ids, spots = part.column(0).to_pylist(), np.asarray(part.column(1))
+                for i, model in enumerate(views):
+                    p = chances(model, feats[i])
+                    sure_ones = np.flatnonzero(np.maximum(p, 1 - p) >= sure)
+                    if len(best[i]) >= handed:
+                        sure_ones = sure_ones[spots[sure_ones] <= best[i][-1][0]]
+                    new = [(float(spots[n]), ids[n], float(p[n] > 0.5), feats[1 - i][n]) for n in sure_ones.tolist() if ids[n] not in gone]
+                    best[i] = sorted([*best[i], *new], key=lambda v: v[:2])[:handed]
+        rows = [(i, *v) for i in (0, 1) for v in best[i]]
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.float64()), pa.array([r[2] for r in rows], pa.string()), pa.array([r[3] for r in rows], pa.float64()), pa.array([r[4].tolist() for r in rows], pa.list_(pa.float64()))], names=["view", "spot", "i", "y", "x"])
+
+    found = some.mapInArrow(run, HANDED_OVER).persist()
+    out = []
+    for i in (0, 1):
+        rows = found.where(F.col("view") == i).orderBy("spot", "i").limit(handed).collect()
+        out.append(([r.i for r in rows], np.array([r.x for r in rows], float), np.array([r.y for r in rows], float)))
+    found.unpersist()
+    return out
+
+
+def train(docs: DataFrame, labels: DataFrame, ident: str = "doc_id", text: str = "text", label: str = "quality", columns: tuple[str, ...] = ("lang", "source", "n_chars"), labelled: int = LABELLED, rounds: int = ROUNDS) -> CoTrained:
+    """Fit on about `labelled` labelled documents of `docs`, chosen by a hash of their ids, and on pseudo-labels from all others.
 
     Rows without id or label are no examples; several labels of one id count by their mean.
     """
     columns = [c for c in columns if c in docs.columns]
-    spot = F.xxhash64(quoted(ident).cast("string"), F.lit("quality sample")).bitwiseAND(F.lit((1 << 40) - 1).cast("long")) / float(1 << 40)
     known = labels.where(quoted(ident).isNotNull() & quoted(label).isNotNull())
-    n_labels, n_docs = known.count(), docs.count()
-    mine = known.where(spot < min(1.0, labelled / max(1, n_labels))).groupBy(quoted(ident).alias("__i")).agg(F.avg(quoted(label).cast("double")).alias("__y"))
-    more = F.lit(pool / max(1, n_docs))
+    n_labels = known.count()
+    mine = known.where(_spot(ident, "quality sample") < min(1.0, labelled / max(1, n_labels))).groupBy(quoted(ident).alias("__i")).agg(F.avg(quoted(label).cast("double")).alias("__y"))
     # about `labelled` rows are broadcast, whatever the size of the tables
-    chosen = docs.select(quoted(ident), quoted(text), *map(quoted, columns)).join(F.broadcast(mine), quoted(ident) == F.col("__i"), "left").where(F.col("__y").isNotNull() | (spot > 1 - more))
+    chosen = docs.select(quoted(ident), quoted(text), *map(quoted, columns)).join(F.broadcast(mine), quoted(ident) == F.col("__i"))
     fields = T.StructType([T.StructField("t", T.ArrayType(T.DoubleType())), T.StructField("m", T.ArrayType(T.DoubleType()))])
 
     def work():
@@ -195,12 +236,15 @@ def train(docs: DataFrame, labels: DataFrame, ident: str = "doc_id", text: str =
 
     rows = append_struct(chosen, "__f", fields, text, work, keep=[ident, "__y"]).toPandas()
     rows = rows.sort_values(ident, kind="stable").reset_index(drop=True)
-    if not len(rows):
-        return co_train(np.zeros((0, 1)), np.zeros((0, 1)), np.zeros(0), np.zeros((0, 1)), np.zeros((0, 1)), columns)
-    t, m = (np.array([f[k] for f in rows["__f"]], float) for k in ("t", "m"))
-    have = rows["__y"].notna().to_numpy()
-    y = (rows["__y"].to_numpy(float)[have] >= 0.5).astype(float)
-    return co_train(t[have], m[have], y, t[~have], m[~have], columns)
+    t, m = (np.array([f[k] for f in rows["__f"]], float) if len(rows) else np.zeros((0, 1)) for k in ("t", "m"))
+    taken = {str(i) for i in rows[ident]}
+
+    def sure_of(number, models):
+        got = handed_over(docs, models, taken, number, ident, text, columns)
+        taken.update(i for ids, _, _ in got for i in ids)
+        return [(x, y) for _, x, y in got]
+
+    return co_train(t, m, (rows["__y"].to_numpy(float) >= 0.5).astype(float), sure_of, columns, rounds)
 
 
 SCORED = T.StructType([T.StructField(n, T.DoubleType(), False) for n in ("text_score", "meta_score", "score")] + [T.StructField("accepted", T.BooleanType(), False)])

@@ -14,8 +14,9 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .shared import free_name, partitions, quoted, stored
 
@@ -52,42 +53,74 @@ def hilbert_index(cells: np.ndarray, bits: int) -> np.ndarray:
     return out
 
 
-def _number(df: DataFrame, name: str) -> Column:
-    """A value as a number in the same order: strings by their first six bytes."""
-    if dict(df.dtypes)[name] in ("string", "binary"):
-        raw = F.rpad(F.hex(F.substring(F.encode(quoted(name).cast("string"), "utf-8"), 1, 6)), 12, "0")
-        return F.conv(raw, 16, 10).cast("double")
-    return quoted(name).cast("double")
+def _depths(df: DataFrame, name: str, bits: int) -> DataFrame:
+    """(value, cell) for each distinct value of a column that is no number: by the share of rows before it in the order of whole values.
 
+    Values are counted before they are exchanged; sorted ranges of them and the rows
+    in each range (one number each) give the rows before a value.
+    """
+    spark = df.sparkSession
+    counts = df.where(F.col(name).isNotNull()).groupBy(F.col(name).alias("value")).agg(F.count("*").alias("n"))
+    runs = counts.repartitionByRange(partitions(spark), "value").withColumn("run", F.spark_partition_id())
+    runs = stored(runs, "value-runs")
+    begin, total = _begins(runs.groupBy("run").agg(F.sum("n")).collect())  # one row for each range
+    inside = F.coalesce(F.sum("n").over(Window.partitionBy("run").orderBy("value").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    middle = _begin_of(begin, F.col("run")) + inside + F.floor(F.col("n") / 2)
+    # cell 0 is for nulls
+    return stored(runs.select("value", F.least(F.lit(1) + F.floor(middle * ((1 << bits) - 1) / F.lit(max(total, 1))), F.lit((1 << bits) - 1)).alias("cell")), "value-cells")
+
+
+def _begins(sizes: list) -> tuple[dict[int, int], int]:
+    begin, total = {}, 0
+    for p, n in sorted(sizes):
+        begin[p], total = total, total + n
+    return begin, total
+
+
+def _begin_of(begin: dict[int, int], part: Column) -> Column:
+    return F.element_at(F.create_map(*(F.lit(x) for p, b in begin.items() for x in (p, b))), part).cast("long") if begin else F.lit(0).cast("long")
 
-def curve_order(df: DataFrame, dims: list[str], bits: int = BITS) -> Column:
-    """The Hilbert place of each row over `dims`; nulls are the first bucket of their dimension."""
-    probs = [i / (1 << bits) for i in range(1, 1 << bits)]
-    cut = df.agg(*(F.percentile_approx(_number(df, d), probs, 10_000).alias(f"c{i}") for i, d in enumerate(dims))).first()
-    cuts = [np.unique(np.array(c, float)) if c else np.zeros(0) for c in cut]  # below 2**bits numbers each
+
+def with_curve(df: DataFrame, dims: list[str], into: str, bits: int = BITS) -> DataFrame:
+    """All rows and columns with the Hilbert place of each row over `dims`; nulls are the first cell of their dimension.
+
+    Numbers and times are cut at their quantiles, other values by their places among
+    whole values.
+    """
+    simple = (T.NumericType, T.BooleanType, T.DateType, T.TimestampType, T.TimestampNTZType)
+    numeric = [d for d in dims if isinstance(df.schema[d].dataType, simple)]
+    number = lambda d: (quoted(d).cast("timestamp") if isinstance(df.schema[d].dataType, (T.DateType, T.TimestampNTZType)) else quoted(d)).cast("double")
+    probs = [i / ((1 << bits) - 1) for i in range(1, (1 << bits) - 1)]
+    cut = df.agg(*(F.percentile_approx(number(d), probs, 10_000).alias(f"c{i}") for i, d in enumerate(numeric))).first() if numeric else []
+    cuts = {d: np.unique(np.array(c, float)) if c else np.zeros(0) for d, c in zip(numeric, cut, strict=True)}  # below 2**bits numbers each
+    out, cells = df, []
+    for n, d in enumerate(dims):
+        if d in cuts:
+            cells.append(number(d))
+            continue
+        v, c = free_name(out, f"value{n}"), free_name(out, f"cell{n}")
+        of = _depths(df.select(quoted(d).alias("d")), "d", bits).select(F.col("value").alias(v), F.col("cell").cast("double").alias(c))
+        out = out.join(of, quoted(d) == F.col(v), "left").drop(v)
+        cells.append(F.col(c))
+    sorted_cuts = [cuts.get(d) for d in dims]
 
     @F.pandas_udf("long")
     def place(*cols: pd.Series) -> pd.Series:
-        cells = np.stack([np.where(np.isnan(v), 0, np.searchsorted(c, v, "right")) for c, v in zip(cuts, (s.to_numpy(float) for s in cols), strict=True)], axis=1)
-        return pd.Series(hilbert_index(cells, bits))
+        known = [(s.to_numpy(float), c) for s, c in zip(cols, sorted_cuts, strict=True)]
+        points = [np.where(np.isnan(v), 0, v if c is None else 1 + np.searchsorted(c, v, "right")) for v, c in known]
+        return pd.Series(hilbert_index(np.stack(points, axis=1).astype(np.int64), bits))
 
-    return place(*(_number(df, d) for d in dims))
+    return out.withColumn(into, place(*cells)).select(*df.columns, into)
 
 
-def ranked(df: DataFrame, order: list[str]) -> tuple[DataFrame, int]:
+def ranked(df: DataFrame, order: list[str], into: str = "rank") -> tuple[DataFrame, int]:
     """The rows with their place (from 0) in the total order, and their number."""
     spark = df.sparkSession
     part, at = free_name(df, "part"), free_name(df, "at")
-    runs = df.repartitionByRange(partitions(spark), *order).sortWithinPartitions(*order)
+    runs = df.repartitionByRange(partitions(spark), *map(quoted, order)).sortWithinPartitions(*map(quoted, order))
     runs = stored(runs.withColumn(part, F.spark_partition_id()).withColumn(at, F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1).cast("long"))), "sorted-runs")
-    sizes = runs.groupBy(part).count().collect()  # one row for each partition
-    begin, total = {}, 0
-    for p, n in sorted(sizes):
-        begin[p], total = total, total + n
-    if not total:
-        return runs.select(*df.columns, F.lit(0).cast("long").alias("rank")), 0
-    offset = F.element_at(F.create_map(*(F.lit(x) for p, b in begin.items() for x in (p, b))), F.col(part)).cast("long")
-    return runs.select(*df.columns, (offset + F.col(at)).alias("rank")), total
+    begin, total = _begins(runs.groupBy(part).count().collect())  # one row for each partition
+    return runs.select(*map(quoted, df.columns), (_begin_of(begin, F.col(part)) + F.col(at)).alias(into)), total
 
 
 def shards(docs: DataFrame, dims: list[str], count: int = 16, ident: str = "doc_id", text: str = "text", bits: int = BITS) -> DataFrame:
@@ -101,7 +134,7 @@ def shards(docs: DataFrame, dims: list[str], count: int = 16, ident: str = "doc_
     raw = F.encode(F.coalesce(quoted(text), F.lit("")), "utf-8")
     base = docs.select(quoted(ident).alias("i"), (F.octet_length(raw) + 1).cast("long").alias("size"), F.crc32(raw).alias("crc"), *(quoted(d).alias(f"d{n}") for n, d in enumerate(dims)))
     base = stored(base, "shard-metadata")
-    placed = base.withColumn("h", curve_order(base, [f"d{n}" for n in range(len(dims))], bits))
+    placed = with_curve(base, [f"d{n}" for n in range(len(dims))], "h", bits)
     rows, total = ranked(placed.select("i", "size", "crc", "h"), ["h", "crc", "size", "i"])
     total = max(total, 1)
     first = F.expr(f"(shard * {total} + {count - 1}) div {count}")
@@ -109,8 +142,19 @@ def shards(docs: DataFrame, dims: list[str], count: int = 16, ident: str = "doc_
     return out.select(F.col("i").alias(ident), "size", F.col("crc").alias("text_crc32"), F.lit("rows").alias("law"), "shard", (F.col("rank") - first).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
 
 
-def write_shards(docs: DataFrame, path: str, dims: list[str], count: int = 16, ident: str = "doc_id", text: str = "text") -> None:
-    """Write the whole rows as one folder for each shard, in curve order; ids must be unique for this."""
-    where = shards(docs, dims, count, ident, text).select(quoted(ident).alias("__i"), F.col("shard").alias("__shard"), F.col("slot").alias("__slot"))
-    full = docs.join(where, quoted(ident) == F.col("__i")).drop("__i")
-    full.repartitionByRange(count * 4, "__shard", "__slot").sortWithinPartitions("__shard", "__slot").drop("__slot").write.partitionBy("__shard").parquet(path)
+def write_shards(docs: DataFrame, path: str, dims: list[str], count: int = 16, ident: str = "doc_id", text: str = "text", bits: int = BITS) -> str:
+    """Write the whole rows as one folder for each of `count` shards, in curve order; the name of the column that has the shard.
+
+    The rows themselves are placed, so ids may be null or repeat, and every row is
+    written once.  The order is that of `shards`; the shard's column is named `shard`,
+    lengthened if the table has that name.  Null texts are kept as they are, and an
+    empty table writes no folder.
+    """
+    h, size, crc, rank, shard = (free_name(docs, x) for x in ("curve", "text_size", "text_crc", "place", "shard"))
+    raw = F.encode(F.coalesce(quoted(text), F.lit("")), "utf-8")
+    keyed = with_curve(docs, dims, h, bits).withColumns({size: F.octet_length(raw), crc: F.crc32(raw)})
+    rows, total = ranked(keyed, [h, crc, size, ident], rank)
+    out = rows.withColumn(shard, F.expr(f"cast(`{rank}` * {count} div {max(total, 1)} as int)"))
+    out = out.repartitionByRange(count * 4, shard, rank).sortWithinPartitions(shard, rank)
+    out.select(*map(quoted, docs.columns), quoted(shard)).write.partitionBy(shard).parquet(path)
+    return shard
