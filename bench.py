@@ -26,7 +26,7 @@ def main() -> None:
     from pyspark.sql import SparkSession
     from pyspark.sql import functions as F
 
-    from gradfold.operators import baselines, factor, folds, loop, merge, mrs, steps, stop
+    from gradfold.operators import baselines, factor, folds, loop, merge, metrics, mrs, parallel, sparse, steps, stop
     from gradfold.operators.ordering import Clustered, ShuffleAlways, ShuffleOnce
     from gradfold.operators.tasks import LR, NULL, SVM
     from gradfold.plans import fixtures as X
@@ -57,8 +57,8 @@ def main() -> None:
         return out
 
     def placed(df, parts):
-        seg = F.pmod(F.xxhash64("id"), F.lit(parts))
-        out = folds.pack(df.select(seg.alias("seg"), F.xxhash64(F.lit(42), "id").alias("k"), "x", "y").repartition(parts, "seg").sortWithinPartitions("seg", "k")).persist()
+        keyed = df.select(F.xxhash64(F.lit(42), "id").alias("k"), "x", "y")
+        out = folds.pack(loop.segments(keyed, parts).sortWithinPartitions("seg", "k")).persist()
         out.count()
         return out
 
@@ -73,6 +73,31 @@ def main() -> None:
     timed("loss_dense_lr", lambda: folds.packed_sums(by_part, LR, zero))
     timed("batch_gradient_dense_lr", lambda: folds.packed_sums(by_part, LR, zero, True))
 
+    # single passes over sparse rows: the model is a table, so a pass has its join and its merge by feature
+    rows = X.sparse_rows(X.doc_sparse(spark, sf, labelled=False)).withColumn("k", F.xxhash64(F.lit(42), "id")).persist()
+    n_sparse = rows.count()
+    held = sparse.pack(rows, cpus).persist()
+    touched = held.mapInArrow(sparse._features, "seg long, feature long").distinct().repartition(cpus, "seg").persist()
+    none = spark.createDataFrame([], "feature long, w double")
+    touched.count()
+    for task in (NULL, LR, SVM):
+        timed(f"epoch_sparse_{task.name}_averaged", lambda task=task: sparse.epoch(held, touched, none, task, 1.0, n_sparse).groupBy("feature").agg(F.sum("w").alias("w")).write.format("noop").mode("overwrite").save())
+    timed("shuffle_sparse", lambda: rows.repartition(cpus, "k").sortWithinPartitions("k").write.format("noop").mode("overwrite").save())
+    for df in (held, touched, rows):
+        df.unpersist()
+
+    # concurrent writers of one model in the memory of this host
+    emb_rows = X.emb_half(spark, sf).withColumn("k", F.xxhash64(F.lit(42), "id")).persist()
+    for threads in (1, cpus // 2):
+        dealt = loop.segments(emb_rows, threads).select("x", "y").persist()
+        dealt.count()
+        for scheme in parallel.SCHEMES:
+            shared_model = parallel.SharedModel(X.D)
+            timed(f"shared_{scheme}_{threads}", lambda scheme=scheme, m=shared_model, df=dealt: parallel.shared_epoch(df, LR, m, 0.1, scheme), n=1)
+            shared_model.close()
+        dealt.unpersist()
+    emb_rows.unpersist()
+
     # shuffle against gradient time
     timed("shuffle_dense", lambda: ShuffleAlways(fast=True).apply(dense, 1).select("k", "x", "y").repartition(cpus, "k").sortWithinPartitions("k").write.format("noop").mode("overwrite").save())
 
@@ -99,7 +124,6 @@ def main() -> None:
     # factorisation: one pass over the ratings
     cells = X.ratings(spark, sf).persist()
     cells.count()
-    spark.sparkContext.setCheckpointDir(f"{shared}/checkpoints")
     timed("epoch_lmf_strata", lambda: factor.fit_strata(cells, 8, 1, steps.Constant(0.05), parts=4)[1], warm=False, n=1)
     timed("native_lmf", lambda: baselines.mllib_als(cells, 8, 5)[1], warm=False, n=1)
 
@@ -118,7 +142,8 @@ def main() -> None:
                 "rows": rows,
                 "epochs_to_tolerance_dense_lr": len(fit.history),
                 "epochs_to_5_percent": epochs,
-                "overhead_percent_averaged": {t: round(100 * (times[f"epoch_dense_{t}_averaged"] / times["epoch_dense_null_averaged"] - 1), 1) for t in ("lr", "svm")},
+                "overhead_percent": {f"{data}_{t}_{kind}": round(metrics.overhead(times[f"epoch_{data}_{t}_{kind}"], times[f"epoch_{data}_null_{kind}"]), 1) for data, kind in (("dense", "serial"), ("dense", "averaged"), ("sparse", "averaged")) for t in ("lr", "svm")},
+                "speedup_shared": {s: round(times[f"shared_{s}_1"] / times[f"shared_{s}_{cpus // 2}"], 2) for s in parallel.SCHEMES} if cpus > 1 else {},
             }
         )
     )

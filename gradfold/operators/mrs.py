@@ -52,23 +52,35 @@ def schedule(df: DataFrame, order: list[Column], m: int, epochs: int, mem_steps:
     return io.union(mem)
 
 
-def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int, alpha, mem_steps: int = 1, seed: int = 42, threaded: bool = False, start=None, period: int = 10) -> tuple[np.ndarray, list[dict]]:
+#: Bytes of buffered rows that are carried from one pass to the next at most.
+CARRIED = 256 << 20
+
+
+def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int, alpha, mem_steps: int = 1, seed: int = 42, threaded: bool = False, start=None, period: int = 10, swap: str = "period") -> tuple[np.ndarray, list[dict]]:
     """(model, history) over a table (x, y) as it is partitioned; one job an epoch, its input is not moved.
 
-    Each task has two buffers of m / partitions rows.  They change places whenever
-    `period` times that many rows have been read, not only after a whole pass, so
-    that no buffer outlives its task: memory is bounded, and a task that is lost
-    runs again from the epoch's first model alone.  The models are averaged by rows.
-    `threaded` lets the memory worker run beside the scan instead of in turns.
+    Each task has two buffers of m / partitions rows.  swap='pass': the reservoir of
+    a pass is what the memory worker steps on in the next one; the m rows travel
+    with the model, and a bound on their bytes is checked.  swap='period', a variant:
+    the buffers change places whenever `period` times that many rows have been read,
+    so nothing but the model outlives a task.  Either way a task that is lost runs
+    again from the epoch's first model.  The models are averaged by rows.  `threaded`
+    lets the memory worker run beside the scan instead of in turns.
     """
+    if swap not in ("pass", "period"):
+        raise ValueError(swap)
+    if swap == "pass" and 8 * m * (d + 1) > CARRIED:
+        raise ValueError("the buffers are too large to be carried between passes; swap='period' carries none")
     w = np.zeros(d) if start is None else np.array(start, float)
     size = max(1, m // max(1, df.rdd.getNumPartitions()))
-    rows, history = df.select("x", "y"), []
+    rows, history, carried = df.select("x", "y"), [], {}
+    whole = swap == "pass"
     for e in range(1, epochs + 1):
-        begin, a = w, alpha(e)
+        shared = df.sparkSession.sparkContext.broadcast(carried)
 
-        def run(batches, begin=begin, a=a, e=e):
-            rng = np.random.default_rng([seed, e, TaskContext.get().partitionId()])
+        def run(batches, begin=w, a=alpha(e), e=e, shared=shared):
+            part = TaskContext.get().partitionId()
+            rng = np.random.default_rng([seed, e, part])
             model, loss, n, p, j = begin.copy(), 0.0, 0, 0, 0
             one, step_dot = task.one(), model.dot
 
@@ -78,7 +90,7 @@ def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int
                     model.__iadd__(c * row)
 
             fill_x, fill_y = np.zeros((size, len(begin))), np.zeros(size)
-            use: tuple[np.ndarray, np.ndarray] | None = None
+            use: tuple[np.ndarray, np.ndarray] | None = shared.value.get(part)
             stop = threading.Event()
 
             def memory():
@@ -95,32 +107,39 @@ def fit_partitioned(df: DataFrame, task: LinearTask, d: int, m: int, epochs: int
             thread = threading.Thread(target=memory, daemon=True) if threaded else None
             if thread:
                 thread.start()
-            for b in batches:
-                x, y = dense(b.column(0)), np.asarray(b.column(1))
-                loss += float(task.loss_np(x @ begin, y).sum())
-                for i in range(len(y)):
-                    n, p = n + 1, p + 1
-                    s = p - 1 if p <= size else int(rng.integers(p))
-                    if p > size:
-                        step(*((fill_x[s], fill_y[s]) if s < size else (x[i], y[i])))
-                    if s < size:
-                        fill_x[s], fill_y[s] = x[i], y[i]
-                    if use is not None and not thread:
-                        for _ in range(mem_steps):
-                            step(use[0][j], use[1][j])
-                            j = (j + 1) % size
-                    if p == period * size:
-                        use, p, j = (fill_x.copy(), fill_y.copy()), 0, 0
-            left = min(p, size)  # what the buffer still holds has not been used
-            walk(task, model, fill_x[:left], fill_y[:left], a)
-            if thread:
+            try:
+                for b in batches:
+                    x, y = dense(b.column(0)), np.asarray(b.column(1))
+                    loss += float(task.loss_np(x @ begin, y).sum())
+                    for i in range(len(y)):
+                        n, p = n + 1, p + 1
+                        s = p - 1 if p <= size else int(rng.integers(p))
+                        if p > size:
+                            step(*((fill_x[s], fill_y[s]) if s < size else (x[i], y[i])))
+                        if s < size:
+                            fill_x[s], fill_y[s] = x[i], y[i]
+                        if use is not None and not thread:
+                            for _ in range(mem_steps):
+                                step(use[0][j], use[1][j])
+                                j = (j + 1) % len(use[1])
+                        if not whole and p == period * size:
+                            use, p, j = (fill_x.copy(), fill_y.copy()), 0, 0
+                left = min(p, size)
+                if not whole:  # what the buffer still holds has not been used
+                    walk(task, model, fill_x[:left], fill_y[:left], a)
+            finally:
                 stop.set()
-                thread.join()
+                if thread:
+                    thread.join()
             if n:
-                yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), pa.array([loss]), pa.array([model.tolist()], pa.list_(pa.float64()))], names=["n", "loss", "w"])
+                kept = left if whole else 0
+                arrays = [pa.array([part], pa.int32()), pa.array([n], pa.int64()), pa.array([loss]), *(pa.array([v.tolist()], pa.list_(pa.float64())) for v in (model, fill_x[:kept].ravel(), fill_y[:kept]))]
+                yield pa.RecordBatch.from_arrays(arrays, names=["part", "n", "loss", "w", "xs", "ys"])
 
-        got = rows.mapInArrow(run, "n long, loss double, w array<double>").collect()  # one model from each partition
+        got = rows.mapInArrow(run, "part int, n long, loss double, w array<double>, xs array<double>, ys array<double>").collect()  # a model and a buffer from each partition
+        shared.unpersist()
         total = sum(r.n for r in got)
-        w = sum(r.n * np.array(r.w) for r in got) / max(1, total)
-        history.append({"epoch": e, "loss_start": sum(r.loss for r in got), "rows": total})
+        w = sum(r.n * np.array(r.w) for r in got) / total if total else w
+        carried = {r.part: (np.array(r.xs).reshape(-1, d), np.array(r.ys)) for r in got if r.ys}
+        history.append({"epoch": e, "loss_start": sum(r.loss for r in got), "rows": total, "buffered": sum(len(v[1]) for v in carried.values())})
     return w, history

@@ -139,7 +139,7 @@ def igd_lr_mrs(spark, sf):
 def igd_lr_mrs_partitioned(spark, sf):
     """Streaming buffers in every partition of the clustered table, models averaged by epoch."""
     df = X.emb_half(spark, sf).repartitionByRange(4, F.desc("y"), "id").sortWithinPartitions(F.desc("y"), "id")
-    w, history = mrs.fit_partitioned(df, LR, X.D, 50, 3, lambda e: 0.1 / e**0.5)
+    w, history = mrs.fit_partitioned(df, LR, X.D, 50, 3, lambda e: 0.1 / e**0.5, swap="pass")
     return spark.createDataFrame([(h["epoch"], float(h["loss_start"]), h["rows"]) for h in history], "epoch int, loss double, rows long")
 
 

@@ -441,3 +441,40 @@ def test_strata_are_the_serial_walk_of_their_diagonals(spark):
     assert np.allclose(met, losses)
     found = {(r.side, r.id): np.array(r.f) for r in got.collect()}
     assert set(found) == set(start) and all(np.allclose(found[k], start[k]) for k in start)
+
+
+@pytest.mark.parametrize("threaded", [False, True])
+@pytest.mark.parametrize("swap", ["pass", "period"])
+def test_partitioned_reservoirs(spark, sf, swap, threaded):
+    df = X.doc_dense(spark, sf).repartitionByRange(3, F.desc("y"), "id").sortWithinPartitions(F.desc("y"), "id").persist()
+    n = df.count()
+    w, history = mrs.fit_partitioned(df, LR, X.D, 30, 3, lambda e: 0.5 / e**0.5, threaded=threaded, swap=swap)
+    assert [h["rows"] for h in history] == [n] * 3
+    assert [h["buffered"] for h in history] == ([30] * 3 if swap == "pass" else [0] * 3)
+    assert loop.objective(df, LR, w) < history[1]["loss_start"] < history[0]["loss_start"] * 3
+    with pytest.raises(ValueError):
+        mrs.fit_partitioned(df, LR, X.D, 1 << 30, 1, lambda e: 0.1, swap="pass")
+    df.unpersist()
+
+
+def test_reservoirs_carried_over_a_pass_are_the_serial_method(spark, sf):
+    """One partition against plain loops: step on what the reservoir lets go, and on the reservoir of the pass before."""
+    df = X.doc_dense(spark, sf).repartition(1).sortWithinPartitions(F.desc("y"), "id").persist()
+    data = [(np.array(r.x), r.y) for r in df.collect()]
+    m, w, before = 10, np.zeros(X.D), []
+    for e in (1, 2):
+        rng, held, j = np.random.default_rng([42, e, 0]), [], 0
+        for p, (x, y) in enumerate(data, 1):
+            s = p - 1 if p <= m else int(rng.integers(p))
+            if p > m:
+                a, b = held[s] if s < m else (x, y)
+                w = w + 0.2 * LR.one()(float(w @ a), b) * a
+            if s < m:
+                held[s:s + 1] = [(x, y)]
+            if before:
+                a, b = before[j]
+                w, j = w + 0.2 * LR.one()(float(w @ a), b) * a, (j + 1) % m
+        before = held
+    got, _ = mrs.fit_partitioned(df, LR, X.D, m, 2, lambda e: 0.2, swap="pass")
+    assert np.allclose(got, w)
+    df.unpersist()
