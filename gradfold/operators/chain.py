@@ -14,6 +14,10 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from ..sources.files import scratch
+from . import sparse
 
 SEQUENCE = "seq_id string, feats array<array<int>>, tags array<int>"
 
@@ -138,6 +142,59 @@ def fit(seqs: DataFrame, features: int, tags: int, epochs: int, alpha, mu: float
     return model, losses
 
 
+def _keys(feats, tags: int):
+    """The model's keys of an array of features: one for each tag."""
+    return F.flatten(F.transform(feats, lambda f: F.transform(F.sequence(F.lit(0), F.lit(tags - 1)), lambda k: f.cast("long") * tags + k)))
+
+
+def fit_table(seqs: DataFrame, tags: int, epochs: int, alpha, mu: float = 0.0, parts: int = 1) -> tuple[DataFrame, list[float]]:
+    """As `fit`, with the model as a table (feature, w), for any number of features; the progressive loss of each epoch.
+
+    The weight of feature f for tag t is at f * tags + t, that of the move from tag a
+    to b at -1 - (a * tags + b).  A segment gets the weights of its own features by a
+    join and gives them back; its sequences must fit a task.
+    """
+    spark = seqs.sparkSession
+    names = sparse.labels(spark, parts)
+    at = F.pmod(F.xxhash64("k"), F.lit(parts)).cast("int") + 1 if parts > 1 else F.lit(1)
+    held = seqs.select(F.element_at(F.array(*(F.lit(n).cast("long") for n in names)), at).alias("seg"), "k", "feats", "tags").repartition(parts, "seg").persist()
+    moves = F.transform(F.sequence(F.lit(0), F.lit(tags * tags - 1)), lambda k: (-1 - k).cast("long"))
+    own = held.select("seg", F.explode(_keys(F.array_distinct(F.flatten("feats")), tags)).alias("feature")).distinct()
+    touched = own.union(held.select("seg").distinct().select("seg", F.explode(moves))).repartition(parts, "seg").persist()
+    model, history = spark.createDataFrame([], "feature long, w double"), []
+
+    def work_of(step: float):
+        def work(rows: pa.Table, mine: pa.Table) -> pa.Table:
+            key, w = mine.column("feature").to_numpy(), mine.column("w").to_numpy()
+            order = np.argsort(key, kind="stable")
+            key, w = key[order], w[order].copy()
+            n_moves = int((key < 0).sum())
+            features = key[n_moves::tags] // tags
+            local = Chain(w[n_moves:].reshape(-1, tags).copy(), w[:n_moves][::-1].reshape(tags, tags).copy())
+            n, loss = 0, 0.0
+            rows = rows.sort_by("k")
+            for feats, gold in zip(rows.column("feats").to_pylist(), rows.column("tags").to_pylist(), strict=True):
+                loss += local.step([np.searchsorted(features, f) for f in feats], gold, step, mu)
+                n += 1
+            out = np.concatenate([local.move.ravel()[::-1], local.emit.ravel()])
+            counts = np.zeros(len(key), np.int64)
+            counts[:1] = n
+            losses = [loss] * min(1, len(key)) + [None] * max(0, len(key) - 1)
+            return pa.table({"feature": pa.array(key), "w": pa.array(out), "n": pa.array(counts), "loss": pa.array(losses, pa.float64())})
+
+        return work
+
+    for e in range(1, epochs + 1):
+        weights = touched.join(model, "feature", "left").select(F.col("seg").alias("of"), "feature", F.coalesce("w", F.lit(0.0)).alias("w"))
+        path = scratch(spark, "chain-epoch")
+        held.groupBy("seg").cogroup(weights.groupBy("of")).applyInArrow(work_of(alpha(e)), sparse.OUT).write.parquet(path)
+        model, _, loss = sparse.merged(spark.read.schema(sparse.OUT).parquet(path), model)
+        history.append(loss)
+    held.unpersist()
+    touched.unpersist()
+    return model, history
+
+
 def batch_step(seqs: DataFrame, model: Chain, alpha: float) -> tuple[Chain, float]:
     """One full-gradient step, the baseline: expectations of all sequences are summed in the tasks first."""
 

@@ -169,25 +169,29 @@ def fit(df: DataFrame, task: LinearTask, epochs: int = 3, order: Order | None =
                     old.unpersist()
             held = pack(order.apply(clean, e), parts, segment).persist(StorageLevel.MEMORY_AND_DISK)
             touched = held.mapInArrow(_features, "seg long, feature long").distinct().repartition(parts, "seg").persist(StorageLevel.MEMORY_AND_DISK)
-        # the second sum runs over all segments: the few that have a feature give their change, the others none
         path = scratch(spark, "sparse-epoch")
         epoch(held, touched, model, task, step(e), rows, reg, mu).write.parquet(path)
-        out = spark.read.schema(OUT).parquet(path)
-        n, loss, segments = out.agg(F.sum("n"), F.sum("loss"), F.count("loss")).first()
-        merged = out.groupBy("feature").agg(F.sum("w").alias("total"), F.count("*").alias("have"))
-        both = merged.join(model.withColumnRenamed("w", "before"), "feature", "full")
-        before = F.coalesce("before", F.lit(0.0))
-        new = F.when(F.col("have").isNull(), before).otherwise((F.col("total") + before * (F.lit(segments or 1) - F.col("have"))) / F.lit(segments or 1))
-        path = scratch(spark, "sparse-model")
-        both.select("feature", new.alias("w")).write.parquet(path)
-        model = spark.read.schema("feature long, w double").parquet(path)
-        history.append({"epoch": e, "loss_start": float(loss or 0.0), "rows": int(n or 0)})
+        model, n, loss = merged(spark.read.schema(OUT).parquet(path), model)
+        history.append({"epoch": e, "loss_start": loss, "rows": n})
     for old in (held, touched):
         if old is not None:
             old.unpersist()
     return SparseFit(model, history, parts)
 
 
+def merged(out: DataFrame, model: DataFrame) -> tuple[DataFrame, int, float]:
+    """The next model from what all segments gave back (`OUT`), the rows and the loss: a segment that lacks a feature counts with its weight before."""
+    spark = out.sparkSession
+    n, loss, segments = out.agg(F.sum("n"), F.sum("loss"), F.count("loss")).first()
+    totals = out.groupBy("feature").agg(F.sum("w").alias("total"), F.count("*").alias("have"))
+    both = totals.join(model.withColumnRenamed("w", "before"), "feature", "full")
+    before, all_ = F.coalesce("before", F.lit(0.0)), F.lit(max(1, segments))
+    new = F.when(F.col("have").isNull(), before).otherwise((F.col("total") + before * (all_ - F.col("have"))) / all_)
+    path = scratch(spark, "sparse-model")
+    both.select("feature", new.alias("w")).write.parquet(path)
+    return spark.read.schema("feature long, w double").parquet(path), int(n or 0), float(loss or 0.0)
+
+
 def _features(batches):
     for b in batches:
         for seg, idx in zip(b.column(0).to_pylist(), b.column(4).to_pylist(), strict=True):

@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from gradfold.functions import hashing as H
-from gradfold.operators import prox, sparse, steps
+from gradfold.operators import chain, prox, sparse, steps
 from gradfold.operators.ordering import Clustered, ShuffleOnce
 from gradfold.operators.tasks import LR, SVM
 from gradfold.plans import fixtures as X
@@ -70,3 +70,16 @@ def test_odd_rows_and_empty_tables(spark):
     assert fit.history[0]["rows"] == 3 and {r.feature for r in fit.model.collect()} == {1, 3}
     none = sparse.fit(df.where("false"), LR, 1)
     assert none.model.count() == 0 and none.history[0]["rows"] == 0
+
+
+def test_chain_with_a_model_table_is_the_dense_one(spark, sf):
+    seqs = X.dialogs(spark, sf)
+    for mu in (0.0, 0.002):
+        dense_model, losses = chain.fit(seqs, 14, 3, 2, steps.PerEpoch(0.2, 0.5), mu)
+        model, met = chain.fit_table(seqs, 3, 2, steps.PerEpoch(0.2, 0.5), mu)
+        got = {r.feature: r.w for r in model.collect()}
+        assert np.allclose(met, losses)
+        assert all(np.isclose(got[-1 - (a * 3 + b)], dense_model.move[a, b]) for a in range(3) for b in range(3))
+        assert all(np.isclose(w, dense_model.emit[f // 3, f % 3]) for f, w in got.items() if f >= 0)
+    _, met = chain.fit_table(seqs, 3, 3, steps.PerEpoch(0.2, 0.5), parts=3)
+    assert met[2] < met[0]
