@@ -705,6 +705,13 @@ def test_urls(spark, sf, limit):
     assert all(v == "allow" and r is None for _, _, _, r, v in urlfilter.judge(frame, urlfilter.rules_table(spark).where("false")).collect())
 
 
+def test_urls_long_and_with_clashing_columns(spark):
+    urls = ["http://net/" + "x" * 200_000, "h" * 200_000, "http://" + "a." * 5_000 + "net/", "http://" + "n" * 100_000 + ".org/fr/"]
+    frame = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").withColumns({n: F.lit("mine") for n in ("i", "u", "n", "host", "path", "rule", "verdict", "e", "full", "short", "best", "copy", "rule_host")})
+    got = [tuple(r) for r in urlfilter.judge(frame, urlfilter.rules_table(spark)).collect()]
+    assert ordered(got) == ordered((i, *brute_url(u, urlfilter.RULES)) for i, u in enumerate(urls))
+
+
 # all
 
 
