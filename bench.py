@@ -68,7 +68,7 @@ def main() -> None:
     by_part = placed(dense, cpus)
     serial = placed(dense, 1)
     for task in (NULL, LR, SVM):
-        timed(f"epoch_dense_{task.name}_serial", lambda task=task: folds.fold_packed(serial, task, zero, 0.01).collect(), n=1)
+        timed(f"epoch_dense_{task.name}_serial", lambda task=task: folds.fold_packed(serial, task, zero, 0.01).collect())
         timed(f"epoch_dense_{task.name}_averaged", lambda task=task: merge.average(folds.fold_packed(by_part, task, zero, 0.01)).collect())
     timed("loss_dense_lr", lambda: folds.packed_sums(by_part, LR, zero))
     timed("batch_gradient_dense_lr", lambda: folds.packed_sums(by_part, LR, zero, True))

@@ -452,7 +452,10 @@ def feat_bow(spark, sf):
 
 @query(f"WITH t AS (SELECT id, token, count(*)::DOUBLE AS n FROM ({X.SQL_TOKENS}) GROUP BY 1, 2), d AS (SELECT token, count(*) AS df FROM t GROUP BY 1) SELECT id, token, round(n * ln((SELECT count(DISTINCT id) FROM t) / df::DOUBLE), 6) AS w FROM t JOIN d USING (token) WHERE df >= 2")
 def feat_tfidf(spark, sf):
-    counts = X.tokens(spark, sf).groupBy("id", "token").agg(F.count("*").cast("double").alias("n"))
+    # the counts are read three times, so they are written once
+    path = files.scratch(spark, "term-counts")
+    X.tokens(spark, sf).groupBy("id", "token").agg(F.count("*").cast("double").alias("n")).write.parquet(path)
+    counts = spark.read.schema("id long, token string, n double").parquet(path)
     df = counts.groupBy("token").agg(F.count("*").alias("df")).where("df >= 2")
     size = counts.agg(F.countDistinct("id").cast("double").alias("docs"))
     return counts.join(df, "token").crossJoin(F.broadcast(size)).select("id", "token", r(F.col("n") * F.log(F.col("docs") / F.col("df")), 6).alias("w"))
