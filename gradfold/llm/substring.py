@@ -3,11 +3,12 @@
 A window is `window` consecutive words.  Instead of all windows the index holds
 each window's *anchor*, its smallest run of `gram` words: equal windows have equal
 anchors, and neighbouring windows mostly share theirs, so there are about
-2 / (window - gram + 2) anchors a word.  The index is a list of immutable runs,
-each sorted and bucketed by anchor hash, one from each batch; when there are more
-than `fan_in` of them they are merged into one.
+2 / (window - gram + 2) anchors a word.  The index is a list of immutable runs
+(`runs.py`), each sorted and bucketed by anchor hash, one from each batch; when
+there are more than `fan_in` of them they are merged into one.  A second list of
+runs holds the digests of whole texts, so that copies of a text need no windows.
 
-A batch is deduplicated in two steps.  Its anchors are merge-joined with the runs
+A batch is deduplicated in two steps.  Its anchors are merge-joined with each run
 and with each other, which leaves those that stand in more than one document.
 Only for windows with such an anchor is the full fingerprint made - 128 bits of a
 cryptographic digest of the words themselves, which is the verification - for
@@ -17,7 +18,6 @@ the batch and for the earlier documents that its anchors met.
 from __future__ import annotations
 
 import hashlib
-import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -26,9 +26,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels
-from .shared import append_struct, fresh_path, partitions, quoted, release, stored
+from .runs import Runs
+from .shared import append_struct, discard, fresh_path, partitions, quoted, release, stored
 
-WINDOW, GRAM, FAN_IN = 50, 25, 4
+WINDOW, GRAM = 50, 25
+#: Batches that a whole table is taken in by, and runs that an index has before they are merged.
+BATCHES, FAN_IN = 3, 2
 
 
 def _rows(df: DataFrame, schema: str, text: str, work) -> DataFrame:
@@ -134,37 +137,32 @@ def _first_pass(docs: DataFrame, window: int, gram: int, digest: bool) -> DataFr
 
 
 class FingerprintIndex:
-    """Immutable runs of (h, id), the anchors of the documents of a batch, each bucketed and sorted by h."""
+    """What earlier batches hold: runs of anchors (h, id), and runs of whole texts (d, lo) with the smallest id of each."""
 
-    def __init__(self, spark: SparkSession, location: str | None = None, fan_in: int = FAN_IN):
-        self.spark, self.location, self.fan_in = spark, location or fresh_path(spark, "window-index"), fan_in
-        self.buckets, self.runs = partitions(spark), []
+    def __init__(self, spark: SparkSession, location: str | None = None, fan_in: int = FAN_IN, id_type: str = "BIGINT"):
+        self.location = location or fresh_path(spark, "window-index")
+        self.anchors = Runs(spark, f"{self.location}/anchors", f"h BIGINT, id {id_type}", "h", partitions(spark), fan_in)
+        self.texts = Runs(spark, f"{self.location}/texts", f"d BINARY, lo {id_type}", "d", partitions(spark), fan_in)
 
-    def append(self, rows: DataFrame) -> None:
-        name = f"window_run_{uuid.uuid4().hex}"
-        n = self.buckets
-        rows.select("h", "id").repartition(n, "h").sortWithinPartitions("h").write.format("parquet").bucketBy(n, "h").sortBy("h").option("path", f"{self.location}/{name}").saveAsTable(name)
-        self.runs = [*self.runs, name]
-        if len(self.runs) > self.fan_in:
-            self.compact()
+    def next_batch(self) -> int:
+        return self.texts.next_batch()  # texts are appended last
+
+    def append(self, anchors: DataFrame, texts: DataFrame, batch: int) -> None:
+        self.anchors.append(anchors, batch)
+        self.texts.append(texts, batch)
 
     def compact(self) -> None:
-        """Merge all runs into one; the old ones are dropped when it is written."""
-        old = self.runs
-        merged = self.rows()
-        self.runs = []
-        if merged is not None:
-            self.append(merged.distinct())
-            for name in old:
-                self.spark.sql(f"DROP TABLE {name}")
-
-    def rows(self) -> DataFrame | None:
-        """(h, id) over all runs; None without any."""
-        out = None
-        for name in self.runs:
-            one = self.spark.table(name)
-            out = one if out is None else out.union(one)
-        return out
+        self.anchors.compact(lambda rows: rows.distinct())
+        self.texts.compact(lambda rows: rows.groupBy("d").agg(F.min("lo").alias("lo")))
+
+
+def _met(here: DataFrame, runs: list[DataFrame], key: str) -> DataFrame | None:
+    """The rows of earlier runs whose key the batch has: a merge join with each run, that exchanges nothing of it."""
+    out = None
+    for run in runs:
+        one = run.join(here.select(key).hint("merge"), key, "left_semi")
+        out = one if out is None else out.union(one)
+    return out
 
 
 KEPT = T.StructType([T.StructField("n_words", T.LongType(), False), T.StructField("n_removed", T.LongType(), False), T.StructField("kept", T.StringType(), False)])
@@ -198,7 +196,7 @@ def _without(docs: DataFrame, text: str, starts: str, keep: list[str], window: i
     return append_struct(docs, into, KEPT, text, work, keep)
 
 
-def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFrame | None = None, ident: str = "doc_id", text: str = "text", window: int = WINDOW, gram: int = GRAM, digest: bool = False) -> DataFrame:
+def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFrame | None = None, ident: str = "doc_id", text: str = "text", window: int = WINDOW, gram: int = GRAM, digest: bool = False, number: int | None = None) -> DataFrame:
     """(ident, n_words, n_removed, kept): what is left of each document of a batch, which is then part of the index.
 
     A word goes if a window over it has words that also begin a window in a
@@ -210,54 +208,72 @@ def deduplicate_batch(batch: DataFrame, index: FingerprintIndex, earlier: DataFr
     an id are parts of one document and never judged against each other.
 
     The text is exchanged once, and that of documents with a shared anchor once
-    more.  Whole texts that repeat go by their digests and send no windows.
+    more.  Whole texts that repeat go by their digests and send no windows.  A batch
+    that failed half-way is taken in again under its number.
     """
-    kind = batch.schema[ident].dataType.simpleString()
+    spark, kind = batch.sparkSession, batch.schema[ident].dataType.simpleString()
+    number = number or index.next_batch()
     key = [quoted(ident).alias("id"), quoted(text).alias("text"), F.xxhash64(quoted(text)).alias("x")]
     docs = batch.select(*key)
     # copies of a whole text with a smaller id: all their windows are that one's
     whole = stored(docs.where("id is not null and text is not null").select("id", "x", F.unhex(F.sha2("text", 256)).alias("d")), "text-digests")
-    firsts = whole.groupBy("d").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("d", "lo")
-    copies = stored(whole.join(firsts, "d").where("id > lo").select("id", "x").distinct(), "copies")
+    firsts = stored(whole.groupBy("d").agg(F.min("id").alias("lo"), F.max("id").alias("hi")), "first-texts")
+    known = _met(firsts, index.texts.tables(before=number), "d")
+    repeated = firsts.where("lo != hi").select("d", "lo")
+    if known is not None:
+        known = stored(known, "known-texts")
+        repeated = repeated.union(known).groupBy("d").agg(F.min("lo").alias("lo"))
+    repeated = stored(repeated, "repeated-texts")
+    copies = stored(whole.join(repeated, "d").where("id > lo").select("id", "x").distinct(), "copies")
     own = stored(anchors(docs.where("id is not null"), "text", window, gram).join(copies, ["id", "x"], "left_anti"), "anchors")
-    here = own.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi"))
-    past = index.rows()
-    if past is None:
-        met, old = here.where("lo != hi").select("h"), None
-    else:
-        joined = here.join(past.groupBy("h").agg(F.count("*").alias("n")), "h", "left")
-        met = joined.where("n is not null or lo != hi").select("h")
-        old = stored(past.join(here.select("h"), "h", "left_semi").groupBy("id").agg(F.collect_set("h").alias("marked")), "met-history")
+    here = stored(own.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi")), "own-anchors")
+    old = _met(here, index.anchors.tables(before=number), "h")
+    met = here.where("lo != hi").select("h")
+    if old is not None:
+        old = stored(old, "met-history")
+        met = met.union(old.select("h")).distinct()
     met = stored(met, "met")
-    index.append(own.select("h", "id").distinct())
-    release(batch.sparkSession)
+    index.append(own.select("h", "id").distinct(), firsts.select("d", "lo"), number)
+    release(spark)
     marks = own.join(met, "h").groupBy("id", "x").agg(F.collect_set("h").alias("marked"))  # a document's own anchors
     info = marks.withColumn("copy", F.lit(False)).union(copies.select("id", "x", F.lit(None).cast("array<bigint>"), F.lit(True)))
     first = stored(_first_pass(docs.join(info, ["id", "x"], "left").withColumn("copy", F.coalesce("copy", F.lit(False))), window, gram, digest), "first-pass")
-    release(batch.sparkSession)
+    release(spark)
     open_ = first.where("s.text is not null")
     windows = open_.select("id", "x", F.explode("s.windows").alias("w")).select("id", "x", "w.*")
-    every = windows.select("h1", "h2", "id")
+    every, spare = windows.select("h1", "h2", "id"), []
     if old is not None and earlier is not None:
         # of the earlier documents only those that hold an anchor of the batch are read again
-        before = earlier.select(*key).where("id is not null").join(old, "id").withColumn("copy", F.lit(False))
+        held = old.groupBy(F.col("id").alias("old_id")).agg(F.collect_set("h").alias("marked"))
+        before = earlier.select(*key).join(held, F.col("id") == F.col("old_id")).drop("old_id").withColumn("copy", F.lit(False))
         again = _first_pass(before, window, gram, digest).select("id", F.explode("s.windows").alias("w"))
-        every = every.union(stored(again.select("w.h1", "w.h2", "id"), "earlier-windows"))
+        again = stored(again.groupBy("w.h1", "w.h2").agg(F.min("id").alias("id")), "earlier-windows")
+        every, spare = every.union(again), [again]
+        release(spark)
     least = every.groupBy("h1", "h2").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo != hi").select("h1", "h2", "lo")
     least = stored(least, "shared-windows")
-    release(batch.sparkSession)
+    release(spark)
     late = windows.join(least, ["h1", "h2"]).where("id > lo").groupBy("id", "x").agg(F.collect_set("at").alias("starts"))
     made = _without(open_.select("id", "x", "s.text").join(late, ["id", "x"], "left"), "text", "starts", ["id"], window, "s", digest)
     done = first.where("s.text is null")
     out = done.select("id", "s.n_words", "s.n_removed", "s.kept").union(made.select("id", "s.n_words", "s.n_removed", "s.kept"))
-    return out.select(F.col("id").cast(kind).alias(ident), "n_words", "n_removed", "kept")
+    out = stored(out.select(F.col("id").cast(kind).alias(ident), "n_words", "n_removed", "kept"), "batch-answers")
+    release(spark)
+    discard(whole, firsts, repeated, copies, own, here, met, first, least, *spare, *(x for x in (known, old) if x is not None))
+    index.compact()
+    release(spark)
+    return out
+
 
+def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", batches: int = BATCHES, digest: bool = False, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """The same for a whole table by way of a fresh index, taken in as up to `batches` batches of rising ids.
 
-def deduplicate(docs: DataFrame, ident: str = "doc_id", text: str = "text", batches: int = 1, digest: bool = False, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
-    """The same for a whole table by way of a fresh index: loaded as one run, or taken in as `batches` of rising ids."""
-    index = FingerprintIndex(docs.sparkSession)
+    Ids that can not be put into ranges (other than numbers and dates) make one batch.
+    """
+    kind = docs.schema[ident].dataType
+    index = FingerprintIndex(docs.sparkSession, id_type=kind.simpleString())
     key = quoted(ident)
-    probs = [i / batches for i in range(1, batches)]
+    probs = [i / batches for i in range(1, batches)] if isinstance(kind, (T.NumericType, T.DatetimeType)) else []
     cuts = sorted(set(docs.agg(F.percentile_approx(key, probs, 1000)).first()[0] or [])) if probs else []
     out, low = None, None
     for high in [*cuts, None]:
