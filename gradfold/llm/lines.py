@@ -241,12 +241,21 @@ def _compared(pairs: DataFrame, texts: DataFrame, shingle: int) -> DataFrame:
     return both.mapInArrow(work, f"a long, b long, na {pair}, nb {pair}, like double")
 
 
+def _middles(told: DataFrame) -> DataFrame:
+    """(key, leader, other): of the lines (key, leader, lid, sketch) near a leader the one whose sketch is nearest to the bits that most of them have."""
+    bit = lambda i: F.shiftrightunsigned("sketch", i).bitwiseAND(F.lit(1).cast("long"))
+    counts = told.groupBy("key", "leader").agg(F.count("*").alias("n"), *(F.sum(bit(i)).alias(f"s{i}") for i in range(60)))
+    most = sum((F.when(2 * F.col(f"s{i}") > F.col("n"), F.lit(1 << i).cast("long")).otherwise(F.lit(0).cast("long")) for i in range(1, 60)), F.when(2 * F.col("s0") > F.col("n"), F.lit(1).cast("long")).otherwise(F.lit(0).cast("long")))
+    off = F.bit_count(F.col("sketch").bitwiseXOR(F.col("most")))
+    return told.join(counts.select("key", "leader", most.alias("most")), ["key", "leader"]).groupBy("key", "leader").agg(F.min(F.struct(off.alias("off"), "lid")).alias("m")).select("key", "leader", F.col("m.lid").alias("other"))
+
+
 def links(docs: DataFrame, firsts: DataFrame, similar: float = SIMILAR) -> DataFrame:
     """(node, component) of the lines, structs (l1, l2), that are similar to another: all similar lines of a bucket are in one component.
 
     Lines of a bucket are first compared with its leaders.  A line that is near a
-    leader by sketch and similar to none is then compared with what is similar to
-    that leader, if it is at least 1 - 2 (1 - similar) alike to it (distances of
+    leader by sketch and similar to none is then compared with the middle of the
+    lines near that leader, next with what is similar to that leader, if it is at least 1 - 2 (1 - similar) alike to it (distances of
     sets obey the triangle inequality, so no other line can be similar to both), and
     last with the other such lines of its bucket.  Lines of one component are not
     compared again.
@@ -291,7 +300,15 @@ def links(docs: DataFrame, firsts: DataFrame, similar: float = SIMILAR) -> DataF
     release(spark)
     discard(met)
     best = told.groupBy("key", "lid").agg(F.max("like").alias("best")).where(F.col("best") < similar).select("key", "lid")
-    alone = stored(classes(told.join(best, ["key", "lid"]), joined, "lid", "c"), "lines-alone")
+    told_alone = stored(told.join(best, ["key", "lid"]), "lines-not-told")
+    # most copies of one line are like that line, if not like each other: the middle of a leader's lines is tried on the rest
+    hubs = classes(_middles(told.join(told_alone.select("key", "leader").distinct(), ["key", "leader"], "left_semi")), joined, "other", "oc")
+    tried = classes(told_alone, joined, "lid", "c").join(hubs, ["key", "leader"]).where("c != oc")
+    tried = stored(apart(tried.select("lid", "other")).distinct(), "line-middles")
+    release(spark)
+    if not tried.isEmpty():
+        joined = linked(compared(tried, "line-hubs"), joined)
+    alone = stored(classes(told_alone, joined, "lid", "c"), "lines-alone")
     near = classes(told.where(F.col("like") >= similar).select("key", F.col("lid").alias("other"), F.col("sketch").alias("osketch"), "leader"), joined, "other", "oc")
     close = (F.col("c") != F.col("oc")) & (F.bit_count(F.col("sketch").bitwiseXOR(F.col("osketch"))) <= APART)
     gray = stored(apart(alone.where(F.col("like") >= 2 * similar - 1 - 1e-9).join(near, ["key", "leader"]).where(close)).distinct(), "line-gray")

@@ -522,6 +522,25 @@ def test_lines_of_one_crowded_bucket(spark):
     assert sorted(r.n_removed for r in kept) == [0, 0] + [1] * (len(copies) - 2)
 
 
+def test_lines_around_one_original(spark, monkeypatch):
+    """Copies that are like their original but not like each other, and the original not the leader: linked without all pairs."""
+    rng, seen = random.Random(12), []
+    base = "".join(rng.choice("abcdefghijklmnop ") for _ in range(200))
+    copies = [base]
+    for _ in range(150):
+        t = list(base)
+        for at in (rng.randrange(5, 60), rng.randrange(70, 125), rng.randrange(135, 195)):
+            t[at] = rng.choice("QRSTUVWXYZ0123456789")
+        copies.append("".join(t))
+    copies = [base, *(c for c in dict.fromkeys(copies[1:]) if lines.jaccard(base, c) >= 0.8)]
+    assert len(copies) > 100 and sum(lines.jaccard(a, b) < 0.8 for a, b in itertools.combinations(copies[1:], 2)) > 0.9 * len(copies) ** 2 / 2
+    real = lines._compared
+    monkeypatch.setattr(lines, "_compared", lambda pairs, texts, shingle: seen.append(pairs.count()) or real(pairs, texts, shingle))
+    got = lines.deduplicate(docs_frame(spark, list(enumerate(copies)))).collect()
+    assert sum(r.n_removed for r in got) == len(copies) - 1
+    assert sum(seen) < 20 * len(copies)
+
+
 def test_lines_against_all_pairs(spark, sf):
     rows = [(r.doc_id, r.text) for r in table(spark, sf, "documents").where("n_chars < 1500").limit(60).collect()]
     occ = [(i, n, x) for i, t in sorted(rows) for n, x in enumerate(t.split("\n")) if x and not x.isspace()]
