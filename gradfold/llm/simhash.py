@@ -26,7 +26,7 @@ from pyspark.sql import types as T
 
 from . import kernels
 from .components import components
-from .shared import append_struct, free_name, quoted, stored
+from .shared import apart, append_struct, free_name, quoted, stored
 
 SHINGLE, SEED, MOST = 3, 42, 2
 SEGMENTS, BITS = 4, 16
@@ -110,15 +110,15 @@ def links(prints: DataFrame, most: int = MOST, dense: int = DENSE) -> DataFrame:
     near |= (a > b) & (third <= 3 * most // SEGMENTS) & (_distance(a, b) <= most)
     many = full.count()
     if not many:
-        return probe.join(store, "k").where(near).select("a", "b")
-    pairs = probe.join(full, "k", "left_anti").join(store, "k").where(near).select("a", "b")
-    crowd = store.join(full, "k", "left_semi").select(F.col("b").alias("bits")).distinct()
+        return probe.join(apart(store), "k").where(near).select("a", "b")
+    pairs = probe.join(apart(full), "k", "left_anti").join(apart(store), "k").where(near).select("a", "b")
+    crowd = store.join(apart(full), "k", "left_semi").select(F.col("b").alias("bits")).distinct()
     around = crowd.select(bits.alias("b"), F.explode(F.array(bits, *(bits.bitwiseXOR(F.lit(1 << i if i < 63 else -(1 << 63)).cast("long")) for i in range(64)))).alias("k"))
     if most < 2:  # a shared neighbour means two bits; only those at hand are meant then
-        return pairs.union(around.join(crowd.select(bits.alias("a")), F.col("a") == F.col("k")).where((a != b) & (_distance(a, b) <= most)).select("a", "b"))
+        return pairs.union(around.join(apart(crowd.select(bits.alias("a"))), F.col("a") == F.col("k")).where((a != b) & (_distance(a, b) <= most)).select("a", "b"))
     around = stored(around, "around")
     least = around.groupBy("k").agg(F.min("b").alias("a"), F.count("*").alias("n")).where("n > 1").select("k", "a")
-    return pairs.union(around.join(least, "k").where(a != b).select("a", "b"))
+    return pairs.union(around.join(apart(least), "k").where(a != b).select("a", "b"))
 
 
 def classes(prints: DataFrame, ident: str, most: int = MOST, dense: int = DENSE) -> DataFrame:
@@ -128,10 +128,10 @@ def classes(prints: DataFrame, ident: str, most: int = MOST, dense: int = DENSE)
     """
     each = stored(prints.groupBy("bits").agg(F.min(quoted(ident)).alias("first")), "prints")
     joined = components(links(each, most, dense))
-    both = each.join(joined, each.bits == joined.node, "left").select("bits", "first", F.coalesce("component", "bits").alias("c"))
+    both = each.join(apart(joined), each.bits == joined.node, "left").select("bits", "first", F.coalesce("component", "bits").alias("c"))
     both = stored(both, "classes")
     roots = both.groupBy("c").agg(F.min("first").alias("component_id"))
-    return stored(both.join(roots, "c").select("bits", "component_id"), "class-ids")
+    return stored(both.join(apart(roots), "c").select("bits", "component_id"), "class-ids")
 
 
 def near_duplicates(docs: DataFrame, ident: str = "doc_id", text: str = "text", most: int = MOST, dense: int = DENSE) -> DataFrame:
@@ -145,7 +145,7 @@ def near_duplicates(docs: DataFrame, ident: str = "doc_id", text: str = "text",
     base = docs.select(quoted(ident).alias("i"), quoted(text).alias("t"))
     prints = stored(fingerprints(base, "t", "s", keep=["i"]).select("i", F.col("s.bits").alias("bits")), "fingerprints")
     found = classes(prints, "i", most, dense)
-    return prints.join(found, "bits").select(F.col("i").alias(out), F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
+    return prints.join(apart(found), "bits").select(F.col("i").alias(out), F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def one_of_each(docs: DataFrame, ident: str = "doc_id", text: str = "text", most: int = MOST) -> DataFrame:
@@ -166,9 +166,9 @@ def one_of_each(docs: DataFrame, ident: str = "doc_id", text: str = "text", most
 def winners_only(docs: DataFrame, order: F.Column, mark: str, prints: DataFrame, winners: DataFrame, won: str) -> DataFrame:
     """The rows of `docs` whose `order` is among the winners; `prints` has it for every row as `mark`."""
     mine = F.col(mark) == F.col(won)
-    kept = docs.withColumn(mark, order).join(winners, mine, "left_semi")
+    kept = docs.withColumn(mark, order).join(apart(winners), mine, "left_semi")
     # rows that tie in id and text are copies of one row: one stays
-    twice = stored(prints.groupBy(mark).count().where("count > 1").join(winners, mine, "left_semi").select(F.col(mark).alias(won)), "ties")
+    twice = stored(prints.groupBy(mark).count().where("count > 1").join(apart(winners), mine, "left_semi").select(F.col(mark).alias(won)), "ties")
     if twice.isEmpty():
         return kept.select(*docs.columns)
-    return kept.join(twice, mine, "left_anti").union(kept.join(twice, mine, "left_semi").dropDuplicates([mark])).select(*docs.columns)
+    return kept.join(apart(twice), mine, "left_anti").union(kept.join(apart(twice), mine, "left_semi").dropDuplicates([mark])).select(*docs.columns)
