@@ -10,6 +10,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +28,42 @@ def _lse(a: np.ndarray, axis: int) -> np.ndarray:
     return (top + np.log(np.exp(a - top).sum(axis=axis, keepdims=True))).squeeze(axis)
 
 
+@lru_cache
+def _recursion(tags: int, back: bool):
+    """A function from the factors by position and the moves to the scaled vectors and their scales, written out for this number of tags.
+
+    Plain numbers are several times as fast as arrays of a few tags.  Backwards,
+    positions come from the last one, and a vector does not hold its own factor.
+    """
+    k = range(tags)
+    each = lambda form, sep=", ": sep.join(form.format(j=j) for j in k)
+    if back:
+        first, here = each("1.0"), [each("g{j} = x{j} * v{j}", "; "), *(f"n{i} = " + " + ".join(f"m{i}_{j} * g{j}" for j in k) for i in k)]
+    else:
+        first, here = each("x{j}"), [f"n{j} = (" + " + ".join(f"v{i} * m{i}_{j}" for i in k) + f") * x{j}" for j in k]
+    moves = ", ".join(f"m{i}_{j}" for i in k for j in k)
+    lines = [
+        f"def run(each, {moves}):",
+        f" {each('x{j}')}, = each[0]",
+        f" {each('v{j}')}, = {first},",
+        f" total = {each('v{j}', ' + ')}",
+        " if not total > 0: return None, None",
+        f" {'; '.join(f'v{j} /= total' for j in k)}",
+        f" out, scales = [({each('v{j}')},)], [total]",
+        f" for {each('x{j}')}, in each[{':-1' if back else '1:'}]:",
+        *(f"  {line}" for line in here),
+        f"  total = {each('n{j}', ' + ')}",
+        "  if not total > 0: return None, None",
+        f"  {'; '.join(f'v{j} = n{j} / total' for j in k)}",
+        f"  out.append(({each('v{j}')},))",
+        "  scales.append(total)",
+        " return out, scales",
+    ]
+    made: dict = {}
+    exec("\n".join(lines), made)  # noqa: S102
+    return made["run"]
+
+
 @dataclass
 class Chain:
     emit: np.ndarray  # (features, tags)
@@ -60,8 +97,28 @@ class Chain:
         pot = self.potentials(feats)
         return float(_lse(self.forward(pot)[-1], 0)) - self.score(pot, tags)
 
+    def _scaled(self, pot: np.ndarray):
+        """As `marginals`, by products of numbers scaled at each position; None if they leave the range of floats."""
+        top, lift = pot.max(axis=1), self.move.max()
+        e, m = np.exp(pot - top[:, None]), np.exp(self.move - lift)
+        ahead, scales = _recursion(len(m), False)(e.tolist(), *m.ravel().tolist())
+        behind, _ = _recursion(len(m), True)(e[::-1].tolist(), *m.ravel().tolist())
+        if ahead is None or behind is None:
+            return None
+        f, b = np.array(ahead), np.array(behind[::-1])
+        single = f * b
+        total = single.sum(axis=1, keepdims=True)
+        g = e[1:] * b[1:]
+        between = ((f[:-1] @ m) * g).sum(axis=1, keepdims=True)
+        if not (total.all() and between.all()):
+            return None
+        pair = m * ((f[:-1] / between).T @ g)
+        return single / total, pair, float(np.log(scales).sum() + top.sum() + (len(pot) - 1) * lift)
+
     def marginals(self, pot: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
         """(position marginals, summed pair marginals, log partition)."""
+        if (scaled := self._scaled(pot)) is not None:
+            return scaled
         f, b = self.forward(pot), self.backward(pot)
         z = float(_lse(f[-1], 0))
         single = np.exp(f + b - z)
@@ -70,22 +127,30 @@ class Chain:
             pair += np.exp(f[t - 1][:, None] + self.move + (pot[t] + b[t])[None, :] - z)
         return single, pair, z
 
-    def gradient(self, feats: list, tags) -> tuple[list, np.ndarray, np.ndarray, float]:
-        """Ascent direction: (features by position, emission part by position, transition part) and the loss."""
-        pot = self.potentials(feats)
+    def _slope(self, pot: np.ndarray, tags) -> tuple[np.ndarray, np.ndarray, float]:
         single, pair, z = self.marginals(pot)
         tags = np.asarray(tags)
         emit = -single
         emit[np.arange(len(tags)), tags] += 1
         move = -pair
         np.add.at(move, (tags[:-1], tags[1:]), 1)
-        return feats, emit, move, z - self.score(pot, tags)
+        return emit, move, z - self.score(pot, tags)
+
+    def gradient(self, feats: list, tags) -> tuple[list, np.ndarray, np.ndarray, float]:
+        """Ascent direction: (features by position, emission part by position, transition part) and the loss."""
+        return feats, *self._slope(self.potentials(feats), tags)
 
     def step(self, feats: list, tags, alpha: float, mu: float = 0.0) -> float:
         """One incremental step; the loss before it."""
-        feats, emit, move, loss = self.gradient(feats, tags)
-        for f, e in zip(feats, emit, strict=True):
-            np.add.at(self.emit, np.asarray(f, np.int64), alpha * e)
+        sizes = [len(f) for f in feats]
+        return self.step_flat(np.fromiter((i for f in feats for i in f), np.int64, sum(sizes)), np.repeat(np.arange(len(feats)), sizes), tags, alpha, mu)
+
+    def step_flat(self, feats: np.ndarray, at: np.ndarray, tags, alpha: float, mu: float = 0.0) -> float:
+        """As `step`, from the features of all positions in one array, and the position of each."""
+        kinds = self.emit.shape[1]
+        pot = np.column_stack([np.bincount(at, w, len(tags)) for w in self.emit[feats].T])
+        emit, move, loss = self._slope(pot, tags)
+        np.add.at(self.emit.reshape(-1), (feats[:, None] * kinds + np.arange(kinds)).ravel(), (alpha * emit)[at].ravel())
         self.move += alpha * move
         if mu:
             for w in (self.emit, self.move):
@@ -111,6 +176,17 @@ def _sequences(batches: Iterable[pa.RecordBatch]):
         yield from zip(*(b.column(i).to_pylist() for i in range(b.num_columns)), strict=True)
 
 
+def _flat(rows: pa.Table, features: np.ndarray):
+    """(places of its features among `features`, their positions, tags) of each sequence."""
+    for chunk in rows.select(["feats", "tags"]).combine_chunks().to_batches():
+        feats, tags = chunk.column(0), chunk.column(1)
+        cuts, inner, ends = (np.asarray(a, np.int64) for a in (feats.offsets, feats.values.offsets, tags.offsets))
+        places, gold = np.searchsorted(features, np.asarray(feats.values.values)), np.asarray(tags.values)
+        for i in range(len(chunk)):
+            own = inner[cuts[i] : cuts[i + 1] + 1]
+            yield places[own[0] : own[-1]], np.repeat(np.arange(len(own) - 1), np.diff(own)), gold[ends[i] : ends[i + 1]]
+
+
 def epoch(seqs: DataFrame, model: Chain, alpha: float, mu: float = 0.0) -> list:
     """Fold the partitions of (k, feats, tags), each in the order of k, from one model; a row (n, loss, emit, move) for each.
 
@@ -173,8 +249,8 @@ def fit_table(seqs: DataFrame, tags: int, epochs: int, alpha, mu: float = 0.0, p
             local = Chain(w[n_moves:].reshape(-1, tags).copy(), w[:n_moves][::-1].reshape(tags, tags).copy())
             n, loss = 0, 0.0
             rows = rows.sort_by("k")
-            for feats, gold in zip(rows.column("feats").to_pylist(), rows.column("tags").to_pylist(), strict=True):
-                loss += local.step([np.searchsorted(features, f) for f in feats], gold, step, mu)
+            for feats, at, gold in _flat(rows, features):
+                loss += local.step_flat(feats, at, gold, step, mu)
                 n += 1
             out = np.concatenate([local.move.ravel()[::-1], local.emit.ravel()])
             counts = np.zeros(len(key), np.int64)

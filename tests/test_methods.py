@@ -70,6 +70,45 @@ def test_closed_form_of_constant_steps():
     assert abs(w + (1 - q) / (1 + q)) < 1e-9
 
 
+@pytest.mark.parametrize("tags", [1, 2, 3, 5])
+@pytest.mark.parametrize("size", [1, 40, 900])
+def test_chain_marginals_in_scaled_numbers(tags, size):
+    import time
+
+    from gradfold.operators import chain
+
+    rng = np.random.default_rng(tags)
+    for length in (1, 2, 64):
+        c, pot = chain.Chain(rng.normal(size=(9, tags)), size * rng.normal(size=(tags, tags))), size * rng.normal(size=(length, tags))
+        start = time.perf_counter()
+        single, pair, z = c.marginals(pot)
+        mine = time.perf_counter() - start
+        start = time.perf_counter()
+        f, b = c.forward(pot), c.backward(pot)
+        theirs = time.perf_counter() - start
+        assert np.allclose(single, np.exp(f + b - z), atol=1e-9) and np.isclose(z, chain._lse(f[-1], 0))
+        assert np.allclose(pair.sum(), length - 1)
+    if size == 1:
+        assert mine < theirs / 2  # it took longer than both recursions before
+
+
+def test_chain_step_of_flat_features():
+    from gradfold.operators import chain
+
+    rng = np.random.default_rng(3)
+    one, other = chain.Chain.zero(20, 3), chain.Chain.zero(20, 3)
+    for _ in range(30):
+        feats = [rng.integers(0, 20, rng.integers(0, 5)).tolist() for _ in range(rng.integers(1, 9))]
+        tags = rng.integers(0, 3, len(feats))
+        emit, move, loss = one.gradient(feats, tags)[1:]
+        for f, e in zip(feats, emit, strict=True):
+            np.add.at(one.emit, np.array(f, int), 0.3 * e)
+        one.move += 0.3 * move
+        at = np.repeat(np.arange(len(feats)), [len(f) for f in feats])
+        assert np.isclose(loss, other.step_flat(np.array(sum(feats, []), int), at, tags, 0.3))
+    assert np.allclose(one.emit, other.emit) and np.allclose(one.move, other.move)
+
+
 def test_random_order_needs_fewer_epochs(spark, sf):
     from gradfold.plans import orders
 
