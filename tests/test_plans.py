@@ -1,6 +1,9 @@
 """Physical plans: what is pushed down, what is broadcast, what is not exchanged."""
 
-from gradfold.plans import relational
+import pytest
+
+from gradfold.plans import orders, relational, training  # noqa: F401
+from gradfold.plans.registry import QUERIES
 from gradfold.plans.training import lr_loss
 
 
@@ -24,3 +27,11 @@ def test_losses_are_partial_aggregates(spark, sf):
 
 def test_range_join_has_an_equi_key(spark, sf):
     assert "NestedLoop" not in plan(relational.join_range_price(spark, sf))
+
+
+ON_TABLES = "catx_data".split()
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_examples_read_a_given_table(spark, sf, name):
+    assert any(f.endswith(".parquet") for f in QUERIES[name](spark, sf).inputFiles())
