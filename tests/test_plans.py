@@ -29,7 +29,7 @@ def test_range_join_has_an_equi_key(spark, sf):
     assert "NestedLoop" not in plan(relational.join_range_price(spark, sf))
 
 
-ON_TABLES = "catx_data".split()
+ON_TABLES = "catx_data catx_trace".split()
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
