@@ -29,7 +29,7 @@ def test_range_join_has_an_equi_key(spark, sf):
     assert "NestedLoop" not in plan(relational.join_range_price(spark, sf))
 
 
-ON_TABLES = "catx_data catx_trace catx_closed_form catx_clustered_map catx_epochs catx_permutations epochs_to_tolerance merge_sparse_deltas overhead_formula_check prox_ball".split()
+ON_TABLES = "catx_data catx_trace catx_closed_form catx_clustered_map catx_epochs catx_permutations epochs_to_tolerance merge_sparse_deltas overhead_formula_check prox_ball prox_box".split()
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
