@@ -32,6 +32,8 @@ LABELLED = 6000
 #: Rounds, the probability from which a view is sure, and documents that each view hands over in a round.
 ROUNDS, SURE, HANDED = 3, 0.97, 400
 CUT = 0.5
+#: Features are made of less text at a time: a byte of it takes about 100 bytes of arrays, in each of an executor's workers.
+PART_BYTES = 1 << 18
 
 _CLASS = np.zeros(256, np.int64)
 for _c, _bytes in enumerate([b"\n\r", b" \t", bytes(range(0x30, 0x3A)), bytes(range(0x41, 0x5B)), bytes(range(0x61, 0x7B)), b".,;:'\"?-()", bytes(range(0x80, 0x100))], 1):
@@ -171,6 +173,12 @@ def _features(part: pa.RecordBatch, text: str, columns: list[str]) -> tuple[np.n
     return text_features(part.column(part.schema.get_field_index(text))), meta_features(part, columns, text)
 
 
+def _parts(batch: pa.RecordBatch, text: str, columns: list[str]):
+    """(slice, its features in both views) for the slices of a batch, in memory for one slice."""
+    for part in kernels.slices(batch, text, PART_BYTES):
+        yield part, _features(part, text, columns)
+
+
 def _spot(ident: str, of: str) -> Column:
     """A number in [0, 1) by a hash of the id."""
     return F.xxhash64(quoted(ident).cast("string"), F.lit(of)).bitwiseAND(F.lit((1 << 40) - 1).cast("long")) / float(1 << 40)
@@ -192,8 +200,7 @@ def handed_over(docs: DataFrame, models: list[Linear], taken: set[str], number:
         views, gone = shared.value
         best: list[list[tuple]] = [[], []]  # (spot, id, label, features in the other view)
         for batch in batches:
-            for part in kernels.slices(batch, "__t"):
-                feats = _features(part, "__t", names)
+            for part, feats in _parts(batch, "__t", names):
                 ids, spots = part.column(0).to_pylist(), np.asarray(part.column(1))
                 for i, model in enumerate(views):
                     p = chances(model, feats[i])
@@ -234,7 +241,7 @@ def train(docs: DataFrame, labels: DataFrame, ident: str = "doc_id", text: str =
 
         return each
 
-    rows = append_struct(chosen, "__f", fields, text, work, keep=[ident, "__y"]).toPandas()
+    rows = append_struct(chosen, "__f", fields, text, work, keep=[ident, "__y"], limit=PART_BYTES).toPandas()
     rows = rows.sort_values(ident, kind="stable").reset_index(drop=True)
     t, m = (np.array([f[k] for f in rows["__f"]], float) if len(rows) else np.zeros((0, 1)) for k in ("t", "m"))
     taken = {str(i) for i in rows[ident]}
@@ -272,4 +279,4 @@ def score(docs: DataFrame, model: CoTrained, text: str = "text", into: str = "qu
         each = work()
         return lambda part: {k: pa.array(v) for k, v in each(part).items()}
 
-    return append_struct(docs, into, SCORED, text, arrays, keep)
+    return append_struct(docs, into, SCORED, text, arrays, keep, PART_BYTES)
