@@ -31,6 +31,8 @@ from .shared import append_struct, free_name, quoted, stored
 WINDOW, SHINGLE = 10, 3
 #: Bytes of benchmark text in one block; its index takes some tens of times that in each Python worker.
 BLOCK_BYTES = 4 << 20
+#: Bytes of text that are hashed at a time: arrays of eight bytes for each of them are made, several at once.
+PART_BYTES = 1 << 18
 
 SCAN = T.StructType(
     [
@@ -110,22 +112,27 @@ class Block:
         return out
 
 
+def _tally(batches, text: str, distinct: dict[int, np.ndarray]):
+    """(k, h, n): how often each benchmark shingle stands in the texts of some batches, in memory for one part of a batch."""
+    probes = {k: kernels.Probe(m) for k, m in distinct.items()}
+    total = {k: np.zeros(len(m), np.int64) for k, m in distinct.items()}
+    for batch in batches:
+        for part in kernels.slices(batch, text, PART_BYTES):
+            words = kernels.alnum_words(*kernels.text_bytes(part.column(0)))
+            hashes = words.hashes()
+            for k, probe in probes.items():
+                _, where = probe.find(words.runs(k, hashes)[1])
+                total[k] += np.bincount(where, minlength=len(total[k]))
+    for k, n in total.items():
+        at = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), k, np.int32)), pa.array(distinct[k][at].view(np.int64)), pa.array(n[at])], names=["k", "h", "n"])
+
+
 def _counted(docs: DataFrame, text: str, distinct: dict[int, np.ndarray]) -> dict[tuple[int, int], int]:
     """How often each benchmark shingle stands in all documents."""
 
     def run(batches):
-        probes = {k: kernels.Probe(m) for k, m in distinct.items()}
-        total = {k: np.zeros(len(m), np.int64) for k, m in distinct.items()}
-        for batch in batches:
-            for part in kernels.slices(batch, text):
-                words = kernels.alnum_words(*kernels.text_bytes(part.column(0)))
-                hashes = words.hashes()
-                for k, probe in probes.items():
-                    _, where = probe.find(words.runs(k, hashes)[1])
-                    total[k] += np.bincount(where, minlength=len(total[k]))
-        for k, n in total.items():
-            at = np.flatnonzero(n)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), k, np.int32)), pa.array(distinct[k][at].view(np.int64)), pa.array(n[at])], names=["k", "h", "n"])
+        return _tally(batches, text, distinct)
 
     found = docs.select(quoted(text).alias(text)).mapInArrow(run, "k int, h long, n long").groupBy("k", "h").agg(F.sum("n").alias("n"))
     return {(k, h & (1 << 64) - 1): n for k, h, n in found.collect()}  # bounded by the block's shingles
@@ -168,7 +175,7 @@ def _scan(docs: DataFrame, text: str, block: Block, prefixes: dict, into: str, k
 
         return each
 
-    return append_struct(docs, into, RESULT if final else SCAN, text, work, keep)
+    return append_struct(docs, into, RESULT if final else SCAN, text, work, keep, PART_BYTES)
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", into: str = "overlap", window: int = WINDOW, shingle: int = SHINGLE, block_bytes: int = BLOCK_BYTES, keep: list[str] | None = None) -> DataFrame:
