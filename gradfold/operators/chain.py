@@ -14,13 +14,15 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.files import scratch
-from . import sparse
+from . import chain_fold, sparse
 
 SEQUENCE = "seq_id string, feats array<array<int>>, tags array<int>"
+BLOCK = "seg long, b int, lengths binary, sizes binary, feats binary, tags binary"
 
 
 def _lse(a: np.ndarray, axis: int) -> np.ndarray:
@@ -176,17 +178,6 @@ def _sequences(batches: Iterable[pa.RecordBatch]):
         yield from zip(*(b.column(i).to_pylist() for i in range(b.num_columns)), strict=True)
 
 
-def _flat(rows: pa.Table, features: np.ndarray):
-    """(places of its features among `features`, their positions, tags) of each sequence."""
-    for chunk in rows.select(["feats", "tags"]).combine_chunks().to_batches():
-        feats, tags = chunk.column(0), chunk.column(1)
-        cuts, inner, ends = (np.asarray(a, np.int64) for a in (feats.offsets, feats.values.offsets, tags.offsets))
-        places, gold = np.searchsorted(features, np.asarray(feats.values.values)), np.asarray(tags.values)
-        for i in range(len(chunk)):
-            own = inner[cuts[i] : cuts[i + 1] + 1]
-            yield places[own[0] : own[-1]], np.repeat(np.arange(len(own) - 1), np.diff(own)), gold[ends[i] : ends[i + 1]]
-
-
 def epoch(seqs: DataFrame, model: Chain, alpha: float, mu: float = 0.0) -> list:
     """Fold the partitions of (k, feats, tags), each in the order of k, from one model; a row (n, loss, emit, move) for each.
 
@@ -218,9 +209,76 @@ def fit(seqs: DataFrame, features: int, tags: int, epochs: int, alpha, mu: float
     return model, losses
 
 
-def _keys(feats, tags: int):
-    """The model's keys of an array of features: one for each tag."""
-    return F.flatten(F.transform(feats, lambda f: F.transform(F.sequence(F.lit(0), F.lit(tags - 1)), lambda k: f.cast("long") * tags + k)))
+def _ends(lists: pa.Array) -> np.ndarray:
+    """Where each list begins among all their values, and where the last one ends."""
+    return np.append(0, np.cumsum(np.asarray(lists.value_lengths()).astype(np.int64)))
+
+
+def _raw(numbers: pa.Array, cuts: np.ndarray) -> pa.Array:
+    """Binary values of little-endian 32-bit integers, cut at `cuts`."""
+    data = np.ascontiguousarray(np.asarray(numbers).astype("<i4"))
+    return pa.Array.from_buffers(pa.binary(), len(cuts) - 1, [None, pa.py_buffer((4 * cuts).astype(np.int32)), pa.py_buffer(data)])
+
+
+def _bytes(column: pa.Array) -> tuple[np.ndarray, memoryview]:
+    """Where each binary value begins and the last one ends, and what the places refer to."""
+    whole = column.cast(pa.large_binary())
+    offs = np.frombuffer(whole.buffers()[1], np.int64)[whole.offset : whole.offset + len(whole) + 1]
+    return offs, memoryview(whole.buffers()[2] or b"")
+
+
+def _numbers(batches: Iterable[pa.RecordBatch]):
+    """(k, sizes, feats, tags) of (k, feats, tags): of each sequence the features of each position, their number and the tags as raw numbers."""
+    for b in batches:
+        feats, tags = b.column(1), b.column(2)
+        inner, cuts = feats.flatten(), _ends(feats)
+        cols = [_raw(inner.value_lengths(), cuts), _raw(inner.flatten(), _ends(inner)[cuts]), _raw(tags.flatten(), _ends(tags))]
+        yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=["k", "sizes", "feats", "tags"])
+
+
+def pack(seqs: DataFrame, parts: int, block_bytes: int = 1 << 20) -> DataFrame:
+    """Blocks of raw numbers of (k, feats, tags), sorted by k inside `parts` segments, each a partition of its own.
+
+    A block has the positions of each sequence, the number of features and the tag of
+    each position, and the features of them all.
+    """
+    names = sparse.labels(seqs.sparkSession, parts)
+    at = F.pmod(F.xxhash64("k"), F.lit(parts)).cast("int") + 1 if parts > 1 else F.lit(1)
+    kind = seqs.schema["k"].dataType.simpleString()
+    flat = seqs.select("k", "feats", "tags").mapInArrow(_numbers, f"k {kind}, sizes binary, feats binary, tags binary")
+    rows = flat.select(F.element_at(F.array(*(F.lit(n).cast("long") for n in names)), at).alias("seg"), "*")
+    rows = rows.repartition(parts, "seg").sortWithinPartitions("seg", "k").select("seg", "sizes", "feats", "tags")
+
+    def run(batches):
+        number = 0
+        for b in batches:
+            segs = np.asarray(b.column(0))
+            cols = [_bytes(b.column(i)) for i in (1, 2, 3)]
+            begin = cols[1][0][:-1] - cols[1][0][0]
+            cut = np.flatnonzero((np.diff(segs) != 0) | (np.diff(begin // block_bytes) != 0)) + 1
+            for lo, hi in zip([0, *cut.tolist()], [*cut.tolist(), len(segs)], strict=True):
+                if lo == hi:
+                    continue
+                number += 1
+                lengths = (np.diff(cols[2][0][lo : hi + 1]) // 4).astype("<i4").tobytes()
+                raw = [lengths, *(bytes(data[offs[lo] : offs[hi]]) for offs, data in cols)]
+                yield pa.RecordBatch.from_arrays([pa.array([int(segs[lo])]), pa.array([number], pa.int32()), *(pa.array([x], pa.binary()) for x in raw)], names=["seg", "b", "lengths", "sizes", "feats", "tags"])
+
+    # mapInArrow forgets how its input is dealt; the second exchange is of packed blocks and is kept
+    return rows.mapInArrow(run, BLOCK).repartition(parts, "seg").sortWithinPartitions("seg", "b")
+
+
+def _used(batches):
+    """(seg, f): the features of the blocks, those of a task's blocks so far only once."""
+    seen = {}
+    for b in batches:
+        for seg, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            known, feats = seen.get(seg, np.zeros(1, np.int32)), np.frombuffer(raw, "<i4")
+            fresh = known[np.minimum(np.searchsorted(known, feats), len(known) - 1)] != feats if seg in seen else slice(None)
+            found = np.unique(feats[fresh])
+            if len(found):
+                seen[seg] = np.sort(np.concatenate([known, found])) if seg in seen and len(known) < 1 << 22 else found
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), seg, np.int64)), pa.array(found.astype(np.int64))], names=["seg", "f"])
 
 
 def fit_table(seqs: DataFrame, tags: int, epochs: int, alpha, mu: float = 0.0, parts: int = 1) -> tuple[DataFrame, list[float]]:
@@ -228,42 +286,20 @@ def fit_table(seqs: DataFrame, tags: int, epochs: int, alpha, mu: float = 0.0, p
 
     The weight of feature f for tag t is at f * tags + t, that of the move from tag a
     to b at -1 - (a * tags + b).  A segment gets the weights of its own features by a
-    join and gives them back; its sequences must fit a task.
+    join and gives them back; those must fit a task, its sequences pass by in blocks.
+    The steps are those of `Chain.step_flat`, in Spark's tasks (`chain_fold.py`).
     """
     spark = seqs.sparkSession
-    names = sparse.labels(spark, parts)
-    at = F.pmod(F.xxhash64("k"), F.lit(parts)).cast("int") + 1 if parts > 1 else F.lit(1)
-    held = seqs.select(F.element_at(F.array(*(F.lit(n).cast("long") for n in names)), at).alias("seg"), "k", "feats", "tags").repartition(parts, "seg").persist()
+    held = pack(seqs, parts).persist(StorageLevel.MEMORY_AND_DISK)
+    used = held.select("seg", "feats").mapInArrow(_used, "seg long, f long").distinct()
+    own = used.select("seg", F.explode(F.transform(F.sequence(F.lit(0), F.lit(tags - 1)), lambda t: F.col("f") * tags + t)).alias("feature"))
     moves = F.transform(F.sequence(F.lit(0), F.lit(tags * tags - 1)), lambda k: (-1 - k).cast("long"))
-    own = held.select("seg", F.explode(_keys(F.array_distinct(F.flatten("feats")), tags)).alias("feature")).distinct()
-    touched = own.union(held.select("seg").distinct().select("seg", F.explode(moves))).repartition(parts, "seg").persist()
+    touched = own.union(held.select("seg").distinct().select("seg", F.explode(moves))).repartition(parts, "seg").persist(StorageLevel.MEMORY_AND_DISK)
     model, history = spark.createDataFrame([], "feature long, w double"), []
-
-    def work_of(step: float):
-        def work(rows: pa.Table, mine: pa.Table) -> pa.Table:
-            key, w = mine.column("feature").to_numpy(), mine.column("w").to_numpy()
-            order = np.argsort(key, kind="stable")
-            key, w = key[order], w[order].copy()
-            n_moves = int((key < 0).sum())
-            features = key[n_moves::tags] // tags
-            local = Chain(w[n_moves:].reshape(-1, tags).copy(), w[:n_moves][::-1].reshape(tags, tags).copy())
-            n, loss = 0, 0.0
-            rows = rows.sort_by("k")
-            for feats, at, gold in _flat(rows, features):
-                loss += local.step_flat(feats, at, gold, step, mu)
-                n += 1
-            out = np.concatenate([local.move.ravel()[::-1], local.emit.ravel()])
-            counts = np.zeros(len(key), np.int64)
-            counts[:1] = n
-            losses = [loss] * min(1, len(key)) + [None] * max(0, len(key) - 1)
-            return pa.table({"feature": pa.array(key), "w": pa.array(out), "n": pa.array(counts), "loss": pa.array(losses, pa.float64())})
-
-        return work
-
     for e in range(1, epochs + 1):
-        weights = touched.join(model, "feature", "left").select(F.col("seg").alias("of"), "feature", F.coalesce("w", F.lit(0.0)).alias("w"))
+        weights = touched.join(model, "feature", "left").select("seg", "feature", F.coalesce("w", F.lit(0.0)).alias("w")).repartition(parts, "seg")
         path = scratch(spark, "chain-epoch")
-        held.groupBy("seg").cogroup(weights.groupBy("of")).applyInArrow(work_of(alpha(e)), sparse.OUT).write.parquet(path)
+        chain_fold.folded(held, weights, tags, alpha(e), mu).write.parquet(path)
         model, _, loss = sparse.merged(spark.read.schema(sparse.OUT).parquet(path), model)
         history.append(loss)
     held.unpersist()

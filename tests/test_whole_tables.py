@@ -100,6 +100,49 @@ def test_chunks_hold_every_token(spark, sf):
     assert len({g[2] for g in got}) == len(got)
 
 
+def brute_chunks(rows, most):
+    """(seq_id, words, tags) of each sequence by loops."""
+    import re
+
+    sentences = {}
+    for i, text in rows:
+        for n, s in enumerate(re.split(r"[.!?\n]+", text) if text is not None else []):
+            w = [x for x in re.split(r"[ \t\n\x0b\f\r]+", re.sub("[A-Z]", lambda m: m[0].lower(), s)) if x]
+            if len(w) > 1:
+                tagged = [(x.encode(), 0 if not j else 2 if j == len(w) - 1 else 1) for j, x in enumerate(w)]
+                sentences.setdefault((i, n // 4), []).append((n, tagged))
+    for (i, b), found in sentences.items():
+        joined = [t for _, s in sorted(found) for t in s]
+        for p in range(0, len(joined), most):
+            yield ":".join(map(str, (b, p // most) if i is None else (i, b, p // most))), *zip(*joined[p : p + most])
+
+
+def test_chunks_of_odd_documents(spark, tmp_path):
+    """Repeated and null ids over many small batches, other white space, runs of marks, words of one letter, long texts; the features by Spark's own hash."""
+    import random
+
+    rng = random.Random(3)
+    words, marks = ["A", "b", "é", "Straße", "日本語", "<", ">", "a\x00b", "\x85", "foo", "zz", "😀a"], [" ", "  ", "\t", "\x0b", "\x0c", "\r", ".", "!?", ". ", "\n", "\r\n", "? ! "]
+    rows = [(rng.choice([None, rng.randrange(20), i + 100]), "".join(rng.choice(words) + rng.choice(marks) for _ in range(rng.choice([0, 1, 5, 40, 200])))) for i in range(120)]
+    rows += [(1, None), (2, ""), (3, " .\n"), (4, "a b " * 300), (4, "a b " * 300)]
+    spark.createDataFrame(rows, "doc_id long, text string").repartition(3).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "3")
+    try:
+        got = X.chunks(spark, str(tmp_path), 1000, 7).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    want = list(brute_chunks(rows, 7))
+    need = {(k, w) for _, own, _ in want for x in own for k, w in ((1, x), (2, x), (3, x), (4, x.decode()[-2:].encode()))} | {(2, b"<"), (3, b">")}
+    hashed = spark.createDataFrame([(k, w.decode()) for k, w in need], "k int, w string").selectExpr("k", "w", "xxhash64(1, w) a", "xxhash64(2, w) b", "xxhash64(3, w) c", "xxhash64(4, w) d").collect()
+    number = {(r.k, r.w.encode()): [r.a, r.b, r.c, r.d][r.k - 1] % 1000 for r in hashed}
+    made = []
+    for i, own, tags in want:
+        around = [b"<", *own, b">"]
+        feats = [[number[1, x], number[2, around[j]], number[3, around[j + 2]], number[4, x.decode()[-2:].encode()]] for j, x in enumerate(own)]
+        made.append((i, feats, list(tags)))
+    assert sorted((r.seq_id, r.feats, r.tags) for r in got) == sorted(made)
+
+
 def test_four_turns_against_all_paths(spark, duck, sf):  # noqa: F811
     short = X.dialogs(spark, sf).selectExpr("seq_id", "slice(feats, 1, 4) AS feats", "slice(tags, 1, 4) AS tags")
     same(training.chain_losses(short), duck.sql(training.SQL_PATHS))
