@@ -15,14 +15,13 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.files import scratch
 from . import chain_fold, sparse
 
 SEQUENCE = "seq_id string, feats array<array<int>>, tags array<int>"
-BLOCK = "seg long, b int, lengths binary, sizes binary, feats binary, tags binary"
 
 
 def _lse(a: np.ndarray, axis: int) -> np.ndarray:
@@ -215,95 +214,59 @@ def _ends(lists: pa.Array) -> np.ndarray:
 
 
 def _raw(numbers: pa.Array, cuts: np.ndarray) -> pa.Array:
-    """Binary values of little-endian 32-bit integers, cut at `cuts`."""
-    data = np.ascontiguousarray(np.asarray(numbers).astype("<i4"))
-    return pa.Array.from_buffers(pa.binary(), len(cuts) - 1, [None, pa.py_buffer((4 * cuts).astype(np.int32)), pa.py_buffer(data)])
-
-
-def _bytes(column: pa.Array) -> tuple[np.ndarray, memoryview]:
-    """Where each binary value begins and the last one ends, and what the places refer to."""
-    whole = column.cast(pa.large_binary())
-    offs = np.frombuffer(whole.buffers()[1], np.int64)[whole.offset : whole.offset + len(whole) + 1]
-    return offs, memoryview(whole.buffers()[2] or b"")
+    """Binary values of little-endian integers, cut at `cuts`; one width, of 1, 2 or 4 bytes, for all."""
+    flat = np.asarray(numbers)
+    least, most = (int(flat.min()), int(flat.max())) if len(flat) else (0, 0)
+    data = np.ascontiguousarray(flat.astype("<i4" if least < 0 or most >= 1 << 16 else "<u2" if most >= 1 << 8 else "u1"))
+    return pa.Array.from_buffers(pa.binary(), len(cuts) - 1, [None, pa.py_buffer((data.itemsize * cuts).astype(np.int32)), pa.py_buffer(data)])
 
 
 def _numbers(batches: Iterable[pa.RecordBatch]):
-    """(k, sizes, feats, tags) of (k, feats, tags): of each sequence the features of each position, their number and the tags as raw numbers."""
+    """(k, n, sizes, feats, tags) of (k, feats, tags): the positions, and as raw numbers the features of each, all features and the tags."""
     for b in batches:
         feats, tags = b.column(1), b.column(2)
         inner, cuts = feats.flatten(), _ends(feats)
         cols = [_raw(inner.value_lengths(), cuts), _raw(inner.flatten(), _ends(inner)[cuts]), _raw(tags.flatten(), _ends(tags))]
-        yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=["k", "sizes", "feats", "tags"])
+        yield pa.RecordBatch.from_arrays([b.column(0), feats.value_lengths(), *cols], names=["k", "n", "sizes", "feats", "tags"])
 
 
-def pack(seqs: DataFrame, parts: int, block_bytes: int = 1 << 20) -> DataFrame:
-    """Blocks of raw numbers of (k, feats, tags), sorted by k inside `parts` segments, each a partition of its own.
+def _segment(seg) -> Column:
+    """A segment's number as a column that has no nulls on both sides: Spark groups two tables together only by columns of one kind."""
+    return F.coalesce(seg, F.lit(-1).cast("long")).alias("seg")
 
-    A block has the positions of each sequence, the number of features and the tag of
-    each position, and the features of them all.
-    """
+
+def dealt(seqs: DataFrame, parts: int) -> DataFrame:
+    """(seg, k, n, sizes, feats, tags): the sequences as raw numbers, sorted by k inside `parts` segments, each a partition of its own."""
     names = sparse.labels(seqs.sparkSession, parts)
     at = F.pmod(F.xxhash64("k"), F.lit(parts)).cast("int") + 1 if parts > 1 else F.lit(1)
     kind = seqs.schema["k"].dataType.simpleString()
-    flat = seqs.select("k", "feats", "tags").mapInArrow(_numbers, f"k {kind}, sizes binary, feats binary, tags binary")
-    rows = flat.select(F.element_at(F.array(*(F.lit(n).cast("long") for n in names)), at).alias("seg"), "*")
-    rows = rows.repartition(parts, "seg").sortWithinPartitions("seg", "k").select("seg", "sizes", "feats", "tags")
-
-    def run(batches):
-        number = 0
-        for b in batches:
-            segs = np.asarray(b.column(0))
-            cols = [_bytes(b.column(i)) for i in (1, 2, 3)]
-            begin = cols[1][0][:-1] - cols[1][0][0]
-            cut = np.flatnonzero((np.diff(segs) != 0) | (np.diff(begin // block_bytes) != 0)) + 1
-            for lo, hi in zip([0, *cut.tolist()], [*cut.tolist(), len(segs)], strict=True):
-                if lo == hi:
-                    continue
-                number += 1
-                lengths = (np.diff(cols[2][0][lo : hi + 1]) // 4).astype("<i4").tobytes()
-                raw = [lengths, *(bytes(data[offs[lo] : offs[hi]]) for offs, data in cols)]
-                yield pa.RecordBatch.from_arrays([pa.array([int(segs[lo])]), pa.array([number], pa.int32()), *(pa.array([x], pa.binary()) for x in raw)], names=["seg", "b", "lengths", "sizes", "feats", "tags"])
-
-    # mapInArrow forgets how its input is dealt; the second exchange is of packed blocks and is kept
-    return rows.mapInArrow(run, BLOCK).repartition(parts, "seg").sortWithinPartitions("seg", "b")
-
-
-def _used(batches):
-    """(seg, f): the features of the blocks, those of a task's blocks so far only once."""
-    seen = {}
-    for b in batches:
-        for seg, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-            known, feats = seen.get(seg, np.zeros(1, np.int32)), np.frombuffer(raw, "<i4")
-            fresh = known[np.minimum(np.searchsorted(known, feats), len(known) - 1)] != feats if seg in seen else slice(None)
-            found = np.unique(feats[fresh])
-            if len(found):
-                seen[seg] = np.sort(np.concatenate([known, found])) if seg in seen and len(known) < 1 << 22 else found
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), seg, np.int64)), pa.array(found.astype(np.int64))], names=["seg", "f"])
+    rows = seqs.select("k", "feats", "tags").mapInArrow(_numbers, f"k {kind}, n int, sizes binary, feats binary, tags binary")
+    seg = F.element_at(F.array(*(F.lit(n).cast("long") for n in names)), at)
+    rows = rows.select(_segment(seg), "*")
+    return rows.repartition(parts, "seg").sortWithinPartitions("seg", "k")
 
 
 def fit_table(seqs: DataFrame, tags: int, epochs: int, alpha, mu: float = 0.0, parts: int = 1) -> tuple[DataFrame, list[float]]:
     """As `fit`, with the model as a table (feature, w), for any number of features; the progressive loss of each epoch.
 
     The weight of feature f for tag t is at f * tags + t, that of the move from tag a
-    to b at -1 - (a * tags + b).  A segment gets the weights of its own features by a
-    join and gives them back; those must fit a task, its sequences pass by in blocks.
-    The steps are those of `Chain.step_flat`, in Spark's tasks (`chain_fold.py`).
+    to b at -1 - (a * tags + b).  A segment begins from nothing; after its first epoch
+    it gets the weights of the features that it met by a join and gives them back.
+    Those must fit a task, its sequences pass by one after the other.  The steps are
+    those of `Chain.step_flat`, in Spark's tasks (`chain_fold.py`).
     """
     spark = seqs.sparkSession
-    held = pack(seqs, parts).persist(StorageLevel.MEMORY_AND_DISK)
-    used = held.select("seg", "feats").mapInArrow(_used, "seg long, f long").distinct()
-    own = used.select("seg", F.explode(F.transform(F.sequence(F.lit(0), F.lit(tags - 1)), lambda t: F.col("f") * tags + t)).alias("feature"))
-    moves = F.transform(F.sequence(F.lit(0), F.lit(tags * tags - 1)), lambda k: (-1 - k).cast("long"))
-    touched = own.union(held.select("seg").distinct().select("seg", F.explode(moves))).repartition(parts, "seg").persist(StorageLevel.MEMORY_AND_DISK)
+    held = dealt(seqs, parts).persist(StorageLevel.MEMORY_AND_DISK)
+    weights = spark.createDataFrame([], "seg long, feature long, w double")
     model, history = spark.createDataFrame([], "feature long, w double"), []
     for e in range(1, epochs + 1):
-        weights = touched.join(model, "feature", "left").select("seg", "feature", F.coalesce("w", F.lit(0.0)).alias("w")).repartition(parts, "seg")
         path = scratch(spark, "chain-epoch")
-        chain_fold.folded(held, weights, tags, alpha(e), mu).write.parquet(path)
-        model, _, loss = sparse.merged(spark.read.schema(sparse.OUT).parquet(path), model)
+        chain_fold.folded(held, weights.select(_segment("seg"), "feature", "w").repartition(parts, "seg"), tags, alpha(e), mu).write.parquet(path)
+        out = spark.read.schema(chain_fold.OUT).parquet(path)
+        model, _, loss = sparse.merged(out.drop("seg"), model)
+        weights = out.select("seg", "feature").join(model, "feature").select("seg", "feature", "w")
         history.append(loss)
     held.unpersist()
-    touched.unpersist()
     return model, history
 
 

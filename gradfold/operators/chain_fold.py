@@ -1,4 +1,4 @@
-"""The fold of `chain.fit_table` in Spark's own tasks: blocks of sequences stream past one segment's weights.
+"""The fold of `chain.fit_table` in Spark's own tasks: sequences stream past one segment's weights.
 
 A step of a few tags and some dozen positions is too small for arrays, and too many
 plain operations for Python; here it takes microseconds.
@@ -9,21 +9,20 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 
 from ..functions import jvm
-from .sparse import OUT
+from . import sparse
 
 NAME = "gradfold.ChainFold"
+OUT = f"seg long, {sparse.OUT}"
 
 JAVA = """
 package gradfold;
 
-import java.nio.ByteBuffer;
-import java.nio.ByteOrder;
 import java.util.Arrays;
 import java.util.Iterator;
 import org.apache.spark.sql.Row;
 import org.apache.spark.sql.RowFactory;
 
-/** Folds one segment: (seg, b, lengths, sizes, feats, tags) in the order of b, from the weights (seg, feature, w) in the order of feature. */
+/** Folds one segment: (seg, k, n, sizes, feats, tags) in the order of k, from the weights (seg, feature, w) in the order of feature. */
 public final class ChainFold implements org.apache.spark.api.java.function.CoGroupFunction {
   private int kinds;
   private double alpha;
@@ -35,21 +34,11 @@ public final class ChainFold implements org.apache.spark.api.java.function.CoGro
     this.mu = mu;
   }
 
-  public Iterator call(Object seg, Iterator blocks, Iterator weights) {
+  public Iterator call(Object seg, Iterator sequences, Iterator weights) {
     Weights own = new Weights(kinds, weights);
     Steps steps = new Steps(own, alpha, mu);
-    while (blocks.hasNext()) {
-      Row row = (Row) blocks.next();
-      steps.block(numbers(row.get(2)), numbers(row.get(3)), numbers(row.get(4)), numbers(row.get(5)));
-    }
-    return new Result(own, steps.n, steps.loss);
-  }
-
-  private static int[] numbers(Object raw) {
-    byte[] bytes = (byte[]) raw;
-    int[] out = new int[bytes.length / 4];
-    ByteBuffer.wrap(bytes).order(ByteOrder.LITTLE_ENDIAN).asIntBuffer().get(out);
-    return out;
+    while (sequences.hasNext()) steps.step((Row) sequences.next());
+    return new Result((Long) seg, own, steps.n, steps.loss);
   }
 }
 
@@ -60,7 +49,7 @@ final class Weights {
   double[] emit = new double[1 << 12];
   long[] features = new long[1 << 10];
   int size = 0;
-  private int[] slots;
+  private int[] slots = new int[1 << 12];
 
   Weights(int kinds, Iterator weights) {
     this.kinds = kinds;
@@ -74,19 +63,8 @@ final class Weights {
         continue;
       }
       int tag = (int) (key % kinds);
-      if (tag == 0) {
-        if (size == features.length) features = Arrays.copyOf(features, 2 * size);
-        if ((size + 1) * kinds > emit.length) emit = Arrays.copyOf(emit, 2 * (size + 1) * kinds);
-        features[size++] = key / kinds;
-      }
-      emit[(size - 1) * kinds + tag] = w;
-    }
-    int room = Integer.highestOneBit(Math.max(size, 1)) * 4;
-    slots = new int[room];
-    for (int i = 0; i < size; i++) {
-      int at = spot(features[i]);
-      while (slots[at] != 0) at = (at + 1) & (room - 1);
-      slots[at] = i + 1;
+      int at = place(key / kinds); // `emit` may be another array after this
+      emit[at + tag] = w;
     }
   }
 
@@ -94,14 +72,26 @@ final class Weights {
     return (int) ((feature * 0x9E3779B97F4A7C15L) >>> 32) & (slots.length - 1);
   }
 
-  /** Where a feature's weights begin. */
+  /** Where a feature's weights in `emit` begin; those of a feature that is new are zero. */
   int place(long feature) {
     int at = spot(feature);
     while (slots[at] != 0) {
       if (features[slots[at] - 1] == feature) return (slots[at] - 1) * kinds;
       at = (at + 1) & (slots.length - 1);
     }
-    throw new IllegalStateException("no weights of feature " + feature);
+    if (size == features.length) features = Arrays.copyOf(features, 2 * size);
+    if ((size + 1) * kinds > emit.length) emit = Arrays.copyOf(emit, 2 * (size + 1) * kinds);
+    features[size++] = feature;
+    slots[at] = size;
+    if (2 * size > slots.length) {
+      slots = new int[2 * slots.length];
+      for (int i = 0; i < size; i++) {
+        at = spot(features[i]);
+        while (slots[at] != 0) at = (at + 1) & (slots.length - 1);
+        slots[at] = i + 1;
+      }
+    }
+    return (size - 1) * kinds;
   }
 }
 
@@ -127,19 +117,27 @@ final class Steps {
     sums = new double[k];
   }
 
-  void block(int[] lengths, int[] sizes, int[] feats, int[] tags) {
-    int at = 0, first = 0;
-    for (int s = 0; s < lengths.length; s++) {
-      int cells = 0;
-      for (int t = 0; t < lengths[s]; t++) cells += sizes[at + t];
-      step(lengths[s], at, sizes, first, cells, feats, tags);
-      at += lengths[s];
-      first += cells;
-      n++;
+  /** The numbers of a binary value, `count` of one width. */
+  private static int[] numbers(byte[] raw, int count) {
+    int[] out = new int[count];
+    int width = count == 0 ? 1 : raw.length / count;
+    for (int i = 0; i < count; i++) {
+      int v = 0;
+      for (int j = width - 1; j >= 0; j--) v = v << 8 | raw[i * width + j] & 0xFF;
+      out[i] = v;
     }
+    return out;
+  }
+
+  void step(Row row) {
+    int length = row.getInt(2), cells = 0;
+    int[] sizes = numbers((byte[]) row.get(3), length);
+    for (int t = 0; t < length; t++) cells += sizes[t];
+    n++;
+    step(length, sizes, cells, numbers((byte[]) row.get(4), cells), numbers((byte[]) row.get(5), length));
   }
 
-  private void step(int length, int at, int[] sizes, int first, int cells, int[] feats, int[] tags) {
+  private void step(int length, int[] sizes, int cells, int[] feats, int[] tags) {
     if (length == 0) return;
     if (pot.length < length * k) {
       int room = 2 * length * k;
@@ -151,30 +149,29 @@ final class Steps {
       top = new double[2 * length];
     }
     if (places.length < cells) places = new int[2 * cells];
+    for (int c = 0; c < cells; c++) places[c] = own.place(feats[c]);
     double[] emit = own.emit;
     double[] move = own.move;
     double score = 0;
     int c = 0;
     for (int t = 0; t < length; t++) {
       for (int j = 0; j < k; j++) pot[t * k + j] = 0;
-      for (int i = 0; i < sizes[at + t]; i++, c++) {
-        int place = own.place(feats[first + c]);
-        places[c] = place;
-        for (int j = 0; j < k; j++) pot[t * k + j] += emit[place + j];
+      for (int i = 0; i < sizes[t]; i++, c++) {
+        for (int j = 0; j < k; j++) pot[t * k + j] += emit[places[c] + j];
       }
-      score += pot[t * k + tags[at + t]];
-      if (t > 0) score += move[tags[at + t - 1] * k + tags[at + t]];
+      score += pot[t * k + tags[t]];
+      if (t > 0) score += move[tags[t - 1] * k + tags[t]];
     }
     double z = scaled(length);
     if (Double.isNaN(z)) z = logs(length);
     loss += z - score;
     c = 0;
     for (int t = 0; t < length; t++) {
-      for (int i = 0; i < sizes[at + t]; i++, c++) {
-        for (int j = 0; j < k; j++) emit[places[c] + j] += alpha * ((j == tags[at + t] ? 1.0 : 0.0) - single[t * k + j]);
+      for (int i = 0; i < sizes[t]; i++, c++) {
+        for (int j = 0; j < k; j++) emit[places[c] + j] += alpha * ((j == tags[t] ? 1.0 : 0.0) - single[t * k + j]);
       }
     }
-    for (int t = 1; t < length; t++) pair[tags[at + t - 1] * k + tags[at + t]] -= 1;
+    for (int t = 1; t < length; t++) pair[tags[t - 1] * k + tags[t]] -= 1;
     for (int i = 0; i < k * k; i++) move[i] -= alpha * pair[i];
     if (mu != 0) {
       shrink(emit, own.size * k);
@@ -287,14 +284,16 @@ final class Steps {
   }
 }
 
-/** Rows (feature, w, n, loss): the segment's sequences and loss stand in the first one. */
+/** Rows (seg, feature, w, n, loss): the segment's sequences and loss stand in the first one. */
 final class Result implements Iterator {
+  private final Long seg;
   private final Weights own;
   private final long n;
   private final double loss;
   private int next = 0;
 
-  Result(Weights own, long n, double loss) {
+  Result(Long seg, Weights own, long n, double loss) {
+    this.seg = seg;
     this.own = own;
     this.n = n;
     this.loss = loss;
@@ -309,7 +308,7 @@ final class Result implements Iterator {
     int at = i - own.move.length;
     long key = at < 0 ? -1 - i : own.features[at / own.kinds] * own.kinds + at % own.kinds;
     double w = at < 0 ? own.move[i] : own.emit[at];
-    return RowFactory.create(new Object[] {Long.valueOf(key), Double.valueOf(w), Long.valueOf(i == 0 ? n : 0L), i == 0 ? Double.valueOf(loss) : null});
+    return RowFactory.create(new Object[] {seg, Long.valueOf(key), Double.valueOf(w), Long.valueOf(i == 0 ? n : 0L), i == 0 ? Double.valueOf(loss) : null});
   }
 
   public void remove() {
@@ -319,8 +318,8 @@ final class Result implements Iterator {
 """
 
 
-def folded(blocks: DataFrame, weights: DataFrame, tags: int, alpha: float, mu: float = 0.0) -> DataFrame:
-    """(feature, w, n, loss) of each segment after its sequences, in order, from (seg, feature, w)."""
-    fold = jvm.compiled(blocks.sparkSession, NAME, JAVA).newInstance()
+def folded(sequences: DataFrame, weights: DataFrame, tags: int, alpha: float, mu: float = 0.0) -> DataFrame:
+    """(seg, feature, w, n, loss): the weights of each segment after its sequences, in order, from (seg, feature, w), where features that are missing weigh nothing."""
+    fold = jvm.compiled(sequences.sparkSession, NAME, JAVA).newInstance()
     fold.set(tags, float(alpha), float(mu))
-    return jvm.cogrouped(blocks, weights, "seg", ("b", "feature"), fold, OUT)
+    return jvm.cogrouped(sequences, weights, "seg", ("k", "feature"), fold, OUT)
